@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import bpe, hashtree, langid, mixing, rules
+from . import bpe, extract, hashtree, jaccard, langid, mixing, quality, rules, tiling
 from .common import table
 
 
@@ -25,6 +26,25 @@ def op4_hashtree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return hashtree.assign(table(spark, sf_dir, "documents"))
 
 
+def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
+    model = quality.fit(docs.where(~langid.held_out(3, 1)), labels.where(~langid.held_out(3, 1)))
+    scored = quality.scores(docs, model)
+    return scored.select("doc_id", langid.held_out(3, 1).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+
+
+def op6_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.groups(table(spark, sf_dir, "documents"))
+
+
+def op7_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return extract.extract(table(spark, sf_dir, "pages"))
+
+
+def op8_tiling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tiling.matches(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op9_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.counts(table(spark, sf_dir, "documents"))
 
@@ -38,6 +58,10 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op2_language": op2_language,
         "op3_rules": op3_rules,
         "op4_hashtree": op4_hashtree,
+        "op5_quality": op5_quality,
+        "op6_jaccard": op6_jaccard,
+        "op7_extraction": op7_extraction,
+        "op8_tiling": op8_tiling,
         "op9_tokens": op9_tokens,
         "op10_mixture": op10_mixture,
     }
