@@ -7,10 +7,14 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, extract, hashtree, jaccard, langid, mixing, quality, rules, tiling
+from . import bpe, extract, hashtree, jaccard, langid, mixing, quality, rules, surrogates, tiling
 from .common import table
 
 
+def op1_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return surrogates.replaced(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op2_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     model = langid.fit(docs.where(~langid.held_out(4, 2)))
@@ -55,6 +59,7 @@ def op10_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_surrogates": op1_surrogates,
         "op2_language": op2_language,
         "op3_rules": op3_rules,
         "op4_hashtree": op4_hashtree,

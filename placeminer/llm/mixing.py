@@ -146,3 +146,14 @@ def mix(docs: DataFrame, *, seed: str = "mix-1", max_blocks: int = 16384, shards
         (F.col("__to") - F.col("__from")).cast("long").alias("taken"),
         F.array(*[F.col("__to_by")[k] - F.col("__from_by")[k] for k in range(shards)]).alias("by_shard"),
     )
+
+
+def mixed(docs: DataFrame, **options) -> DataFrame:
+    """The rows of ``docs``, each as often as the mix takes it, to the nearest whole number, with the columns of ``docs``.
+
+    Rows are keyed by doc_id; of rows that repeat a doc_id each is taken as often as their shares together say on average.
+    """
+    taken = mix(docs, **options).groupBy("doc_id").agg(F.sum("taken").alias("__taken"), F.sum("size").alias("__size"))
+    times = F.when(F.col("__size") > 0, F.round(F.col("__taken") / F.col("__size"))).otherwise(0).cast("int")
+    kept = docs.join(taken.withColumn("__times", times).where("__times > 0").select("doc_id", "__times"), "doc_id")
+    return kept.withColumn("__turn", F.explode(F.sequence(F.lit(1), F.col("__times")))).select(*docs.columns)
