@@ -34,6 +34,8 @@ WORD_SLOTS = 1 << 16
 SHAPE_SLOTS = 1 << 11
 REACH = 2
 FEATURES = 2 * WIDTH + 3
+#: Tasks of the fit, each of which sends one matrix of word vectors to the driver.
+FIT_TASKS = 8
 #: Words of a text that are pooled at once.
 STRIDE = 1 << 16
 
@@ -157,7 +159,7 @@ def training_rows(docs: DataFrame, labels: DataFrame, max_rows: int) -> DataFram
 
 
 def fit(docs: DataFrame, labels: DataFrame, max_rows: int = 20000) -> Model:
-    rows = checkpointed(training_rows(docs, labels, max_rows).repartition(8, "doc_id"))
+    rows = checkpointed(training_rows(docs, labels, max_rows).repartition(FIT_TASKS))
 
     def context(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         slots = Slots()
