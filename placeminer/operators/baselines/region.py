@@ -17,9 +17,12 @@ def prefix_counts(log: DataFrame, acts: list[str]) -> tuple[list[tuple[tuple[int
     """Distinct (activity counts of a prefix, next activity) and activity counts of whole traces; few beside the log."""
     at = {a: i for i, a in enumerate(acts)}
     pos = log.select("seq", F.explode(F.sequence(F.lit(1), F.size("seq"))).alias("k"))
-    count = F.array(*[F.size(F.filter(F.slice("seq", F.lit(1), F.col("k") - 1), lambda x, a=a: x == a)) for a in acts])
+    def times(seq, a: str):
+        return F.size(F.filter(seq, lambda x: x == a))
+
+    count = F.array(*[times(F.slice("seq", F.lit(1), F.col("k") - 1), a) for a in acts])
     rows = pos.select(count.alias("c"), F.get("seq", F.col("k") - 1).alias("a")).distinct().collect()
-    full = log.select(F.array(*[F.size(F.filter("seq", lambda x, a=a: x == a)) for a in acts]).alias("c")).distinct().collect()
+    full = log.select(F.array(*[times("seq", a) for a in acts]).alias("c")).distinct().collect()
     return [(tuple(r["c"]), at[r["a"]]) for r in rows], [tuple(r["c"]) for r in full]
 
 

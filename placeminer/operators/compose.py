@@ -67,11 +67,11 @@ def cuts(n_under: int, n_over: int, total: int, tau: float, depth: int, can_post
     return under, over and not under
 
 
-def cut_columns(total: int, tau: float, last_post: Column, last_pre: Column, mode: str = "paper") -> tuple[Column, Column]:
-    """:func:`cuts` over a frontier with counts; ``last_post``: no postset extension is left, ``last_pre`` likewise."""
+def cut_columns(total: int, tau: float, last_post: Column, mode: str = "paper", n_under: str = "n_under", n_over: str = "n_over") -> tuple[Column, Column]:
+    """:func:`cuts` over a frontier with counts; ``last_post``: no postset extension is left."""
     t = MICRO - round(tau * MICRO)
-    under = (F.col("depth") >= 2) & (F.col("n_under") * MICRO > F.lit(t) * total)
-    over = last_post & (F.col("n_over") * MICRO > F.lit(t) * total)
+    under = (F.col("depth") >= 2) & (F.col(n_under) * MICRO > F.lit(t) * total)
+    over = last_post & (F.col(n_over) * MICRO > F.lit(t) * total)
     no = F.lit(False)
     return {"none": (no, no), "under": (under, no), "over": (no, over), "both": (under, over)}.get(mode, (under, over & ~under))
 

@@ -93,17 +93,11 @@ def discover(
         last_post = F.element_at("post_rank", -1) == m - 1
         last_pre = F.element_at("pre_rank", -1) == n - 1
         if tree.prefer == "pre":  # the mirrored tree mirrors the rules
-            swapped = cut_columns(total, tau, last_pre, last_post, cut_mode)
-            cut_post, cut_pre = swapped[1], swapped[0]
+            cut_pre, cut_post = cut_columns(total, tau, last_pre, cut_mode, "n_over", "n_under")
         else:
-            cut_post, cut_pre = cut_columns(total, tau, last_post, last_pre, cut_mode)
+            cut_post, cut_pre = cut_columns(total, tau, last_post, cut_mode)
         with sup.timed("evaluate"):
-            scored = fitness(log, level, engine)
-            if tree.prefer == "pre":
-                scored = scored.withColumnsRenamed({"n_under": "n_over", "n_over": "n_under"}).withColumn("cut_post", cut_post).withColumn("cut_pre", cut_pre).withColumnsRenamed({"n_under": "n_over", "n_over": "n_under"})
-            else:
-                scored = scored.withColumn("cut_post", cut_post).withColumn("cut_pre", cut_pre)
-            done = checkpointed(scored)
+            done = checkpointed(fitness(log, level, engine).withColumns({"cut_post": cut_post, "cut_pre": cut_pre}))
         facts = done.agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("cut_post").cast("long")).alias("a"), F.sum(F.col("cut_pre").cast("long")).alias("b")).first()
         if not facts["n"]:
             break
