@@ -33,7 +33,6 @@ def sql_place_fits(seq: str, pre: str, post: str) -> str:
     return f"({sql_place_state(seq, pre, post)}).fit"
 
 
-@pandas_udf("boolean")
 def place_fits(seq: pd.Series, pre: pd.Series, post: pd.Series) -> pd.Series:
     def one(s, i, o) -> bool:
         i, o, tokens = set(i), set(o), 0
@@ -81,7 +80,7 @@ def search_small(seqs: list[list[str]], freqs: list[int], tau: float, max_depth:
 
 @udtf(returnType="segment string, pre array<string>, post array<string>, n_fit bigint, n_total bigint")
 class DiscoverPlaces:
-    """``discover_places(TABLE(log) PARTITION BY segment, options)`` over rows (segment, seq array<string>, freq): the small log of
+    """``discover_places(TABLE(log) PARTITION BY (segment), options)`` over rows (segment, seq array<string>, freq): the small log of
     each segment is searched inside one Python worker. Options is JSON with tau, max_depth, oracle."""
 
     def __init__(self):
@@ -111,7 +110,7 @@ def discover_segments(log, tau: float, max_depth: int, oracle: str | None = None
 
 def register(spark: SparkSession) -> None:
     """Make the functions known to SQL."""
-    spark.udf.register("place_fits", place_fits)
+    spark.udf.register("place_fits", pandas_udf(place_fits, "boolean"))
     spark.udtf.register("place_children", PlaceChildren)
     spark.udtf.register("discover_places", DiscoverPlaces)
 

@@ -56,8 +56,9 @@ def controlled_spearman(runs: DataFrame, x: str, y: str, control: list[str]) ->
         return df.withColumn(f"r_{c}", F.rank().over(W.partitionBy(*keys).orderBy(c)) + (F.count(F.lit(1)).over(W.partitionBy(*keys, c)) - 1) / 2)
 
     both = ranked(ranked(runs.where(F.col(x).isNotNull() & F.col(y).isNotNull()), x), y)
-    flat = (F.min(f"r_{x}") == F.max(f"r_{x}")) | (F.min(f"r_{y}") == F.max(f"r_{y}"))
-    each = both.groupBy(*keys).agg(F.when(~flat, F.corr(f"r_{x}", f"r_{y}")).alias("rho"))
+    w = W.partitionBy(*keys)
+    varies = (F.min(f"r_{x}").over(w) < F.max(f"r_{x}").over(w)) & (F.min(f"r_{y}").over(w) < F.max(f"r_{y}").over(w))
+    each = both.withColumn("__x", F.when(varies, F.col(f"r_{x}"))).groupBy(*keys).agg(F.corr("__x", f"r_{y}").alias("rho"))
     return each.groupBy("log").agg(F.avg("rho").alias("rho"), F.count("rho").alias("groups"), F.count_if(F.col("rho").isNull()).alias("constant"))
 
 
