@@ -7,22 +7,29 @@ meet with a chance of 2**-64 a pair.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
+import pyarrow as pa
 import xxhash
 
 #: Odd multipliers of the five positions of a shingle, made by a rule.
 MULTIPLIERS = [np.uint64(xxhash.xxh64_intdigest(f"position {i}") | 1) for i in range(5)]
 #: Memoised words per task.
-MEMO = 1 << 20
+MEMO = 1 << 16
 
 
 class WordHashes(dict):
     """word bytes -> signed 64-bit hash, memoised within a bound."""
 
+    def __init__(self, memo: int = MEMO):
+        super().__init__()
+        self.memo = memo
+
     def __missing__(self, word: bytes) -> int:
         h = xxhash.xxh64_intdigest(word)
         h = h - (1 << 64) if h >> 63 else h
-        if len(self) < MEMO:
+        if len(self) < self.memo:
             self[word] = h
         return h
 
@@ -52,3 +59,9 @@ def windows(h: np.ndarray, width: int = 5) -> np.ndarray:
 def shingles(h: np.ndarray) -> np.ndarray:
     """Hashes of the distinct five-word shingles, sorted; the whole sequence if there are fewer words."""
     return np.unique(windows(h, min(5, len(h)))) if len(h) else np.empty(0, np.uint64)
+
+
+def slices(batch: pa.RecordBatch, rows: int = 512) -> Iterator[pa.RecordBatch]:
+    """Parts of a batch, so that few texts are Python objects at once."""
+    for i in range(0, len(batch), rows):
+        yield batch.slice(i, rows)
