@@ -25,3 +25,8 @@ def footprint(log: DataFrame) -> DataFrame:
     both = pairs.join(F.broadcast(g), ["src", "dst"], "left").join(F.broadcast(back), ["src", "dst"], "left")
     there, back_ = F.col("there").isNotNull(), F.col("back").isNotNull()
     return both.select("src", "dst", F.when(there & back_, "||").when(there, "->").when(back_, "<-").otherwise("#").alias("relation"))
+
+
+def footprint_matrix(log: DataFrame, labels: list[str]) -> DataFrame:
+    """The footprint with one column per activity."""
+    return footprint(log).groupBy("src").pivot("dst", labels).agg(F.first("relation"))

@@ -6,6 +6,7 @@ nest; the innermost collects. Cuts of the walk that depend on one candidate alon
 
 from __future__ import annotations
 
+import threading
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -67,6 +68,13 @@ def cuts(n_under: int, n_over: int, total: int, tau: float, depth: int, can_post
     return under, over and not under
 
 
+def explain(tree, node, n_under: int, n_over: int, total: int, tau: float, mode: str = "paper") -> list[tuple[str, int]]:
+    """Which rules cut a node of a tree, and how many candidates each removes."""
+    can_post, can_pre = bool(tree.extensions(node, "post")), bool(tree.extensions(node, "pre"))
+    post, pre = cuts(n_under, n_over, total, tau, len(node[0]) + len(node[1]), can_post, can_pre, mode)
+    return [(rule, tree.cut_mass(node, side)) for rule, side, on in (("underfed", "post", post), ("overfed", "pre", pre)) if on]
+
+
 def cut_columns(total: int, tau: float, last_post: Column, mode: str = "paper", n_under: str = "n_under", n_over: str = "n_over") -> tuple[Column, Column]:
     """:func:`cuts` over a frontier with counts; ``last_post``: no postset extension is left."""
     t = MICRO - round(tau * MICRO)
@@ -102,6 +110,10 @@ class Composer:
         """Pairs that no further candidate may connect."""
         return set()
 
+    def extra_cuts(self, c: Candidate) -> tuple[bool, bool]:
+        """(cut_post, cut_pre) beyond those of fitness (M17), for composers that steer by another quality; void completeness."""
+        return False, False
+
 
 class Collect(Composer):
     """The innermost composer: accepts all."""
@@ -149,6 +161,23 @@ class Wrapper(Composer):
     def wired_pairs(self) -> set[tuple[int, int]]:
         return self.inner.wired_pairs
 
+    def extra_cuts(self, c: Candidate) -> tuple[bool, bool]:
+        return self.inner.extra_cuts(c)
+
+
+class CutWhere(Wrapper):
+    """Cuts both subtrees of candidates that a predicate names (M16, M17), such as :func:`redundancy_cut`."""
+
+    complete = False
+
+    def __init__(self, inner: Composer, where):
+        super().__init__(inner)
+        self.where = where
+
+    def extra_cuts(self, c: Candidate) -> tuple[bool, bool]:
+        cut = bool(self.where(c, self.inner.accepted))
+        return cut, cut
+
 
 class Threshold(Wrapper):
     """Lets candidates pass that fit a share ``tau`` of the traces (M3)."""
@@ -307,10 +336,14 @@ class Budget:
     max_candidates: int | None = None
     max_places: int | None = None
     stagnation: int | None = None
+    #: Set from another thread to end the search after the batch at hand.
+    cancel: threading.Event | None = None
     _quiet: int = field(default=0, repr=False)
 
     def spent(self, elapsed: float, candidates: int, places: int, changed: bool) -> str | None:
         self._quiet = 0 if changed else self._quiet + 1
+        if self.cancel is not None and self.cancel.is_set():
+            return "cancelled"
         if self.seconds is not None and elapsed > self.seconds:
             return "seconds"
         if self.max_candidates is not None and candidates >= self.max_candidates:

@@ -224,6 +224,27 @@ def decide(log: SparkLog, places: list[Place], tau: float, head_mass: float = 0.
     return out
 
 
+def counts_projected(log: SparkLog, places: list[Place], width: int = 12) -> np.ndarray:
+    """Counts of a bounded list of places, each chunk of them on the log restricted to its activities (at most ``width`` where
+    places allow) and compressed again: variants that differ elsewhere fall together, which helps where most traces are unique."""
+    from .log import project
+
+    order = sorted(range(len(places)), key=lambda i: places[i])
+    chunks: list[tuple[set[int], list[int]]] = []
+    for i in order:
+        acts = {*places[i][0], *places[i][1]}
+        if chunks and len(chunks[-1][0] | acts) <= max(width, len(acts)):
+            chunks[-1][0].update(acts)
+            chunks[-1][1].append(i)
+        else:
+            chunks.append((acts, [i]))
+    out = np.zeros((len(places), 4), np.int64)
+    for acts, members in chunks:
+        part = SparkLog(project(log.variants, sorted(acts)), log.labels)
+        out[members] = part.counts([places[i] for i in members])
+    return out
+
+
 def relative_fitness(log: SparkLog, places: list[Place]) -> DataFrame:
     """place, n_touching, n_fit_touching: fitness among the traces that hold an adjacent activity."""
 

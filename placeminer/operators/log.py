@@ -99,3 +99,8 @@ def by_segment(events: DataFrame, segment: Column | str) -> DataFrame:
 def preview(log: DataFrame, n: int = 20) -> DataFrame:
     """The most frequent variants as text."""
     return log.select(F.concat_ws(">", "seq").alias("variant"), "freq").orderBy(F.desc("freq"), "variant").limit(n)
+
+
+def estimated_variants(behaviors: DataFrame, error: float = 0.02) -> int:
+    """About how many variants there are, before they are grouped: tells whether compression pays."""
+    return behaviors.agg(F.approx_count_distinct(F.xxhash64("seq"), error)).first()[0]

@@ -227,6 +227,8 @@ def walk(
                 cut_pre, cut_post = cuts(int(c[2]), int(c[1]), total, tau, d, can_pre, can_post, cut_mode)
             else:
                 cut_post, cut_pre = cuts(int(c[1]), int(c[2]), total, tau, d, can_post, can_pre, cut_mode)
+            more = composer.extra_cuts(Candidate(place, tuple(int(x) for x in c), total))
+            cut_post, cut_pre = cut_post or more[0], cut_pre or more[1]
             for rule, cut in (("post", cut_post), ("pre", cut_pre)):
                 if cut:
                     sup.count("evaluate", f"cut_{rule}")

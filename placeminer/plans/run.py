@@ -42,7 +42,10 @@ class Prepared:
         return universal_place(len(self.labels), self.start, self.end)
 
 
-def prepare(events: DataFrame, how: str = "first_index", seed: int = 0, explicit: list[str] | None = None) -> Prepared:
+def prepare(events: DataFrame, how: str = "first_index", seed: int = 0, explicit: list[str] | None = None, pre: list = ()) -> Prepared:
+    """``pre``: functions from events to events that run first (P10), such as relabelling for duplicate or silent steps."""
+    for step in pre:
+        events = step(events)
     named = logs.variants(logs.traces(events)).persist()
     inner = order.ordered(named, how, seed=seed, explicit=explicit)
     labels = [START, *inner, END]

@@ -29,14 +29,14 @@ def _tags(spark: SparkSession, d: str, keep: tuple[str, ...] | None = None) -> D
     return LogSpec("tags", ("page_id",), "tag", ("pos",)).events(found)
 
 
-def _lifecycle(spark: SparkSession, d: str) -> DataFrame:
+def _lifecycle(spark: SparkSession, d: str, planted: bool = False) -> DataFrame:
     orders, lines = _table(spark, d, "orders"), _table(spark, d, "lineitem")
     no_date, no_int = F.lit(None).cast("timestamp_ntz"), F.lit(None).cast("long")
     row = lambda key, stage, activity, date=no_date, a=no_int, b=no_int: (
         F.col(key).alias("k"), F.lit(stage).alias("stage"), date.cast("timestamp_ntz").alias("d"), a.cast("long").alias("a"), b.cast("long").alias("b"), activity.alias("activity")
     )
     placed = orders.select(*row("o_orderkey", 0, F.concat(F.lit("place:"), "o_orderpriority")))
-    closed = orders.select(*row("o_orderkey", 2, F.concat(F.lit("close:"), "o_orderstatus")))
+    closed = orders.select(*row("o_orderkey", 2, F.concat(F.lit("close:"), "o_orderpriority" if planted else "o_orderstatus")))
     shipped = lines.select(*row("l_orderkey", 1, F.concat(F.lit("ship:"), "l_returnflag"), F.col("l_shipdate"), F.col("l_linenumber"), F.col("l_partkey")))
     return LogSpec("lifecycle", ("k",), "activity", ("stage", "d", "a", "b")).events(placed.union(closed).union(shipped))
 
@@ -68,6 +68,7 @@ LOGS = {
     "tags": _tags,
     "tags_core": lambda spark, d: _tags(spark, d, CORE_TAGS),
     "lifecycle": _lifecycle,
+    "lifecycle_planted": lambda spark, d: _lifecycle(spark, d, True),
     "events_day": _simple("events", LogSpec("events_day", ("user_id", "to_date(ts)"), "event_type", ("ts", "event_id"))),
     "events_sess": _sessions,
     "events_user": _simple("events", LogSpec("events_user", ("user_id",), "event_type", ("ts", "event_id"))),
@@ -86,6 +87,9 @@ SQL = {
     "lifecycle": """SELECT CAST(o_orderkey AS VARCHAR) AS case_id, 'place:' || o_orderpriority AS activity, 0 AS o1, TIMESTAMP '1900-01-01' AS o2, 0 AS o3, 0 AS o4 FROM orders
         UNION ALL SELECT CAST(o_orderkey AS VARCHAR), 'close:' || o_orderstatus, 2, TIMESTAMP '1900-01-01', 0, 0 FROM orders
         UNION ALL SELECT CAST(l_orderkey AS VARCHAR), 'ship:' || l_returnflag, 1, l_shipdate, l_linenumber, l_partkey FROM lineitem""",
+    "lifecycle_planted": """SELECT CAST(o_orderkey AS VARCHAR) AS case_id, 'place:' || o_orderpriority AS activity, 0 AS o1, TIMESTAMP '1900-01-01' AS o2, 0 AS o3, 0 AS o4 FROM orders
+        UNION ALL SELECT CAST(o_orderkey AS VARCHAR), 'close:' || o_orderpriority, 2, TIMESTAMP '1900-01-01', 0, 0 FROM orders
+        UNION ALL SELECT CAST(l_orderkey AS VARCHAR), 'ship:' || l_returnflag, 1, l_shipdate, l_linenumber, l_partkey FROM lineitem""",
     "events_day": "SELECT user_id || '|' || CAST(CAST(ts AS DATE) AS VARCHAR) AS case_id, event_type AS activity, ts AS o1, event_id AS o2, 0 AS o3, 0 AS o4 FROM events",
     "events_sess": """SELECT user_id || '|' || sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS case_id, event_type AS activity, ts AS o1, event_id AS o2, 0 AS o3, 0 AS o4 FROM
         (SELECT *, CASE WHEN epoch_us(ts) - epoch_us(lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id)) > 21600000000 THEN 1 ELSE 0 END AS fresh FROM events)""",

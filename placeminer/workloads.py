@@ -15,11 +15,12 @@ from .operators import conformance, heuristics, log as logs, order, post, stats
 from .operators.baselines import alpha as alpha_miner
 from .operators.baselines import brute, cuts as cut_miner, dfg as graph, region as region_miner
 from .operators.compose import Budget, Candidate, Collect, Delta, Implicit, Postponing, Threshold, Uniwired, beam, reaches, support_score
-from .operators.evaluate import SparkLog, fitness, relative_fitness
+from .operators.evaluate import counts_projected, fitness, relative_fitness
 from .operators.implicit import agreement, dominance_fold, log_language_kept
 from .operators.lp import lp_implicit
 from .operators.model import arcs_table, deadlocks, to_net
-from .operators.tree import Tree, tree_of
+from .operators.suite import EvaluatorSuite, adds_something, at_most_arcs, reaches_threshold
+from .operators.tree import Tree
 from .plans.config import PRESETS, Config
 from .plans.experiment import grid
 from .plans.propose import _with_ids, discover, walk
@@ -157,6 +158,29 @@ def place_fitness_depth3(spark: SparkSession, d: str) -> DataFrame:
     return _counts(p, _pairs(p, 3))
 
 
+def planted_dependency(spark: SparkSession, d: str) -> DataFrame:
+    """On the log whose closing label repeats the priority: the pairs that every trace fits tie each order to its own closing."""
+    return place_fitness_pairs("lifecycle_planted")(spark, d).where("n_fit = n_total")
+
+
+def projected_counts(spark: SparkSession, d: str) -> DataFrame:
+    """The pair counts of a log of mostly unique traces, from the log restricted to each chunk's activities."""
+    p = ready(spark, d, "lineflags")
+    t = tree(Config(max_depth=2), p)
+    places = [t.ids(n, p.labels) for n in t.subtree() if n[0] and n[1]]
+    c = counts_projected(p.log, places, 4)
+    return _rows(p, places, lambda i, _: (*map(int, c[i][:3]), p.log.total), "n_fit long, n_under long, n_over long, n_total long")
+
+
+def evaluator_suite(spark: SparkSession, d: str) -> DataFrame:
+    """How many places each evaluator of a suite has to judge, cheap ones first."""
+    p = ready(spark, d, "conv")
+    t = tree(Config(max_depth=4), p)
+    suite = EvaluatorSuite([reaches_threshold(0.5), at_most_arcs(3), adds_something()])
+    left = suite.passing(p.log, [t.ids(n, p.labels) for n in t.subtree() if n[0] and n[1]], [(tuple([p.start]), tuple([p.end]))])
+    return spark.createDataFrame([*suite.asked.items(), ("passing", len(left))], "evaluator string, n long")
+
+
 def passing_by_tau(spark: SparkSession, d: str) -> DataFrame:
     out = None
     for name in ("conv", "events_day", "lineflags", "lifecycle", "tags_core"):
@@ -504,6 +528,10 @@ def queries() -> dict[str, Query]:
         "ordering_ablation": ordering_ablation,
         **{f"place_fitness_pairs_{n}": place_fitness_pairs(n) for n in ("conv", "lifecycle", "tags_core", "lineflags")},
         "place_fitness_depth3_events_day": place_fitness_depth3,
+        "planted_dependency": planted_dependency,
+        "projected_counts_lineflags": projected_counts,
+        "footprint_matrix_conv": lambda s, d: graph.footprint_matrix(names_log(s, d, "conv"), ["assistant", "system", "user", START, END]),
+        "evaluator_suite_conv": evaluator_suite,
         "passing_by_tau": passing_by_tau,
         "cuts_depth2_events_day": cuts_depth2,
         "pruning_ablation": pruning_ablation,
@@ -530,7 +558,7 @@ def queries() -> dict[str, Query]:
         "replay_fitness_conv": replay_fitness_conv,
         "relative_fitness_events_day": relative_fitness_events,
         "best_model_tags": best_model("tags_core", 0.8, 4),
-        "best_model_lifecycle": best_model("lifecycle", 0.9, 3),
+        "best_model_lifecycle": best_model("lifecycle_planted", 1.0, 3),
         "dead_activities": dead_activities_lifecycle,
         "deadlocks_longterm": deadlocks_longterm,
         "stagnation_curve": stagnation_curve,
@@ -631,6 +659,8 @@ def oracle_sql() -> dict[str, str]:
         UNION ALL SELECT a.act || '>' || b.act || ',' || c.act, [a.act], [b.act, c.act] FROM pre_acts a, post_acts b, post_acts c WHERE b.act < c.act)"""
     out["place_fitness_depth3_events_day"] = f"{_with('events_day')}, {three}, {_FIT} {_COUNTS}"
     tau = "(VALUES (1000), (900), (800), (700), (600), (500)) q(tau)"
+    out["planted_dependency"] = f"SELECT * FROM ({_pairs_sql('lifecycle_planted')}) WHERE n_fit = n_total"
+    out["projected_counts_lineflags"] = _pairs_sql("lineflags")
     out["passing_by_tau"] = " UNION ALL ".join(
         f"SELECT * FROM ({_with(n)}, {_PAIRS}, {_FIT} SELECT '{n}' AS log, tau AS tau_permille, count(*) FILTER (n_fit * 1000 >= tau * n_total) AS n_passing FROM fc CROSS JOIN {tau} GROUP BY tau)" for n in ("conv", "events_day", "lineflags", "lifecycle", "tags_core")
     )

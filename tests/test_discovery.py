@@ -281,3 +281,38 @@ def test_edge_cases(spark):
     long = spark.createDataFrame([(["__START__", *["a", "b"] * 50_000, "__END__"], 1)], "seq array<string>, freq long").selectExpr("xxhash64(seq) variant_id", "seq", "freq")
     log = SparkLog(logs.encode(long, [S, "a", "b", E]), [S, "a", "b", E])
     assert log.counts([((1,), (2,))]).tolist() == [[1, 0, 0, 0]]
+
+
+def test_suite_projection_cancel_and_extra_cuts(spark, sf):
+    import threading
+
+    from placeminer.operators.baselines.dfg import footprint_matrix
+    from placeminer.operators.compose import CutWhere, explain, redundancy_cut
+    from placeminer.operators.evaluate import counts_projected
+    from placeminer.operators.suite import EvaluatorSuite, adds_something, at_most_arcs, reaches_threshold
+    from placeminer.workloads import names_log
+
+    p = ready(spark, sf, "events_day")
+    t = tree_of(p.labels[1:-1], 3)
+    places = [t.ids(n, p.labels) for n in t.subtree() if n[0] and n[1]]
+    assert (counts_projected(p.log, places, 4) == p.log.counts(places)).all()
+    suite = EvaluatorSuite([adds_something(), reaches_threshold(0.5), at_most_arcs(2)])
+    left = suite.passing(p.log, places)
+    assert suite.asked["arcs<=2"] == len(places) >= suite.asked["fit>=0.5"] >= suite.asked["adds_something"] >= len(left)
+    stop = threading.Event()
+    stop.set()
+    assert walk(p.log, p.labels, t, 0.5, budget=Budget(cancel=stop), strategy="dfs", batch=5).stopped == "cancelled"
+    cut = walk(p.log, p.labels, t, 0.5, CutWhere(Threshold(Collect(), 0.5), lambda c, m: redundancy_cut(p.log, c.place, m)))
+    assert not cut.complete and cut.proposed <= walk(p.log, p.labels, t, 0.5).proposed
+    node = ((0,), (0,))
+    assert explain(t, node, 9, 0, 10, 0.5) == [("underfed", t.cut_mass(node, "post"))]
+    assert footprint_matrix(names_log(spark, sf, "conv"), p.labels[:2]).count()
+    assert abs(logs.estimated_variants(names_log(spark, sf, "events_day")) / names_log(spark, sf, "events_day").count() - 1) < 0.1
+    silent = prepare(events(spark, sf, "conv"), pre=[lambda e: e.where("activity <> 'system'")])
+    assert "system" not in silent.labels
+
+
+def test_planted_dependency_is_found(spark, sf):
+    p = ready(spark, sf, "lifecycle_planted")
+    found = run(Config(log="lifecycle_planted", tau=1.0, max_depth=2, oracle="lp"), p, quality=False).names()
+    assert all(((f"place:{x}",), (f"close:{x}",)) in found for x in ("1-URGENT", "2-HIGH", "3-MEDIUM", "4-NOT SPECIFIED", "5-LOW"))
