@@ -26,11 +26,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import checkpointed
-from .words import MEMO, MULTIPLIERS, WordHashes
+from .words import MEMO, MULTIPLIERS, slices, tidy
 
 WIDTH = 32
 ENTRIES = 4
-WORD_SLOTS = 1 << 16
+WORD_SLOTS = 1 << 14
 SHAPE_SLOTS = 1 << 11
 REACH = 2
 FEATURES = 2 * WIDTH + 3
@@ -184,11 +184,12 @@ def fit(docs: DataFrame, labels: DataFrame, max_rows: int = 20000) -> Model:
             total += np.frombuffer(b, np.float32).reshape(slots, WIDTH)
         return total / np.maximum(np.linalg.norm(total, axis=1, keepdims=True), 1e-6)
 
-    found = rows.select("text").mapInArrow(context, "words binary, shapes binary").collect()
+    found = rows.select("text").mapInArrow(tidy(context), "words binary, shapes binary").collect()
     words, shapes = directions([r["words"] for r in found], WORD_SLOTS), directions([r["shapes"] for r in found], SHAPE_SLOTS)
+    del found
     model = Model(words, shapes, index_vectors(WORD_SLOTS, 1), None)
     sample = _features(rows, model, ["y"], "y double").toArrow().sort_by([("doc_id", "ascending"), ("y", "ascending")])
-    x = np.array(sample.column("x").to_pylist(), np.float64).reshape(-1, FEATURES)
+    x = np.frombuffer(b"".join(sample.column("x").to_pylist()), np.float64).reshape(-1, FEATURES)
     model.network = train(x, sample.column("y").to_numpy())
     return model
 
@@ -199,10 +200,12 @@ def _features(rows: DataFrame, model: Model, keep: list[str], schema: str) -> Da
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         slots = Slots()
         for batch in batches:
-            x = [pooled(slots.of(t), *shared.value).tolist() for t in batch.column("text").to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), *map(batch.column, keep), pa.array(x, pa.list_(pa.float64()))], names=["doc_id", *keep, "x"])
+            for part in slices(batch):
+                x = np.array([pooled(slots.of(t), *shared.value) for t in part.column("text").to_pylist()])
+                blob = pa.FixedSizeBinaryArray.from_buffers(pa.binary(8 * FEATURES), len(part), [None, pa.py_buffer(x.tobytes())]).cast(pa.binary())
+                yield pa.RecordBatch.from_arrays([part.column("doc_id").cast(pa.int64()), *map(part.column, keep), blob], names=["doc_id", *keep, "x"])
 
-    return rows.select("doc_id", "text", *keep).mapInArrow(run, f"doc_id long, {schema}, x array<double>")
+    return rows.select("doc_id", "text", *keep).mapInArrow(tidy(run), f"doc_id long, {schema}, x binary")
 
 
 def scores(docs: DataFrame, model: Model, keep: list[str] | None = None) -> DataFrame:
@@ -215,11 +218,11 @@ def scores(docs: DataFrame, model: Model, keep: list[str] | None = None) -> Data
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         slots = Slots()
         words, shapes, index, network = shared.value
-        for batch in batches:
+        for batch in (part for whole in batches for part in slices(whole)):
             x = np.array([pooled(slots.of(t), words, shapes, index) for t in batch.column("text").to_pylist()]).reshape(-1, FEATURES)
             yield pa.RecordBatch.from_arrays([*map(batch.column, keep), pa.array(network.scores(x), pa.float64())], names=[*keep, "score"])
 
-    return kept.mapInArrow(run, f"{schema}, score double")
+    return kept.mapInArrow(tidy(run), f"{schema}, score double")
 
 
 def filtered(docs: DataFrame, model: Model, threshold: float = 0.5) -> DataFrame:
