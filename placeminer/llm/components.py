@@ -11,6 +11,10 @@ from pyspark.sql import functions as F
 from .common import checkpointed
 
 
+#: Edges that one task of a round writes at least.
+EDGES_PER_FILE = 100_000
+
+
 def _forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """A task's edges as stars around the least node of each of its components."""
     parent: dict[int, int] = {}
@@ -48,8 +52,9 @@ def connected(edges: DataFrame, limit: int = 60) -> DataFrame:
         state = fresh
         both = now.union(now.select("v", "u"))
         least = both.groupBy("u").agg(F.min(F.least("u", "v")).alias("m"))
-        large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
         down = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(down, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(down.select("u", "m"))
-        now = checkpointed(small.distinct())
+        # A round has no more edges than the last; few edges are written as few files.
+        now = checkpointed(small.distinct().coalesce(max(8, fresh["n"] // EDGES_PER_FILE)))
     raise RuntimeError("components did not settle")

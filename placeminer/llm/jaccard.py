@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 
 from .common import checkpointed, partitions
 from .components import connected
-from .words import MULTIPLIERS, WordHashes, mixed, shingles, slices
+from .words import MULTIPLIERS, WordHashes, mixed, shingles, slices, tidy
 
 #: Tokens that a task holds before it deals them out; signatures that it remembers.
 CHUNK = 300_000
@@ -305,17 +305,17 @@ def groups(docs: DataFrame) -> DataFrame:
     deal, deal_schema = _dealt(parts)
     count, count_schema = _counted(parts)
     gather, gather_schema = _gathered()
-    dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(deal, deal_schema)
-    counted = checkpointed(dealt.repartitionById(parts, "bucket").mapInArrow(count, count_schema))
+    dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(deal), deal_schema)
+    counted = checkpointed(dealt.repartitionById(parts, "bucket").mapInArrow(tidy(count), count_schema))
     rows = counted.where("kind = 0").select("doc_id", "n", "sig")
-    nodes = checkpointed(counted.where("kind > 0").select("kind", "bucket", "s", "a", "b").repartitionById(parts, "bucket").mapInArrow(gather, gather_schema))
+    nodes = checkpointed(counted.where("kind > 0").select("kind", "bucket", "s", "a", "b").repartitionById(parts, "bucket").mapInArrow(tidy(gather), gather_schema))
 
     near = None
     for r in range(ROUNDS):
         compare, link_schema = _neighbours(f"k{r}")
         key = [F.col(f"k{r}")[i] for i in range(3)]
         line = nodes.select("sig", "n", "toks", f"k{r}").repartitionByRange(parts, *key, "sig").sortWithinPartitions(*key, "sig")
-        found = line.mapInArrow(compare, link_schema)
+        found = line.mapInArrow(tidy(compare), link_schema)
         near = found if near is None else near.union(found)
     first = connected(near)
 
@@ -353,3 +353,20 @@ def representatives(docs: DataFrame) -> DataFrame:
     one = W.partitionBy("doc_id").orderBy(F.xxhash64("text"))
     kept = docs.join(keep, "doc_id", "left_semi").withColumn("__copy", F.row_number().over(one)).where("__copy = 1").select(*docs.columns)
     return kept.unionByName(docs.where(F.col("doc_id").isNull()))
+
+
+def oracle(view: str = "documents") -> str:
+    """The thin query's rows in DuckDB SQL, by joining all documents that share a shingle; for small tables."""
+    word = r"[^\x20\x09-\x0D]+"
+    upper, lower = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+    return f"""
+    WITH RECURSIVE d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{upper}', '{lower}'), '{word}') AS ws FROM {view}),
+    sh AS (SELECT DISTINCT doc_id, array_to_string(list_slice(ws, i, i + 4), ' ') AS s FROM (SELECT doc_id, ws, unnest(range(1, greatest(len(ws) - 3, 2))) AS i FROM d WHERE len(ws) > 0)),
+    n AS (SELECT doc_id, count(*) AS n FROM sh GROUP BY doc_id),
+    both_ AS (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS c FROM sh a JOIN sh b ON a.s = b.s AND a.doc_id < b.doc_id GROUP BY 1, 2),
+    link AS (SELECT x, y FROM both_ JOIN n p ON p.doc_id = x JOIN n q ON q.doc_id = y WHERE 100 * c >= 80 * (p.n + q.n - c)),
+    way AS (SELECT x, y FROM link UNION ALL SELECT y, x FROM link),
+    reach AS (SELECT x AS doc_id, y AS c FROM way UNION SELECT reach.doc_id, way.y FROM reach JOIN way ON reach.c = way.x)
+    SELECT d.doc_id, CAST(coalesce(any_value(n.n), 0) AS BIGINT) AS n_shingles, CAST(least(d.doc_id, coalesce(min(reach.c), d.doc_id)) AS BIGINT) AS component_id
+    FROM d LEFT JOIN n ON n.doc_id = d.doc_id LEFT JOIN reach ON reach.doc_id = d.doc_id GROUP BY d.doc_id
+    """

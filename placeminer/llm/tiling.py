@@ -25,7 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .words import WordHashes, windows
+from .words import WordHashes, slices, tidy, windows
 
 MIN_TILE = 5
 THRESHOLD = 0.5
@@ -134,14 +134,14 @@ def matches(docs: DataFrame, benchmark: DataFrame, threshold: float = THRESHOLD)
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             seeds, words = Seeds(shared.value), WordHashes()
-            for batch in batches:
+            for batch in (part for whole in batches for part in slices(whole)):
                 rows = []
                 for d, t in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist()):
                     rows += [(d, *f, f[2] / f[3]) for f in seeds.found(words.of(normal(t))) if f[2] >= threshold * f[3]]
                 if rows:
                     yield pa.RecordBatch.from_pydict(dict(zip(("doc_id", "item_id", "n_tiles", "covered", "item_words", "longest", "coverage"), map(list, zip(*rows)))))
 
-        found = docs.select("doc_id", "text").mapInArrow(run, "doc_id long, item_id long, n_tiles long, covered long, item_words long, longest long, coverage double")
+        found = docs.select("doc_id", "text").mapInArrow(tidy(run), "doc_id long, item_id long, n_tiles long, covered long, item_words long, longest long, coverage double")
         out = found if out is None else out.unionAll(found)
     return out
 
@@ -154,9 +154,9 @@ def clean(docs: DataFrame, benchmark: DataFrame, threshold: float = THRESHOLD) -
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             seeds, words = Seeds(shared.value), WordHashes()
-            for batch in batches:
+            for batch in (part for whole in batches for part in slices(whole)):
                 keep = [not any(f[2] >= threshold * f[3] for f in seeds.found(words.of(normal(t)))) for t in batch.column("text").to_pylist()]
                 yield batch.filter(pa.array(keep, pa.bool_()))
 
-        out = out.mapInArrow(run, out.schema)
+        out = out.mapInArrow(tidy(run), out.schema)
     return out
