@@ -75,4 +75,6 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 def oracle_sql() -> dict[str, str]:
     return {
         "op3_rules": rules.oracle(),
+        "op4_hashtree": hashtree.oracle(),
+        "op6_jaccard": jaccard.oracle(),
     }

@@ -133,8 +133,11 @@ def oracle(shards: int = 24, view: str = "documents") -> str:
     tree = Tree.even(shards)
     seed, grown = tree.seed, tree.grown()
 
+    def uniform(path: str) -> str:
+        return f"((CAST(('0x' || substr(md5('{seed}|{path}|' || coalesce(CAST(doc_id AS VARCHAR), 'null')), 1, 12)) AS BIGINT) + 0.5) / 281474976710656.0)"
+
     def u(path: str) -> str:
-        return f"-ln((CAST(('0x' || substr(md5('{seed}|{path}|' || coalesce(CAST(doc_id AS VARCHAR), 'null')), 1, 12)) AS BIGINT) + 0.5) / 281474976710656.0)"
+        return f"-ln({uniform(path)})"
 
     def pick(options: list[tuple[float, str, str]]) -> str:
         if len(options) == 1:
@@ -161,9 +164,11 @@ def oracle(shards: int = 24, view: str = "documents") -> str:
         ])
 
     a, b = choice(tree), choice(grown)
+    # CRC-32 has no function there: the byte table follows from its polynomial, and each text is folded over it.
     return f"""
-    WITH d AS (SELECT *, {", ".join(f"{u(p)} AS {n}" for p, n in paths.items())} FROM {view}),
-    s AS (SELECT doc_id, CAST(coalesce(octet_length(encode(text)), 0) + 8 AS BIGINT) AS size, text, CAST({a} AS INTEGER) AS shard, CAST({b} AS INTEGER) AS grown_shard,
-                 -{u("slot")} AS u FROM d)
-    SELECT doc_id, size, 'key' AS law, shard, CAST(row_number() OVER (PARTITION BY shard ORDER BY u, doc_id, size) - 1 AS BIGINT) AS slot, grown_shard FROM s
+    WITH k AS (SELECT list(list_reduce(range(0, 8), lambda x, y: CASE WHEN x & 1 = 1 THEN xor(x >> 1, 3988292384) ELSE x >> 1 END, n) ORDER BY n) AS crc FROM range(0, 256) t(n)),
+    bytes AS (SELECT *, list_filter(list_transform(string_split(regexp_replace(hex(coalesce(text, '')), '(..)', '\\1,', 'g'), ','), lambda h: try_cast('0x' || h AS BIGINT)), lambda z: z IS NOT NULL) AS bs FROM {view}),
+    d AS (SELECT doc_id, len(bs) AS n, xor(list_reduce(bs, lambda x, z: xor(x >> 8, crc[xor(x & 255, z) + 1]), 4294967295), 4294967295) AS crc32, {", ".join(f"{u(p)} AS {n}" for p, n in paths.items())} FROM bytes, k),
+    s AS (SELECT doc_id, CAST(n + 8 AS BIGINT) AS size, CAST(crc32 AS BIGINT) AS text_crc32, CAST({a} AS INTEGER) AS shard, CAST({b} AS INTEGER) AS grown_shard, {uniform("slot")} AS u FROM d)
+    SELECT doc_id, size, text_crc32, 'key' AS law, shard, CAST(row_number() OVER (PARTITION BY shard ORDER BY u, doc_id, text_crc32, size) - 1 AS BIGINT) AS slot, grown_shard FROM s
     """
