@@ -20,8 +20,10 @@ from __future__ import annotations
 import hashlib
 import heapq
 import math
+from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -148,12 +150,33 @@ def mix(docs: DataFrame, *, seed: str = "mix-1", max_blocks: int = 16384, shards
     )
 
 
-def mixed(docs: DataFrame, **options) -> DataFrame:
-    """The rows of ``docs``, each as often as the mix takes it, to the nearest whole number, with the columns of ``docs``.
+def _whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Whole times for documents in order: what rounding leaves over or owes is carried to the next one of the slice."""
+    group, owed = None, 0
+    for batch in batches:
+        times = []
+        for source, part, size, taken in zip(*(batch.column(c).to_pylist() for c in ("source", "__slice", "size", "taken"))):
+            if (source, part) != group:
+                group, owed = (source, part), 0
+            owed += taken
+            n = min(LIMIT, max(0, (2 * owed + size) // (2 * size))) if size else 0
+            owed -= n * size
+            times.append(n)
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(times, pa.int32())], names=["doc_id", "__times"])
 
-    Rows are keyed by doc_id; of rows that repeat a doc_id each is taken as often as their shares together say on average.
+
+def mixed(docs: DataFrame, *, seed: str = "mix-1", **options) -> DataFrame:
+    """The rows of ``docs``, each a whole number of times, with the columns of ``docs``; a source's words stay near its target.
+
+    Within each slice of a source the documents come from large to small, and each is taken as often as its share
+    and what earlier ones left over say, so that the small ones settle the rest. Rows that repeat a doc_id are one document.
     """
-    taken = mix(docs, **options).groupBy("doc_id").agg(F.sum("taken").alias("__taken"), F.sum("size").alias("__size"))
-    times = F.when(F.col("__size") > 0, F.round(F.col("__taken") / F.col("__size"))).otherwise(0).cast("int")
-    kept = docs.join(taken.withColumn("__times", times).where("__times > 0").select("doc_id", "__times"), "doc_id")
+    slices = partitions(docs.sparkSession)
+    u = draw(seed, F.coalesce(F.col("doc_id").cast("string"), F.lit("null")))
+    one = mix(docs, seed=seed, **options).groupBy("doc_id").agg(F.sum("taken").alias("taken"), F.sum("size").alias("size"), F.min("source").alias("source"))
+    line = one.withColumn("__u", u).withColumn("__slice", F.floor(F.col("__u") * slices).cast("int")).repartition(slices, "source", "__slice")
+    order = ["source", "__slice", F.desc("size"), "__u", "doc_id"]
+    kind = dict(docs.dtypes)["doc_id"]
+    times = line.sortWithinPartitions(*order).select("doc_id", "source", "__slice", "size", "taken").mapInArrow(_whole, f"doc_id {kind}, __times int")
+    kept = docs.join(times.where("__times > 0"), "doc_id")
     return kept.withColumn("__turn", F.explode(F.sequence(F.lit(1), F.col("__times")))).select(*docs.columns)

@@ -206,6 +206,16 @@ def test_mixing(spark, docs, odd, empty):
     assert kept.columns == odd.columns and kept.count() >= 1
 
 
+def test_whole_documents_stay_near_the_targets(spark, sf01):
+    docs = spark.read.parquet(f"{sf01}/documents.parquet")
+    target = {r["source"]: r["target"] for r in mixing.mix(docs).collect()}
+    words, times = defaultdict(int), Counter()
+    for r in mixing.mixed(docs).collect():
+        words[r["source"]] += len(r["text"].split())
+        times[r["doc_id"]] += 1
+    assert all(abs(words[s] - t) <= 0.08 * t for s, t in target.items()) and max(times.values()) <= 3
+
+
 def test_targets_and_quotas():
     t = mixing.targets({"a": 100, "b": 10, None: 1000})
     assert list(t) == ["a", "b", None] and t["b"] <= 30 and t["a"] <= 300 and math.isclose(sum(t.values()), 1110)
