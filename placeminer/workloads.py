@@ -444,6 +444,34 @@ def grid_of(name: str, taus=(1.0, 0.8, 0.6), depths=(2, 3, 4)) -> Query:
     return lambda spark, d: grid(ready(spark, d, name), Config(log=name), taus, depths)
 
 
+GRID_LOGS = (("conv", (1.0, 0.9, 0.8, 0.7, 0.6, 0.5), (2, 3, 4, 5)), ("tags_core", (1.0, 0.9, 0.8, 0.7), (2, 3, 4)), ("events_day", (1.0, 0.8, 0.6, 0.5), (2, 3, 4)), ("lifecycle_planted", (1.0, 0.9, 0.8), (2, 3)))
+
+
+def grids(spark: SparkSession, d: str) -> DataFrame:
+    """The runs of all grids; rows of shared evaluation left out."""
+    out = None
+    for name, taus, depths in GRID_LOGS:
+        one = grid_of(name, taus, depths)(spark, d).where("oracle <> 'shared'")
+        out = one if out is None else out.union(one)
+    return out.cache()
+
+
+def grid_correlations(spark: SparkSession, d: str) -> DataFrame:
+    """Controlled rank correlations of threshold and depth with fitness and precision over our own grids."""
+    runs, out = grids(spark, d), None
+    for x, other in (("tau", "depth"), ("depth", "tau")):
+        for y in ("fitness", "precision", "f1"):
+            one = stats.controlled_spearman(runs, x, y, [other, "oracle"]).select("log", F.lit(x).alias("x"), F.lit(y).alias("y"), F.round("rho", 4).alias("rho"), "groups", "constant")
+            out = one if out is None else out.union(one)
+    return out
+
+
+def grid_tables(spark: SparkSession, d: str) -> DataFrame:
+    """Runtimes and place medians of our own grids, one row a log."""
+    runs = grids(spark, d)
+    return stats.runtimes(runs).join(stats.place_medians(runs), "log")
+
+
 def segments_discovery(spark: SparkSession, d: str) -> DataFrame:
     from .functions.register import discover_segments
 
@@ -564,6 +592,8 @@ def queries() -> dict[str, Query]:
         "stagnation_curve": stagnation_curve,
         **{f"grid_{n}": grid_of(n) for n in ("conv", "tags_core", "events_day")},
         "grid_lifecycle": grid_of("lifecycle", (1.0, 0.8), (2, 3)),
+        "grid_correlations": grid_correlations,
+        "grid_tables": grid_tables,
         "tags_wide_depth2": place_fitness_pairs("tags"),
         "segments_discovery": segments_discovery,
         "baseline_alpha_conv": alpha_conv,
