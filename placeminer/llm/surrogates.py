@@ -108,6 +108,11 @@ def stream(key: str, kind: str, canon: Column, attempt: Column) -> Column:
     return F.concat(F.sha2(seed, 256), F.sha2(F.concat(seed, F.lit("|+")), 256))
 
 
+def _let(value: Column, then) -> Column:
+    """``then(value)`` with the value worked out once, however often it is used."""
+    return F.get(F.transform(F.array(value), then), F.lit(0))
+
+
 def _byte(s: Column, i: Column | int) -> Column:
     """Byte ``i`` of a stream, going round."""
     i = i if isinstance(i, Column) else F.lit(i)
@@ -127,19 +132,22 @@ def _alike(s: Column, text: Column, hexadecimal: Column | None = None) -> Column
     """Digits for digits, letters for letters of the same case; hexadecimal letters where all of the text is hexadecimal."""
     hexadecimal = F.lit(False) if hexadecimal is None else hexadecimal
     low, high = "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
-    return _chars(
-        text,
-        lambda c, i: F.when(hexadecimal & c.rlike("[0-9a-f]"), _pick("0123456789abcdef", _byte(s, i) + i))
-        .when(hexadecimal & c.rlike("[0-9A-F]"), _pick("0123456789ABCDEF", _byte(s, i) + i))
-        .when(c.rlike("[0-9]"), _pick("0123456789", _byte(s, i) + i))
-        .when(c.rlike("[a-z]"), _pick(low, _byte(s, i) + i))
-        .when(c.rlike("[A-Z]"), _pick(high, _byte(s, i) + i))
-        .otherwise(c),
-    )
+
+    def change(v: Column):
+        return lambda c, i: (
+            F.when(hexadecimal & c.rlike("[0-9a-f]"), _pick("0123456789abcdef", _byte(v, i) + i))
+            .when(hexadecimal & c.rlike("[0-9A-F]"), _pick("0123456789ABCDEF", _byte(v, i) + i))
+            .when(c.rlike("[0-9]"), _pick("0123456789", _byte(v, i) + i))
+            .when(c.rlike("[a-z]"), _pick(low, _byte(v, i) + i))
+            .when(c.rlike("[A-Z]"), _pick(high, _byte(v, i) + i))
+            .otherwise(c)
+        )
+
+    return _let(s, lambda v: _chars(text, change(v)))
 
 
 def _digits(s: Column, n: Column) -> Column:
-    return F.array_join(F.transform(F.sequence(F.lit(0), n - 1), lambda i: ((_byte(s, i) + i) % 10).cast("string")), "")
+    return _let(s, lambda v: F.array_join(F.transform(F.sequence(F.lit(0), n - 1), lambda i: ((_byte(v, i) + i) % 10).cast("string")), ""))
 
 
 def _luhn(digits: Column) -> Column:
@@ -151,6 +159,10 @@ def _luhn(digits: Column) -> Column:
 
 def _formatted(e: Column, digits: Column, skip: Column) -> Column:
     """The digits after the first ``skip`` written over those of ``e``, which keeps its other characters."""
+    return _let(digits, lambda d: _written(e, d, skip))
+
+
+def _written(e: Column, digits: Column, skip: Column) -> Column:
     start = F.struct(F.lit("").alias("out"), F.lit(0).alias("k"))
     step = lambda a, c: F.when(c.rlike("[0-9]"), F.struct(F.concat(a["out"], F.when(a["k"] < skip, c).otherwise(F.substring(digits, a["k"] + 1, F.lit(1)))).alias("out"), (a["k"] + 1).alias("k"))).otherwise(F.struct(F.concat(a["out"], c).alias("out"), a["k"].alias("k")))
     return F.aggregate(F.filter(F.split(e, ""), lambda c: c != ""), start, step)["out"]
@@ -162,7 +174,7 @@ def _name(key: str, part: Column, attempt: Column, gender: Column, given: Column
     def of(script: str) -> Column:
         s = stream(key, "family", F.lower(part), attempt)
         syllables = F.array(*map(F.lit, SYLLABLES[script]))
-        made = F.initcap(F.array_join(F.transform(F.sequence(F.lit(0), F.lit(4)), lambda i: F.element_at(syllables, (_byte(s, i) % 16 + 1).cast("int"))), ""))
+        made = _let(s, lambda v: F.initcap(F.array_join(F.transform(F.sequence(F.lit(0), F.lit(4)), lambda i: F.element_at(syllables, (_byte(v, i) % 16 + 1).cast("int"))), "")))
         g = _byte(stream(key, "given", F.lower(part), attempt), 0) % 16 + 1
         pools = [F.element_at(F.array(*map(F.lit, GIVEN[script][x])), g.cast("int")) for x in "mfn"]
         return F.when(given, F.when(gender == "m", pools[0]).when(gender == "f", pools[1]).otherwise(pools[2])).otherwise(made)
@@ -183,12 +195,12 @@ def surrogate(key: str, kind: Column, canon: Column, e: Column, attempt: Column)
     domain = F.concat(_alike(of("domain"), F.rpad(F.lit("host"), 7, "x")), F.lit(".example."), F.element_at(F.array(F.lit("com"), F.lit("org"), F.lit("net")), (_byte(of("domain"), 20) % 3 + 1).cast("int")))
     email = F.concat(_alike(of("email"), local), F.lit("@"), domain)
     secret = _alike(of("secret"), e, e.rlike("^[0-9a-f]+$") | e.rlike("^[0-9A-F]+$"))
-    ip = F.concat_ws(".", (_byte(of("ip"), 0) % 15 + 240).cast("string"), *[(_byte(of("ip"), i) % 256).cast("string") for i in (1, 2, 3)])
+    ip = _let(of("ip"), lambda v: F.concat_ws(".", (_byte(v, 0) % 15 + 240).cast("string"), *[(_byte(v, i) % 256).cast("string") for i in (1, 2, 3)]))
     ssn = _formatted(e, F.concat(F.lit("9"), _digits(of("ssn"), F.lit(8))), F.lit(0))
-    body = F.concat(F.substring(canon, F.lit(1), F.lit(1)), _digits(of("card"), n - 2))
-    check = (10 - _luhn(F.concat(body, F.lit("0"))) % 10) % 10
     off = F.when(_luhn(canon) % 10 == 0, F.lit(0)).otherwise(_byte(of("card"), 40) % 9 + 1)
-    card = _formatted(e, F.concat(body, ((check + off) % 10).cast("string")), F.lit(0))
+    body = F.concat(F.substring(canon, F.lit(1), F.lit(1)), _digits(of("card"), n - 2))
+    whole = _let(body, lambda b: F.concat(b, (((10 - _luhn(F.concat(b, F.lit("0"))) % 10) % 10 + off) % 10).cast("string")))
+    card = _formatted(e, whole, F.lit(0))
     code = F.length(F.regexp_extract(canon, COUNTRY, 0))
     written = F.length(F.regexp_replace(e, r"\D", ""))
     made = F.concat(F.substring(canon, F.lit(1), code), F.substring(_digits(of("phone"), n), code + 1, n))
