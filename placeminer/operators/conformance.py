@@ -18,6 +18,15 @@ from .kernel import Place
 STATES, SECONDS = 200_000, 20.0
 
 
+def chained(state: int, a: int) -> int:
+    """Signed 64-bit hash of a prefix from that of the shorter one and the next activity."""
+    x = (state + (a + 1) * 0x9E3779B97F4A7C15) & (2**64 - 1)
+    x = ((x ^ (x >> 30)) * 0xBF58476D1CE4E5B9) & (2**64 - 1)
+    x = ((x ^ (x >> 27)) * 0x94D049BB133111EB) & (2**64 - 1)
+    x ^= x >> 31
+    return x - 2**64 if x >> 63 else x
+
+
 class Machine:
     """Token game of a place set over activity ids; activities outside of all places are always enabled."""
 
@@ -124,19 +133,20 @@ def etc_precision(log: SparkLog, places: list[Place], start: int, end: int, mode
                 if mode == "align":
                     found = machine.align(seq)
                     seq = found[1] if found else seq
-                m = machine.zero
+                m, state = machine.zero, 0
                 for k, a in enumerate(seq[:-1]):
                     m = machine.fire(m, a)
                     if m is None:
                         break
-                    rows["prefix"].append(seq[: k + 1])
+                    state = chained(state, a)
+                    rows["prefix"].append(state)
                     rows["next"].append(seq[k + 1])
                     rows["enabled"].append([b for b in range(n) if b != start and machine.fire(m, b) is not None])
                     rows["freq"].append(freq)
-            yield pa.RecordBatch.from_arrays([pa.array(rows["prefix"], pa.list_(pa.int32())), pa.array(rows["next"], pa.int32()), pa.array(rows["enabled"], pa.list_(pa.int32())), pa.array(rows["freq"], pa.int64())], names=list(rows))
+            yield pa.RecordBatch.from_arrays([pa.array(rows["prefix"], pa.int64()), pa.array(rows["next"], pa.int32()), pa.array(rows["enabled"], pa.list_(pa.int32())), pa.array(rows["freq"], pa.int64())], names=list(rows))
 
-    states = log.variants.select("seq", "freq").mapInArrow(run, "prefix array<int>, next int, enabled array<int>, freq long")
-    # The enabled set is a function of the prefix; observed nexts are few a prefix.
+    states = log.variants.select("seq", "freq").mapInArrow(run, "prefix long, next int, enabled array<int>, freq long")
+    # A prefix travels as one number; the enabled set is a function of the prefix, observed nexts are few a prefix.
     each = states.groupBy("prefix", "next", "enabled").agg(F.sum("freq").alias("freq")).groupBy("prefix", "enabled").agg(F.collect_set("next").alias("seen"), F.sum("freq").alias("freq"))
     sums = each.select((F.size("enabled") * F.col("freq")).alias("e"), (F.size(F.array_except("enabled", "seen")) * F.col("freq")).alias("x")).agg(F.coalesce(F.sum("e"), F.lit(0)).alias("enabled"), F.coalesce(F.sum("x"), F.lit(0)).alias("escaping"))
     return sums.select("enabled", "escaping", F.when(F.col("enabled") > 0, 1 - F.col("escaping") / F.col("enabled")).otherwise(1.0).alias("precision"))

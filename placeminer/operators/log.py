@@ -52,19 +52,19 @@ def sides(labels: list[str], pre: list[str] | None = None, post: list[str] | Non
 
 
 def stats(log: DataFrame) -> DataFrame:
-    """n_traces, n_variants, n_activities, n_events, max_len, unique_share; markers do not count."""
-    per = log.agg(
-        F.sum("freq").alias("n_traces"), F.count(F.lit(1)).alias("n_variants"), F.sum(F.col("freq") * (F.size("seq") - 2)).alias("n_events"), F.max(F.size("seq") - 2).alias("max_len"),
-        F.array_size(F.array_distinct(F.flatten(F.collect_set(F.array_distinct(F.slice("seq", F.lit(2), F.greatest(F.size("seq") - 2, F.lit(0)))))))).alias("n_activities"),
-    )
-    return per.select("n_traces", "n_variants", "n_activities", "n_events", "max_len", (F.col("n_variants") / F.col("n_traces")).alias("unique_share"))
+    """n_traces, n_variants, n_activities, n_events, max_len, unique_share; markers do not count.
+
+    Labels are counted from exploded events, so that no set of sequences meets in one task.
+    """
+    labels = log.select(F.explode(F.array_distinct("seq")).alias("a")).where(~F.col("a").isin(START, END)).agg(F.count_distinct("a").alias("n_activities"))
+    rest = log.agg(F.sum("freq").alias("n_traces"), F.count(F.lit(1)).alias("n_variants"), F.sum(F.col("freq") * (F.size("seq") - 2)).alias("n_events"), F.max(F.size("seq") - 2).alias("max_len"))
+    # One row beside one row.
+    return rest.crossJoin(F.broadcast(labels)).select("n_traces", "n_variants", "n_activities", "n_events", "max_len", (F.col("n_variants") / F.col("n_traces")).alias("unique_share"))
 
 
 def overview(log: DataFrame) -> DataFrame:
-    """The counts of :func:`stats` from exploded events, so that no set of sequences meets in one task."""
-    labels = log.select(F.explode(F.array_distinct("seq")).alias("a")).where(~F.col("a").isin(START, END)).agg(F.count_distinct("a").alias("n_activities"))
-    rest = log.agg(F.sum("freq").alias("n_cases"), F.count(F.lit(1)).alias("n_variants"), F.sum(F.col("freq") * (F.size("seq") - 2)).alias("n_events"))
-    return rest.crossJoin(F.broadcast(labels)).select("n_cases", "n_variants", "n_activities", "n_events")
+    """The four counts of the log table."""
+    return stats(log).select(F.col("n_traces").alias("n_cases"), "n_variants", "n_activities", "n_events")
 
 
 def project(log: DataFrame, keep: list) -> DataFrame:
