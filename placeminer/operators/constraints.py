@@ -8,6 +8,8 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from dataclasses import dataclass
+from functools import reduce
+from operator import and_
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -21,37 +23,42 @@ class Constraint:
 
     name: str
     holds: Callable[[Names], bool]
-    column: Column | None = None
+    make: Callable[[], Column] | None = None
     monotone: bool = True
     cost: str = "local"
 
+    @property
+    def column(self) -> Column | None:
+        """Made on demand, so that constraints need no running session."""
+        return None if self.make is None else self.make()
+
 
 def not_in_pre(a: str) -> Constraint:
-    return Constraint(f"not_in_pre({a})", lambda p: a not in p[0], ~F.array_contains("pre", a))
+    return Constraint(f"not_in_pre({a})", lambda p: a not in p[0], lambda: ~F.array_contains("pre", a))
 
 
 def not_in_post(a: str) -> Constraint:
-    return Constraint(f"not_in_post({a})", lambda p: a not in p[1], ~F.array_contains("post", a))
+    return Constraint(f"not_in_post({a})", lambda p: a not in p[1], lambda: ~F.array_contains("post", a))
 
 
 def not_selfloop(a: str) -> Constraint:
-    return Constraint(f"not_selfloop({a})", lambda p: not (a in p[0] and a in p[1]), ~(F.array_contains("pre", a) & F.array_contains("post", a)))
+    return Constraint(f"not_selfloop({a})", lambda p: not (a in p[0] and a in p[1]), lambda: ~(F.array_contains("pre", a) & F.array_contains("post", a)))
 
 
 def not_anywhere(a: str) -> Constraint:
-    return Constraint(f"not_anywhere({a})", lambda p: a not in p[0] and a not in p[1], ~(F.array_contains("pre", a) | F.array_contains("post", a)))
+    return Constraint(f"not_anywhere({a})", lambda p: a not in p[0] and a not in p[1], lambda: ~(F.array_contains("pre", a) | F.array_contains("post", a)))
 
 
 def max_depth(d: int) -> Constraint:
-    return Constraint(f"max_depth({d})", lambda p: len(p[0]) + len(p[1]) <= d, F.size("pre") + F.size("post") <= d)
+    return Constraint(f"max_depth({d})", lambda p: len(p[0]) + len(p[1]) <= d, lambda: F.size("pre") + F.size("post") <= d)
 
 
 def max_pre(n: int) -> Constraint:
-    return Constraint(f"max_pre({n})", lambda p: len(p[0]) <= n, F.size("pre") <= n)
+    return Constraint(f"max_pre({n})", lambda p: len(p[0]) <= n, lambda: F.size("pre") <= n)
 
 
 def max_post(n: int) -> Constraint:
-    return Constraint(f"max_post({n})", lambda p: len(p[1]) <= n, F.size("post") <= n)
+    return Constraint(f"max_post({n})", lambda p: len(p[1]) <= n, lambda: F.size("post") <= n)
 
 
 def heuristic_below(name: str, h: Callable[[Names], float], limit: float, monotone: bool) -> Constraint:
@@ -66,13 +73,8 @@ def wired(pairs: set[tuple[str, str]]) -> Constraint:
 
 def every(constraints: list[Constraint]) -> Constraint:
     """Conjunction (C20)."""
-    columns = [c.column for c in constraints]
-    joined = None
-    if constraints and all(c is not None for c in columns):
-        joined = columns[0]
-        for c in columns[1:]:
-            joined = joined & c
-    return Constraint(" & ".join(c.name for c in constraints) or "true", lambda p: all(c.holds(p) for c in constraints), joined, all(c.monotone for c in constraints), "local" if all(c.cost == "local" for c in constraints) else "summary")
+    make = (lambda: reduce(and_, (c.column for c in constraints))) if constraints and all(c.make for c in constraints) else None
+    return Constraint(" & ".join(c.name for c in constraints) or "true", lambda p: all(c.holds(p) for c in constraints), make, all(c.monotone for c in constraints), "local" if all(c.cost == "local" for c in constraints) else "summary")
 
 
 def is_strengthening(old: Constraint, new: Constraint, universe: DataFrame) -> bool:

@@ -316,3 +316,31 @@ def test_planted_dependency_is_found(spark, sf):
     p = ready(spark, sf, "lifecycle_planted")
     found = run(Config(log="lifecycle_planted", tau=1.0, max_depth=2, oracle="lp"), p, quality=False).names()
     assert all(((f"place:{x}",), (f"close:{x}",)) in found for x in ("1-URGENT", "2-HIGH", "3-MEDIUM", "4-NOT SPECIFIED", "5-LOW"))
+
+
+def test_a_constraint_that_arrives_on_the_way_prunes_its_branches():
+    steps = Stepper(TREE, "dfs")
+    seen, late = [], None
+    while nodes := steps.next(1):
+        seen.append(nodes[0])
+        steps.visit(nodes[0])
+        if len(seen) == 10:
+            steps.constraints.append(not_anywhere("a"))
+            late = len(seen)
+    names = [TREE.names(n) for n in seen]
+    assert all("a" not in (*i, *o) for i, o in names[late:])
+    free = tree_of(["b", "c"], 8)
+    assert {n for n in names[late:]} | {n for n in names[:late] if "a" not in (*n[0], *n[1])} == {free.names(n) for n in free.subtree() if n[0] and n[1]}
+    assert len(names) == len(set(names))
+
+
+def test_constraints_filter_like_the_tree():
+    """Generating under a monotone constraint gives what filtering the whole tree gives."""
+    for c in (not_in_pre("a"), not_selfloop("b"), not_anywhere("c"), max_post(2), max_depth(4)):
+        steps = Stepper(TREE, "bfs", constraints=[c])
+        got = []
+        while nodes := steps.next(5):
+            got += nodes
+            for n in nodes:
+                steps.visit(n)
+        assert sorted(got) == sorted(n for n in TREE.subtree() if n[0] and n[1] and c.holds(TREE.names(n)))
