@@ -28,7 +28,7 @@ LENGTHS = (2, 3, 4)
 CELLS = 1 << 20
 ROWS = 1 << 21
 PROBES = 2
-#: Languages that one mask holds.
+#: Languages that one mask holds; the most frequent ones are learned.
 MOST = 64
 
 
@@ -155,12 +155,13 @@ def fit(labelled: DataFrame, max_rows: int = 40000, share: float = 0.34) -> Mode
 
     summed = rows.select("text", "lang").mapInArrow(run, "lang string, cell long, n long").groupBy("lang", "cell").agg(F.sum("n").alias("n"))
     found = summed.toArrow()
-    languages = sorted(set(found.column("lang").to_pylist()))
-    if len(languages) > MOST:
-        raise ValueError(f"a mask holds {MOST} languages, found {len(languages)}")
+    rows_of = {x: n for x, c, n in zip(*(found.column(c).to_pylist() for c in ("lang", "cell", "n"))) if c < 0}
+    # A mask holds so many; beyond them the rarest are not told apart.
+    languages = sorted(sorted(rows_of, key=lambda x: (-rows_of[x], x))[:MOST])
     where = {x: i for i, x in enumerate(languages)}
     at, n = found.column("cell").to_numpy(), found.column("n").to_numpy()
-    which = np.fromiter((where[x] for x in found.column("lang").to_pylist()), np.int64, len(at))
+    which = np.fromiter((where.get(x, -1) for x in found.column("lang").to_pylist()), np.int64, len(at))
+    at, n, which = at[which >= 0], n[which >= 0], which[which >= 0]
     counts, seen = np.zeros((len(languages), CELLS), np.int64), np.zeros(len(languages), np.int64)
     counts[which[at >= 0], at[at >= 0]] = n[at >= 0]
     seen[which[at < 0]] = n[at < 0]

@@ -178,5 +178,6 @@ def mixed(docs: DataFrame, *, seed: str = "mix-1", **options) -> DataFrame:
     order = ["source", "__slice", F.desc("size"), "__u", "doc_id"]
     kind = dict(docs.dtypes)["doc_id"]
     times = line.sortWithinPartitions(*order).select("doc_id", "source", "__slice", "size", "taken").mapInArrow(_whole, f"doc_id {kind}, __times int")
-    kept = docs.join(times.where("__times > 0"), "doc_id")
+    few = times.where("__times > 0").withColumnRenamed("doc_id", "__id")
+    kept = docs.join(few, docs["doc_id"].eqNullSafe(few["__id"]))
     return kept.withColumn("__turn", F.explode(F.sequence(F.lit(1), F.col("__times")))).select(*docs.columns)

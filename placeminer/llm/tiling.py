@@ -34,6 +34,9 @@ BLOCK = 2_000_000
 PUNCTUATION = bytes(c for c in range(33, 127) if not chr(c).isalnum())
 
 
+COLUMNS = ("doc_id", "item_id", "n_tiles", "covered", "item_words", "longest", "coverage")
+
+
 def normal(text: str | None) -> list[bytes]:
     return text.lower().encode().translate(None, PUNCTUATION).split() if text else []
 
@@ -139,7 +142,7 @@ def matches(docs: DataFrame, benchmark: DataFrame, threshold: float = THRESHOLD)
                 for d, t in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist()):
                     rows += [(d, *f, f[2] / f[3]) for f in seeds.found(words.of(normal(t))) if f[2] >= threshold * f[3]]
                 if rows:
-                    yield pa.RecordBatch.from_pydict(dict(zip(("doc_id", "item_id", "n_tiles", "covered", "item_words", "longest", "coverage"), map(list, zip(*rows)))))
+                    yield pa.RecordBatch.from_arrays([pa.array(c, pa.float64() if n == "coverage" else pa.int64()) for n, c in zip(COLUMNS, zip(*rows))], names=list(COLUMNS))
 
         found = docs.select("doc_id", "text").mapInArrow(tidy(run), "doc_id long, item_id long, n_tiles long, covered long, item_words long, longest long, coverage double")
         out = found if out is None else out.unionAll(found)
