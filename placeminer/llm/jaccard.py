@@ -19,7 +19,7 @@ Steps
 
 Copies count once in every step; their rows meet again only in the last join. Edge cases: texts without words and
 null texts have no shingles and no partner; fewer than five words are one shingle; very long texts are
-whole; repeated rows get the same component; null doc_ids get a null component; an
+whole; repeated rows get the same component; rows with a null doc_id get a null component and join no group; an
 empty table gives an empty result. Signatures have 64 bits: a collision among a billion distinct sets has a chance of
 about 3 percent and would merge two groups. Tokens have 48 bits where they are compared: two documents of
 a thousand words count one token too many with a chance of 4e-9.
@@ -298,8 +298,16 @@ def verified(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
     return both.where(linked(F.size(F.array_intersect("u_toks", "v_toks")), F.col("u_n"), F.col("v_n"))).select(pairs.columns)
 
 
+def _sized(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Shingles of rows without a doc_id."""
+    words = WordHashes()
+    for batch in (part for whole in batches for part in slices(whole)):
+        n = [len(shingles(words.of(t.encode().lower().split()))) if t else 0 for t in batch.column("text").to_pylist()]
+        yield pa.RecordBatch.from_arrays([pa.nulls(len(n), pa.int64()), pa.array(n, pa.int64()), pa.nulls(len(n), pa.int64())], names=["doc_id", "n_shingles", "component_id"])
+
+
 def groups(docs: DataFrame) -> DataFrame:
-    """doc_id, n_shingles, component_id of every row with a doc_id."""
+    """doc_id, n_shingles, component_id of every row."""
     spark = docs.sparkSession
     parts = partitions(spark)
     deal, deal_schema = _dealt(parts)
@@ -310,6 +318,11 @@ def groups(docs: DataFrame) -> DataFrame:
     rows = counted.where("kind = 0").select("doc_id", "n", "sig")
     nodes = checkpointed(counted.where("kind > 0").select("kind", "bucket", "s", "a", "b").repartitionById(parts, "bucket").mapInArrow(tidy(gather), gather_schema))
 
+    # From here on a node is named by the least doc_id of its copies, so that the root of a component is its answer.
+    least = rows.where("n > 0").groupBy("sig").agg(F.min("doc_id").alias("least"))
+    names = checkpointed(nodes.select("sig").join(least, "sig"))
+    of = lambda s, n: names.select(F.col("sig").alias(s), F.col("least").alias(n))
+
     near = None
     for r in range(ROUNDS):
         compare, link_schema = _neighbours(f"k{r}")
@@ -317,31 +330,26 @@ def groups(docs: DataFrame) -> DataFrame:
         line = nodes.select("sig", "n", "toks", f"k{r}").repartitionByRange(parts, *key, "sig").sortWithinPartitions(*key, "sig")
         found = line.mapInArrow(tidy(compare), link_schema)
         near = found if near is None else near.union(found)
-    first = connected(near)
+    first = connected(near.distinct().join(of("u", "a"), "u").join(of("v", "b"), "v").select(F.col("a").alias("u"), F.col("b").alias("v")))
 
-    held = nodes.select("sig", "n", F.size("toks").alias("r"), "p1", "m2", "m3", "bits").join(first, F.col("sig") == F.col("node"), "left")
-    spread = held.select(F.explode("p1").alias("tok"), "sig", "n", "r", "m2", "m3", "bits", F.coalesce("root", "sig").alias("comp"))
-    spread = checkpointed(spread)
+    comp = names.join(first, F.col("least") == F.col("node"), "left").select("sig", F.coalesce("root", "least").alias("comp"))
+    held = nodes.select("sig", "n", F.size("toks").alias("r"), "p1", "m2", "m3", "bits").join(comp, "sig")
+    spread = checkpointed(held.select(F.explode("p1").alias("tok"), "sig", "n", "r", "m2", "m3", "bits", "comp"))
     across = spread.groupBy("tok").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x <> y").select("tok")
     open_ = spread.join(across, "tok", "left_semi")
     size = (5 * F.col("a.n") >= 4 * F.col("b.n")) & (5 * F.col("b.n") >= 4 * F.col("a.n"))
     bound = 9 * (F.col("a.r") + F.col("b.r") - _bits_differ(BITMAP)) >= 8 * (F.col("a.n") + F.col("b.n"))
     pairs = open_.alias("a").join(open_.alias("b"), (F.col("a.tok") == F.col("b.tok")) & (F.col("a.comp") < F.col("b.comp")) & size & _meet("m2") & _meet("m3") & bound)
     pairs = pairs.select(F.col("a.sig").alias("u"), F.col("b.sig").alias("v"), F.col("a.comp").alias("cu"), F.col("b.comp").alias("cv")).distinct()
-    links = verified(pairs, nodes).select(F.col("cu").alias("u"), F.col("cv").alias("v")).distinct()
-    second = connected(links)
+    second = connected(verified(pairs, nodes).select(F.col("cu").alias("u"), F.col("cv").alias("v")).distinct())
 
-    least = rows.where("n > 0").groupBy("sig").agg(F.min("doc_id").alias("least"))
-    second_of = second.select(F.col("node").alias("mid"), F.col("root").alias("top"))
-    top = first.select("node", F.col("root").alias("mid")).join(second_of, "mid", "left").select("node", F.coalesce("top", "mid").alias("top"))
-    # A node that the first graph lacks is a component of its own in the second.
-    lone = second.join(first, "node", "left_anti").select("node", F.col("root").alias("top"))
-    member = top.union(lone)
-    named = least.join(member, F.col("sig") == F.col("node"), "left").select("sig", "least", F.coalesce("top", "sig").alias("top"))
-    of_top = named.groupBy("top").agg(F.min("least").alias("component_id"))
-    of_sig = named.join(of_top, "top").select("sig", "component_id")
+    # The second graph joins components of the first; its roots are the answers of the nodes in it.
+    moved = comp.join(second, F.col("comp") == F.col("node")).select("sig", F.col("root").alias("top"))
+    answer = comp.join(moved, "sig", "left").select("sig", F.coalesce("top", "comp").alias("component_id"))
+    of_sig = least.join(answer, "sig", "left").select("sig", F.coalesce("component_id", "least").alias("component_id"))
     full = rows.where("n > 0").join(of_sig, "sig").select("doc_id", F.col("n").alias("n_shingles"), "component_id")
-    return full.union(rows.where("n = 0").select("doc_id", "n", "doc_id"))
+    nameless = docs.where(F.col("doc_id").isNull()).select("text").mapInArrow(_sized, "doc_id long, n_shingles long, component_id long")
+    return full.union(rows.where("n = 0").select("doc_id", "n", "doc_id")).union(nameless)
 
 
 def representatives(docs: DataFrame) -> DataFrame:

@@ -73,6 +73,22 @@ def test_jaccard(spark, docs, odd, empty):
     assert kept.columns == odd.columns and sorted(r["doc_id"] for r in kept.collect()) == [1, 2, 3, 4, 5, 7, 8]
 
 
+def test_rows_without_names(spark, odd, sf):
+    """A null doc_id is carried through by every operator."""
+    rows = spark.createDataFrame([(None, "a b c d e f", None, None, None), (None, None, None, None, None), (1, "a b c d e f", "en", "s", 1)], SCHEMA)
+    assert {tuple(r) for r in jaccard.groups(rows).collect()} == {(None, 2, None), (None, 0, None), (1, 2, 1)}
+    assert jaccard.representatives(rows).count() == 3
+    bench = spark.createDataFrame([(None, "a b c d e f")], "item_id long, text string")
+    assert {(r["doc_id"], r["item_id"]) for r in tiling.matches(rows.where("doc_id IS NULL"), bench).collect()} == {(None, None)}
+    for out in (rules.verdicts(rows), hashtree.assign(rows), mixing.mix(rows), bpe.counts(rows), surrogates.replaced(rows), tiling.clean(rows, bench.where("false"))):
+        assert out.count() == 3
+    assert {r["doc_id"] for r in mixing.mixed(rows).collect()} == {None, 1}
+    model = langid.fit(rows)
+    assert langid.predict(rows, model).count() == 3
+    many = spark.createDataFrame([(i, f"text{i} words", f"l{i % 80}") for i in range(160)], "doc_id long, text string, lang string")
+    assert len(langid.fit(many).languages) == langid.MOST
+
+
 def test_jaccard_on_chains_and_a_large_group(spark):
     rng = random.Random(8)
     base = [f"t{i}" for i in range(120)]
