@@ -117,7 +117,8 @@ def _dealt(buckets: int):
                 tokens = shingles(words.of(text.encode().lower().split())) if text else np.empty(0, np.uint64)
                 s = signature(tokens) if len(tokens) else 0
                 docs.append((d, len(tokens), s))
-                if len(tokens) and s not in seen:
+                # Rows without a doc_id join no group: their tokens would belong to no node.
+                if len(tokens) and d is not None and s not in seen:
                     parts.append((s, tokens))
                     held += len(tokens)
                     if len(seen) < SEEN:

@@ -89,6 +89,13 @@ def test_rows_without_names(spark, odd, sf):
     assert len(langid.fit(many).languages) == langid.MOST
 
 
+def test_jaccard_when_a_row_without_a_name_overlaps_another_text(spark):
+    for rows in ([(None, "a b c d e f"), (1, "a b c d e f g")], [(None, "a b c d e f"), (1, "a b c d e f g"), (2, "a b c d e f g"), (3, "v w x y z")], [(None, LONG + " end"), (None, LONG), (5, LONG + " other"), (6, LONG)]):
+        got = jaccard.groups(spark.createDataFrame(rows, "doc_id long, text string").coalesce(1)).collect()
+        want = components_of([r for r in rows if r[0] is not None]) | {(None, len(shingles(t)), None) for i, t in rows if i is None}
+        assert {tuple(r) for r in got} == want and len(got) == len(rows)
+
+
 def test_jaccard_on_chains_and_a_large_group(spark):
     rng = random.Random(8)
     base = [f"t{i}" for i in range(120)]
