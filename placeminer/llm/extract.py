@@ -1,7 +1,7 @@
 """Main text of pages by consensus host paths (op 7).
 
 Each page's containers are scored by their running text: letters outside links and outside boilerplate, less a
-charge for links. The best one's generalised path (tags with their stable classes, no positions or ids)
+charge for links. The best one, the deepest with nothing but short or link-heavy text outside it, names the path: its generalised path (tags with their stable classes, no positions or ids)
 is the page's vote. Votes are added up per host in Spark, and every page is read again
 with the winning path of its host; a page without that path falls back to its own best container.
 
@@ -44,6 +44,17 @@ BOILERPLATE = frozenset(
 TOKEN = regex.compile(r"<!--.*?(?:-->|\Z)|<(?P<end>/?)(?P<tag>[a-zA-Z][a-zA-Z0-9:-]*)(?P<attrs>(?:[^<>\"']|\"[^\"]*\"|'[^']*')*+)>|<[!?][^>]*>", regex.S)
 ATTRIBUTE = regex.compile(r"""\b(class|id|role|hidden|style|aria-hidden)\b(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""", regex.I)
 WORDS = regex.compile(r"[a-z]+")
+ARTICLE = regex.compile(r">(?:article|main)(?![^.>])")
+#: Characters from which text is running text; shorter blocks are if they end a sentence, and link-heavy ones never.
+RUNNING = 40
+SENTENCE = tuple(".!?…。！？।؟")
+
+
+def running(block: str, links: int) -> int:
+    """Characters of running text in a block."""
+    if len(block) >= RUNNING or block.rstrip("\"'”’»)]").endswith(SENTENCE):
+        return max(0, len(block) - 2 * links)
+    return 0
 
 
 def classified(attrs: str) -> tuple[str, bool]:
@@ -149,15 +160,24 @@ class Page:
         flush()
 
     def best(self) -> tuple[int, float]:
-        """The deepest container with most of the page's running text, and its score."""
-        own = [0.0] * len(self.containers)
+        """The deepest container outside which the page has no running text, and its score.
+
+        What is left outside is measured against the whole page, so that nested containers cannot add up to a loss;
+        inside an article not even a short sentence is left.
+        """
+        own, run = [0.0] * len(self.containers), [0] * len(self.containers)
         for block, links, c in self.blocks:
             own[c] += len(block) - 2 * links
+            run[c] += running(block, links)
         for c in range(len(own) - 1, 0, -1):  # outer containers come first
             own[self.containers[c][1]] += own[c]
+            run[self.containers[c][1]] += run[c]
         best = 0
         for c in range(1, len(own)):
-            if own[c] > 0 and own[c] >= 0.6 * own[best] and self._within(c, best):
+            most = run[c] >= RUNNING or own[c] >= 0.6 * own[0]
+            inner = ARTICLE.search(self.containers[best][0])
+            spared = run[c] == run[best] if inner else run[0] - run[c] < RUNNING
+            if own[c] > 0 and most and spared and self._within(c, best):
                 best = c
         return best, own[best]
 
@@ -169,8 +189,10 @@ class Page:
     def text(self, path: str | None = None) -> str:
         """Text of the containers with the path, or of the best container."""
         wanted = {i for i, (p, _) in enumerate(self.containers) if p == path} if path else set()
-        if not wanted:
-            wanted = {self.best()[0]}
+        best = self.best()[0]
+        # Running text of this page's article beside the host's containers belongs to it.
+        if not wanted or (ARTICLE.search(self.containers[best][0]) and all(self._within(i, best) for i in wanted)):
+            wanted = {best}
         inside = [False] * len(self.containers)
         for i, (_, outer) in enumerate(self.containers):
             inside[i] = i in wanted or (outer >= 0 and inside[outer])

@@ -328,6 +328,19 @@ def test_extraction(spark):
     assert extract.extract(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
 
 
+def test_extraction_keeps_a_lead_beside_inner_sections(spark):
+    lead, part, side = "Lead of the article. " * 20, "Text of a section. " * 40, "Short menu"
+    nested = "<div><p>One more level.</p>" * 8
+    plain = f"<body><div>{side}</div><article><section><p>{part}</p></section></article></body>"
+    page = f"<body><div>{side}</div><article><p>{lead}</p><section><p>{part}</p></section></article></body>"
+    deep = f"<body><div>{side}</div><article>{nested}<p>{part}</p></article></body>"
+    rows = [(1, "http://a.org/1", page), (2, "http://a.org/2", page), (3, "http://b.org/1", plain), (4, "http://b.org/2", plain), (5, "http://b.org/3", page), (6, "http://c.org/", deep)]
+    got = {r["page_id"]: r["text"] for r in extract.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    lead, part = lead.strip(), part.strip()
+    both = f"{lead}\n{part}"
+    assert got == {1: both, 2: both, 3: part, 4: part, 5: both, 6: "One more level.\n" * 8 + part}
+
+
 def test_extraction_by_consensus_and_by_join(spark, sf, monkeypatch):
     pages = spark.read.parquet(f"{sf}/pages.parquet")
     one = {r["page_id"]: r["text"] for r in extract.extract(pages).collect()}
