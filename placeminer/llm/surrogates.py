@@ -12,8 +12,8 @@ Entities are found by one pattern per type; each is replaced by a keyed surrogat
 
 A surrogate is a function of the key, the type and the canonical form (case, separators and title
 do not matter), so one entity has one surrogate in all documents; parts of names are keyed alone, so
-``Mr. John Smith`` and ``Mr. Smith`` stay one person. The distinct entities of the corpus are then checked:
-where two share a surrogate, or one is a real entity of the corpus, all but one are drawn anew,
+``Mr. John Smith`` and ``Mr. Smith`` stay one person. The distinct entities of the corpus, and
+the distinct parts of names for each gender and script, are then checked: where two share a surrogate, or one is a real entity of the corpus, all but one are drawn anew,
 until the surrogates are distinct. Only entities drawn anew are kept as a table; it reaches the texts as a
 literal map while it has at most ``LITERAL`` rows, and by a join on text hashes beyond that.
 
@@ -169,14 +169,19 @@ def _written(e: Column, digits: Column, skip: Column) -> Column:
 
 
 def _name(key: str, part: Column, attempt: Column, gender: Column, given: Column) -> Column:
-    """A surrogate of one part of a name: a given name of the gender, or a family name, in the part's script."""
+    """A surrogate of one part of a name: a given name of the gender, or a family name, in the part's script.
+
+    Every attempt up to the fifth adds a name or a syllable, so that the space outgrows the parts that collide.
+    """
 
     def of(script: str) -> Column:
         s = stream(key, "family", F.lower(part), attempt)
+        more = F.least(attempt, F.lit(5))
         syllables = F.array(*map(F.lit, SYLLABLES[script]))
-        made = _let(s, lambda v: F.initcap(F.array_join(F.transform(F.sequence(F.lit(0), F.lit(4)), lambda i: F.element_at(syllables, (_byte(v, i) % 16 + 1).cast("int"))), "")))
-        g = _byte(stream(key, "given", F.lower(part), attempt), 0) % 16 + 1
-        pools = [F.element_at(F.array(*map(F.lit, GIVEN[script][x])), g.cast("int")) for x in "mfn"]
+        made = _let(s, lambda v: F.initcap(F.array_join(F.transform(F.sequence(F.lit(0), more + 4), lambda i: F.element_at(syllables, (_byte(v, i) % 16 + 1).cast("int"))), "")))
+        g = stream(key, "given", F.lower(part), attempt)
+        several = lambda names: _let(g, lambda v: F.array_join(F.transform(F.sequence(F.lit(0), more), lambda i: F.element_at(names, (_byte(v, i) % 16 + 1).cast("int"))), "-"))
+        pools = [several(F.array(*map(F.lit, GIVEN[script][x]))) for x in "mfn"]
         return F.when(given, F.when(gender == "m", pools[0]).when(gender == "f", pools[1]).otherwise(pools[2])).otherwise(made)
 
     return F.when(part.rlike(r"\p{IsCyrillic}"), of("cyrillic")).otherwise(of("latin"))
@@ -187,8 +192,16 @@ def gender_of(e: Column) -> Column:
     return F.when(title.isin(*MALE), F.lit("m")).when(title.isin(*FEMALE), F.lit("f")).otherwise(F.lit("n"))
 
 
-def surrogate(key: str, kind: Column, canon: Column, e: Column, attempt: Column) -> Column:
-    """The surrogate of a mention ``e``."""
+def claimed(kind: Column, canon: Column, e: Column) -> Column:
+    """What must have a surrogate of its own, as an array of (kind, canon, mention): the parts of a name, or else the entity."""
+    parts = F.split(canon, " ")
+    part = lambda p, i: F.struct(F.when(i < F.size(parts) - 1, F.concat(F.lit("given:"), gender_of(e))).otherwise("family").alias("kind"), F.lower(p).alias("canon"), F.lower(p).alias("mention"))
+    return F.when(kind == "person", F.transform(parts, part)).otherwise(F.array(F.struct(kind.alias("kind"), canon.alias("canon"), e.alias("mention"))))
+
+
+def surrogate(key: str, kind: Column, canon: Column, e: Column, tried) -> Column:
+    """The surrogate of a mention ``e``, by the attempts ``tried(kind, canon)``."""
+    attempt = tried(kind, canon)
     of = lambda k: stream(key, k, canon, attempt)
     n = F.length(canon)
     local = F.regexp_extract(e, "^([^@]*)@", 1)
@@ -205,8 +218,8 @@ def surrogate(key: str, kind: Column, canon: Column, e: Column, attempt: Column)
     written = F.length(F.regexp_replace(e, r"\D", ""))
     made = F.concat(F.substring(canon, F.lit(1), code), F.substring(_digits(of("phone"), n), code + 1, n))
     phone = _formatted(e, F.substring(made, n - written + 1, written), F.lit(0))
-    parts = F.split(canon, " ")
-    names = F.transform(parts, lambda p, i: _name(key, p, attempt, gender_of(e), i < F.size(parts) - 1))
+    claims = claimed(kind, canon, e)
+    names = F.transform(claims, lambda c: _name(key, c["canon"], tried(c["kind"], c["canon"]), gender_of(e), c["kind"] != "family"))
     person = F.concat(F.regexp_extract(e, rf"^((?:{_TITLE})\.?[ ])", 1), F.array_join(names, " "))
     return F.when(kind == "email", email).when(kind == "secret", secret).when(kind == "ip", ip).when(kind == "ssn", ssn).when(kind == "card", card).when(kind == "person", person).otherwise(phone)
 
@@ -217,35 +230,43 @@ def mentions(text: Column) -> Column:
 
 
 def entities(docs: DataFrame, text: str = "text") -> DataFrame:
-    """kind, canon and one mention of every distinct entity; mentions are counted before they are shuffled."""
+    """kind, canon and one mention of every distinct entity, persons by gender; mentions are counted before they are shuffled."""
     found = docs.select(F.explode(mentions(F.col(text))).alias("mention")).groupBy("mention").count()
     typed = found.withColumn("kind", kind_of(F.col("mention"))).withColumn("canon", canonical(F.col("kind"), F.col("mention")))
-    return typed.groupBy("kind", "canon").agg(F.min("mention").alias("mention"), F.sum("count").alias("mentions"))
+    gender = F.when(F.col("kind") == "person", gender_of(F.col("mention"))).alias("gender")
+    return typed.groupBy("kind", "canon", gender).agg(F.min("mention").alias("mention"), F.sum("count").alias("mentions")).drop("gender")
 
 
 def redrawn(known: DataFrame, key: str = KEY, attempts: int = ATTEMPTS) -> DataFrame:
     """kind, canon, attempt > 0 of the entities whose first surrogate collides with another's or with a real entity.
 
-    Persons are left out: names are many-to-one in life too, and their parts must stay aligned.
+    Persons are checked and redrawn by part (kind ``family``, or ``given:`` and the gender), so that parts stay aligned.
     """
-    real = known.where("kind <> 'person'").select("kind", "canon", "mention")
-    now = real.withColumn("attempt", F.lit(0))
-    settled = None
+    claims = known.select(F.explode(claimed(F.col("kind"), F.col("canon"), F.col("mention"))).alias("x")).select("x.*")
+    real = checkpointed(claims.groupBy("kind", "canon").agg(F.min("mention").alias("mention")))
+    given = F.col("kind").startswith("given:")
+    part = given | (F.col("kind") == "family")
+    name = _name(key, F.col("canon"), F.col("attempt"), F.substring("kind", 7, 1), given)
+    whole = surrogate(key, F.col("kind"), F.col("canon"), F.col("mention"), lambda *_: F.col("attempt"))
+    written = F.when(part, name).otherwise(whole)
+    form = F.when(part, F.lower("written")).otherwise(canonical(F.col("kind"), F.col("written")))
+
+    def drawn(rows: DataFrame) -> DataFrame:
+        """The rows (kind, canon, mention, attempt) with the form of their surrogate."""
+        return checkpointed(rows.withColumn("written", written).withColumn("made", form).drop("written"))
+
+    made = drawn(real.withColumn("attempt", F.lit(0)))
     for _ in range(attempts):
-        made = now.withColumn("written", surrogate(key, F.col("kind"), F.col("canon"), F.col("mention"), F.col("attempt"))).withColumn("made", canonical(F.col("kind"), F.col("written"))).drop("written")
         # Of those that share a surrogate the least form keeps it, unless it was settled on in an earlier round.
         claims = made.groupBy("kind", "made").agg(F.min(F.struct((F.col("attempt") > 0).alias("late"), "canon")).alias("first"), F.count(F.lit(1)).alias("n"))
         taken = claims.where("n > 1").select("kind", "made", F.col("first.canon").alias("keeper"))
         shared = made.join(taken, ["kind", "made"]).where("canon <> keeper").select("kind", "canon", "mention", "attempt")
         itself = made.join(real.select("kind", F.col("canon").alias("made")), ["kind", "made"], "left_semi").select("kind", "canon", "mention", "attempt")
-        again = checkpointed(shared.union(itself).distinct().withColumn("attempt", F.col("attempt") + 1))
+        again = drawn(shared.union(itself).distinct().withColumn("attempt", F.col("attempt") + 1))
         if again.isEmpty():
             break
-        keys = again.select("kind", "canon")
-        settled = again if settled is None else settled.join(keys, ["kind", "canon"], "left_anti").select("kind", "canon", "mention", "attempt").union(again)
-        now = real.withColumn("attempt", F.lit(0)).join(settled.select("kind", "canon"), ["kind", "canon"], "left_anti").select("kind", "canon", "mention", "attempt").union(settled)
-    empty = known.sparkSession.createDataFrame([], "kind string, canon string, attempt int")
-    return empty if settled is None else settled.select("kind", "canon", "attempt")
+        made = checkpointed(made.join(again.select("kind", "canon"), ["kind", "canon"], "left_anti").select(again.columns).union(again))
+    return made.where("attempt > 0").select("kind", "canon", "attempt")
 
 
 def replaced(docs: DataFrame, key: str = KEY, text: str = "text", exceptions: DataFrame | None = None) -> DataFrame:
@@ -261,14 +282,15 @@ def replaced(docs: DataFrame, key: str = KEY, text: str = "text", exceptions: Da
     else:
         at = docs.select(F.xxhash64(text).alias("__text"), F.explode(F.array_distinct(mentions(F.col(text)))).alias("mention")).distinct()
         typed = at.withColumn("kind", kind_of(F.col("mention"))).withColumn("canon", canonical(F.col("kind"), F.col("mention")))
-        maps = typed.join(exceptions, ["kind", "canon"]).groupBy("__text").agg(F.map_from_entries(F.collect_set(F.struct(pair.alias("k"), "attempt"))).alias("__tries"))
+        claims = typed.select("__text", F.explode(claimed(F.col("kind"), F.col("canon"), F.col("mention"))).alias("x")).select("__text", "x.*")
+        maps = claims.join(exceptions, ["kind", "canon"]).groupBy("__text").agg(F.map_from_entries(F.collect_set(F.struct(pair.alias("k"), "attempt"))).alias("__tries"))
         found = found.withColumn("__text", F.xxhash64(text)).join(maps, "__text", "left").drop("__text")
 
     # One column a step, so that nothing is written out twice inside the next.
     kinds = found.withColumn("__found", F.transform("__found", lambda e: F.struct(e.alias("e"), kind_of(e).alias("kind"))))
     forms = kinds.withColumn("__found", F.transform("__found", lambda x: F.struct(x["e"].alias("e"), x["kind"].alias("kind"), canonical(x["kind"], x["e"]).alias("canon"))))
-    attempt = (lambda x: F.coalesce(F.col("__tries")[F.concat_ws("|", x["kind"], x["canon"])], F.lit(0))) if few else (lambda x: F.lit(0))
-    made = forms.withColumn("__found", F.transform("__found", lambda x: surrogate(key, x["kind"], x["canon"], x["e"], attempt(x))))
+    tried = (lambda kind, canon: F.coalesce(F.col("__tries")[F.concat_ws("|", kind, canon)], F.lit(0))) if few else (lambda *_: F.lit(0))
+    made = forms.withColumn("__found", F.transform("__found", lambda x: surrogate(key, x["kind"], x["canon"], x["e"], tried)))
     pieces = F.split(F.col(text), PATTERN, -1)
     # One piece more than entities: each piece is followed by a surrogate, the last by nothing.
     rebuilt = F.array_join(F.zip_with(pieces, F.col("__found"), lambda p, s: F.concat(p, F.coalesce(s, F.lit("")))), "")

@@ -460,6 +460,29 @@ def test_surrogates_are_distinct_after_collisions(spark, monkeypatch):
     assert sorted(got) == sorted(r["text"] for r in surrogates.replaced(df, exceptions=again).collect())
 
 
+def test_surrogates_keep_persons_distinct(spark, monkeypatch):
+    """More given names than the pool of a gender has, in every gender and in two scripts, with shared and lone family names."""
+    made = lambda n, letters: ["".join(letters[i // len(letters) ** k % len(letters)] for k in range(3)).capitalize() for i in range(n)]
+    names = [(t, g, f) for t in ("Mr.", "Mrs") for g in made(40, "abdeklm") for f in ("Smith", "Jones")] + [("Господин", g, "Петров") for g in made(40, "абдеклм")]
+    names += [("Ms", "Abd", "Smith"), ("Mr.", "Zed", "Adam")]
+    df = spark.createDataFrame([(i, f"so {' '.join(n)}; {n[0]} {n[2]}.") for i, n in enumerate(names)], "doc_id long, text string")
+
+    def check():
+        got = {r["doc_id"]: re.fullmatch(r"so (\S+) (\S+) (\S+); (\S+) (\S+)\.", r["text"]).groups() for r in surrogates.replaced(df).collect()}
+        given, family = defaultdict(set), defaultdict(set)
+        for i, (t, g, f) in enumerate(names):
+            x = got[i]
+            assert x[0] == x[3] == t and x[2] == x[4]
+            given[t.replace("Ms", "Mrs"), g].add(x[1]), family[f].add(x[2])
+        assert all(len(v) == 1 for v in (*given.values(), *family.values()))
+        assert len({(t, min(v)) for (t, _), v in given.items()}) == len(given) and len({min(v) for v in family.values()}) == len(family)
+        return got
+
+    whole = check()
+    monkeypatch.setattr(surrogates, "LITERAL", 3)
+    assert check() == whole
+
+
 def test_surrogates_leave_nothing_behind(spark, sf01):
     docs = spark.read.parquet(f"{sf01}/documents.parquet").select("doc_id", "text")
     was = {r["doc_id"]: r["text"] for r in docs.collect()}
