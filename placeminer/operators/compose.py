@@ -111,7 +111,7 @@ class Composer:
         return set()
 
     def extra_cuts(self, c: Candidate) -> tuple[bool, bool]:
-        """(cut_post, cut_pre) beyond those of fitness (M17), for composers that steer by another quality; void completeness."""
+        """(cut_post, cut_pre) beyond those of fitness (M17), asked of candidates that reach the threshold once they are consumed; void completeness."""
         return False, False
 
 

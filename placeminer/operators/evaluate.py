@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 
 from ..functions.replay import token_series as _token_series
 from ..functions.replay import trace_state
-from .kernel import Block, Place
+from .kernel import Block, Place, cores
 
 CHUNK = 4096
 BROADCAST_CELLS = 4_000_000
@@ -68,7 +68,7 @@ class SparkLog:
             raise ValueError(f"{self._cells} events are more than {BROADCAST_CELLS}")
         if self._local is None:
             rows = self.variants.select("seq", "freq").toArrow()
-            self._local = Block(rows.column("seq").to_pylist(), rows.column("freq").to_pylist(), len(self.labels))
+            self._local = Block(rows.column("seq").to_pylist(), rows.column("freq").to_pylist(), len(self.labels), cores())
         return self._local
 
     def _each(self, fn, schema: str, *columns: str) -> DataFrame:

@@ -6,26 +6,46 @@ kept, then they rise by the preset.
 
 from __future__ import annotations
 
+import os
+from concurrent.futures import ThreadPoolExecutor
+
 import numpy as np
 
 Place = tuple[tuple[int, ...], tuple[int, ...]]
-#: Cells of the token matrix that are alive at once.
+#: Cells of the token matrix that are alive at once (in each thread).
 CELLS = 1 << 20
 
 
-def pack(places: list[Place], n_acts: int) -> tuple[np.ndarray, np.ndarray]:
+def pack(places: list[Place], n_acts: int, kind=np.int16) -> tuple[np.ndarray, np.ndarray]:
     """Activity x place matrices of presets and postsets; the last activity is padding."""
-    pre, post = np.zeros((n_acts + 1, len(places)), np.int16), np.zeros((n_acts + 1, len(places)), np.int16)
+    pre, post = np.zeros((n_acts + 1, len(places)), kind), np.zeros((n_acts + 1, len(places)), kind)
     for j, (i, o) in enumerate(places):
         pre[list(i), j] = 1
         post[list(o), j] = 1
     return pre, post
 
 
+def replayed(acts: np.ndarray, places: list[Place], n_acts: int) -> tuple[np.ndarray, np.ndarray]:
+    """(least tokens, final tokens) of a padded matrix of activities; counters are as narrow as its width allows."""
+    kind = np.int8 if acts.shape[1] < 127 else np.int16 if acts.shape[1] < 32767 else np.int32
+    pre, post = pack(places, n_acts, kind)
+    tokens = np.zeros((len(acts), len(places)), kind)
+    least = np.zeros_like(tokens)
+    for k in range(acts.shape[1]):
+        tokens -= post[acts[:, k]]
+        np.minimum(least, tokens, out=least)
+        tokens += pre[acts[:, k]]
+    return least, tokens
+
+
+def cores() -> int:
+    return max(1, len(os.sched_getaffinity(0)) if hasattr(os, "sched_getaffinity") else os.cpu_count() or 1)
+
+
 class Block:
     """Variants with frequencies."""
 
-    def __init__(self, seqs: list, freqs, n_acts: int):
+    def __init__(self, seqs: list, freqs, n_acts: int, threads: int = 1):
         order = sorted(range(len(seqs)), key=lambda i: len(seqs[i]))
         self.order = np.array(order, np.int64)
         self.n_acts = n_acts
@@ -33,6 +53,8 @@ class Block:
         self.seqs = [np.asarray(seqs[i], np.int64) for i in order]
         self.freq = np.array([freqs[i] for i in order], np.int64)
         self.total = int(self.freq.sum())
+        #: Threads that share a replay; one inside tasks.
+        self.threads = threads
 
     def __len__(self) -> int:
         return len(self.seqs)
@@ -53,27 +75,38 @@ class Block:
 
     def states(self, places: list[Place]):
         """(first, last, least tokens, final tokens) per slice of variants."""
-        pre, post = pack(places, self.n_acts)
         for at, end, acts in self.chunks(len(places)):
-            tokens = np.zeros((end - at, len(places)), np.int32)
-            least = np.zeros_like(tokens)
-            for k in range(acts.shape[1]):
-                tokens -= post[acts[:, k]]
-                np.minimum(least, tokens, out=least)
-                tokens += pre[acts[:, k]]
-            yield at, end, least, tokens
+            yield at, end, *replayed(acts, places, self.n_acts)
 
     def counts(self, places: list[Place]) -> np.ndarray:
         """fit, under, over, unbalanced traces of each place."""
-        out = np.zeros((len(places), 4), np.int64)
-        width = 4096
-        for j in range(0, len(places), width):
-            for at, end, least, final in self.states(places[j : j + width]):
-                f = self.freq[at:end]
-                under = least < 0
-                for c, m in enumerate((~under & (final == 0), under, final > 0, final != 0)):
-                    out[j : j + width, c] += f @ m
-        return out
+        if not places:
+            return np.zeros((0, 4), np.int64)
+
+        def one(chunk: tuple) -> np.ndarray:
+            at, end, acts = chunk
+            least, final = replayed(acts, places, self.n_acts)
+            f, under = self.freq[at:end], least < 0
+            # Sums of frequencies stay below 2**53, so that the fast product of floats is exact.
+            return np.stack([f.astype(np.float64) @ m.astype(np.float64) for m in (~under & (final == 0), under, final > 0, final != 0)], axis=1)
+
+        # Slices go to the threads as they are made, so that few matrices are alive.
+        width, out = min(len(places), 4096), np.zeros((len(places), 4), np.float64)
+        if len(places) > width:
+            return np.concatenate([self.counts(places[j : j + width]) for j in range(0, len(places), width)])
+        if self.threads <= 1:
+            for chunk in self.chunks(width):
+                out += one(chunk)
+            return out.astype(np.int64)
+        with ThreadPoolExecutor(self.threads) as pool:
+            held = []
+            for chunk in self.chunks(width):
+                held.append(pool.submit(one, chunk))
+                if len(held) >= 2 * self.threads:
+                    out += held.pop(0).result()
+            for h in held:
+                out += h.result()
+        return out.astype(np.int64)
 
     def fits(self, places: list[Place]) -> np.ndarray:
         """variant x place: whether the variant fits; variants in the order of this block."""

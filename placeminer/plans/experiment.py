@@ -23,12 +23,7 @@ def evaluated(p: Prepared, config: Config) -> list[dict]:
     rows: list[dict] = []
     t = tree(config, p)
 
-    class Recorder(Collect):
-        def consume(self, c: Candidate) -> str:
-            rows.append({"place": c.place, "order": c.order, "counts": c.counts, "depth": c.depth})
-            return "seen"
-
-    walk(p.log, p.labels, t, config.tau, Recorder(), cut_mode="both")
+    walk(p.log, p.labels, t, config.tau, Collect(), cut_mode="both", observe=lambda c: rows.append({"place": c.place, "order": c.order, "counts": c.counts, "depth": c.depth}))
     at_pre, at_post = {p.labels.index(a): i for i, a in enumerate(t.pre)}, {p.labels.index(a): i for i, a in enumerate(t.post)}
     for r in rows:
         r["pre"], r["post"] = tuple(sorted(at_pre[a] for a in r["place"][0])), tuple(sorted(at_post[a] for a in r["place"][1]))

@@ -3,21 +3,26 @@
 ``discover`` walks level by level: the frontier is a DataFrame, one evaluation per level gives counts and local cuts as
 columns, only candidates that reach the threshold come to the composer, in path order. Cuts depend on a node alone, so
 the order of the walk does not change what is proposed unless a budget or pairwise constraints end it early.
-``Stepper`` walks one node or one batch at a time on the driver, depth first or best first, for small logs and budgets.
+``walk`` takes one node, one batch or (breadth first) one level at a time on the driver, for small logs and for the orders that
+need it. Breadth first the two agree in every option: composers meet the candidates that reach the threshold, in path
+order; further cuts are asked of those; constraints are asked of through places, and what violates one goes with its
+subtree; levels end, wired pairs hold and budgets but for seconds are checked at the end of each level.
 """
 
 from __future__ import annotations
 
 import heapq
 import time
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 from fractions import Fraction
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.compose import Budget, Candidate, Collect, Composer, Threshold, cut_columns, cuts, reaches
-from ..operators.constraints import Constraint, every
+from ..operators.constraints import Constraint
 from ..operators.evaluate import SparkLog, fitness
 from ..operators.kernel import Block, Place
 from ..operators.tree import Node, Tree
@@ -57,13 +62,33 @@ def _with_ids(frontier: DataFrame, tree: Tree, labels: list[str]) -> DataFrame:
 
 
 def _named(df: DataFrame, labels: list[str], constraint: Constraint) -> DataFrame:
-    """Rows whose places satisfy a constraint on labels."""
+    """Rows whose places satisfy a constraint on labels; one without a column is asked in the tasks, as it is at this level."""
+    if constraint.make is None:
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                places = zip(b.column("pre").to_pylist(), b.column("post").to_pylist())
+                yield b.filter(pa.array([constraint.holds(tuple(tuple(sorted(labels[x] for x in side)) for side in p)) for p in places], pa.bool_()))
+
+        return df.mapInArrow(run, df.schema)
     table = F.array(*map(F.lit, labels))
     names = {s: F.transform(f"__{s}", lambda i: F.get(table, i)) for s in ("pre", "post")}
     kept = df.withColumnsRenamed({"pre": "__pre", "post": "__post"}).withColumns(names).where(constraint.column)
     return kept.drop("pre", "post").withColumnsRenamed({"__pre": "pre", "__post": "post"})
 
 
+def _mass(done: DataFrame, tree: Tree) -> int:
+    """Descendants that the cuts of a level remove; they depend on sizes and last ranks alone, so that few groups are added up."""
+    last = {f"last_{s}": F.element_at(f"{s}_rank", -1) for s in ("pre", "post")}
+    size = {f"size_{s}": F.size(f"{s}_rank") for s in ("pre", "post")}
+    groups = done.where("cut_post OR cut_pre").withColumns({**last, **size}).groupBy(*last, *size).agg(F.count_if("cut_post").alias("post"), F.count_if("cut_pre").alias("pre"))
+    total = 0
+    for g in groups.toLocalIterator():
+        node = ((0,) * (g["size_pre"] - 1) + (g["last_pre"],), (0,) * (g["size_post"] - 1) + (g["last_post"],))
+        total += sum(g[rule] * tree.cut_mass(node, rule) for rule in ("post", "pre") if g[rule])
+    return total
+
+
 def discover(
     log: SparkLog, tree: Tree, tau: float, composer: Composer | None = None, *, cut_mode: str = "paper", budget: Budget | None = None, initial: list[Constraint] = (), roots: DataFrame | None = None,
     engine: str = "auto", supervisor: Supervisor | None = None, keep_evaluated: bool = False,
@@ -74,7 +99,6 @@ def discover(
     spark = log.variants.sparkSession
     sup, budget, began = supervisor or Supervisor(), budget or Budget(), time.time()
     composer = composer or Threshold(Collect(), tau)
-    guard = every(list(initial))
     labels, total = log.labels, log.total
     n, m = len(tree.pre), len(tree.post)
     sup.space = sum(tree.space().values())
@@ -84,12 +108,14 @@ def discover(
     pairs: set[tuple[int, int]] = set()
     while tree.max_depth >= 2:
         level = _with_ids(frontier, tree, labels)
-        if initial:
-            level = _named(level, labels, guard) if guard.column is not None else level
+        for constraint in initial:
+            level = _named(level, labels, constraint)
         if pairs:
             wire = F.array(*[F.lit(a * len(labels) + b) for a, b in sorted(pairs)])
             own = F.flatten(F.transform("pre", lambda a: F.transform("post", lambda b: a * len(labels) + b)))
             level = level.where(~F.arrays_overlap(own, wire))
+        if budget.max_candidates is not None:
+            level = level.orderBy("path").limit(max(0, budget.max_candidates - proposed))
         last_post = F.element_at("post_rank", -1) == m - 1
         last_pre = F.element_at("pre_rank", -1) == n - 1
         if tree.prefer == "pre":  # the mirrored tree mirrors the rules
@@ -108,17 +134,28 @@ def discover(
         keep = done.select("pre_rank", "post_rank", "pre", "post", "depth", "path", "n_fit", "n_under", "n_over", "n_unbalanced", "cut_post", "cut_pre") if keep_evaluated else None
         kept = keep if kept is None else kept.union(keep) if keep_evaluated else kept
         passing = done.where(F.col("n_fit") * 1_000_000 >= round(tau * 1_000_000) * total).orderBy("path")
-        before, passed = set(composer.accepted), 0
+        before, passed, extra = set(composer.accepted), 0, []
         with sup.timed("compose"):
             # Only places that reach the threshold come here, a level at a time.
-            for r in passing.select("pre", "post", "n_fit", "n_under", "n_over", "n_unbalanced", "path").toLocalIterator():
+            for r in passing.select("place_id", "pre", "post", "n_fit", "n_under", "n_over", "n_unbalanced", "path").toLocalIterator():
                 passed += 1
                 c = Candidate((tuple(r["pre"]), tuple(r["post"])), (r["n_fit"], r["n_under"], r["n_over"], r["n_unbalanced"]), total, (depth, *r["path"]))
                 verdict = composer.consume(c)
                 sup.count("compose", verdict)
                 if verdict == "accepted":
                     sup.accepted(c.place, proposed, len(composer.accepted))
+                if any(more := composer.extra_cuts(c)):
+                    extra.append((r["place_id"], *more))
             composer.end_of_level()
+        sup.count("compose", "unfit", facts["n"] - passed)
+        if extra:
+            # No more rows than places came to the composer; none of them was cut yet, since they reach the threshold.
+            sup.count("evaluate", "cut_post", sum(x[1] for x in extra))
+            sup.count("evaluate", "cut_pre", sum(x[2] for x in extra))
+            more = spark.createDataFrame(extra, "place_id string, more_post boolean, more_pre boolean")
+            done = done.join(more, "place_id", "left").withColumns({f"cut_{s}": F.col(f"cut_{s}") | F.coalesce(f"more_{s}", F.lit(False)) for s in ("post", "pre")}).drop("more_post", "more_pre")
+        if sup.level != "off":
+            sup.considered += _mass(done, tree)
         by_depth[depth] = (facts["n"], passed)
         stopped = budget.spent(time.time() - began, proposed, len(composer.accepted), set(composer.accepted) != before)
         if stopped or depth >= tree.max_depth:
@@ -162,10 +199,9 @@ class Stepper:
         out: list[Node] = []
         while self.heap and len(out) < k:
             node = heapq.heappop(self.heap)[1]
-            if not all(c.holds(self.tree.names(node)) for c in self.constraints):
+            if node[0] and node[1] and not all(c.holds(self.tree.names(node)) for c in self.constraints):
                 self.pruned += 1
-                if all(c.monotone for c in self.constraints) or not (node[0] and node[1]):
-                    continue
+                continue
             if not (node[0] and node[1]):
                 for child in self.tree.children(node):
                     self._push(child)
@@ -180,9 +216,10 @@ class Stepper:
 
 def walk(
     log: SparkLog | Block, labels: list[str], tree: Tree, tau: float, composer: Composer | None = None, *, strategy: str = "bfs", heuristic=None, constraints: list[Constraint] = (), batch: int = 256,
-    budget: Budget | None = None, cut_mode: str = "paper", roots: list[Node] | None = None, supervisor: Supervisor | None = None,
+    budget: Budget | None = None, cut_mode: str = "paper", roots: list[Node] | None = None, supervisor: Supervisor | None = None, observe=None,
 ) -> Discovery:
-    """Discovery by a stepper, ``batch`` candidates an evaluation; strict order at a batch of one."""
+    """Discovery by a stepper, ``batch`` candidates an evaluation (a level, breadth first); strict order at a batch of one.
+    ``observe`` sees every evaluated candidate, the composer those that reach ``tau``."""
     sup, budget, began = supervisor or Supervisor(), budget or Budget(), time.time()
     composer = composer or Threshold(Collect(), tau)
     steps = Stepper(tree, strategy, heuristic, list(constraints), roots)
@@ -205,20 +242,26 @@ def walk(
             nodes = [x for x in nodes if not any((at[tree.pre[i]], at[tree.post[o]]) in wired for i in x[0] for o in x[1])]
         if budget.max_candidates is not None:
             nodes = nodes[: max(0, budget.max_candidates - proposed)]
+        if not nodes:
+            if strategy == "bfs":
+                break
+            continue
         places = [tree.ids(x, labels) for x in nodes]
         with sup.timed("evaluate"):
-            counts = log.counts(places) if places else []
+            counts = log.counts(places)
         before = set(composer.accepted)
         for node, place, c in zip(nodes, places, counts):
             proposed += 1
             d = len(node[0]) + len(node[1])
-            if d != level and strategy == "bfs" and level:
-                composer.end_of_level()
-            level = d
+            level = max(level, d)
             seen, passed = by_depth.get(d, (0, 0))
             ok = reaches(int(c[0]), total, tau)
             by_depth[d] = (seen + 1, passed + ok)
-            verdict = composer.consume(Candidate(place, tuple(int(x) for x in c), total, (d, *tree.path(node))))
+            candidate = Candidate(place, tuple(int(x) for x in c), total, (d, *tree.path(node)))
+            if observe is not None:
+                observe(candidate)
+            verdict = composer.consume(candidate) if ok else "unfit"
+            more = composer.extra_cuts(candidate) if ok else (False, False)
             sup.count("compose", verdict)
             if verdict == "accepted":
                 sup.accepted(place, proposed, len(composer.accepted))
@@ -227,19 +270,21 @@ def walk(
                 cut_pre, cut_post = cuts(int(c[2]), int(c[1]), total, tau, d, can_pre, can_post, cut_mode)
             else:
                 cut_post, cut_pre = cuts(int(c[1]), int(c[2]), total, tau, d, can_post, can_pre, cut_mode)
-            more = composer.extra_cuts(Candidate(place, tuple(int(x) for x in c), total))
             cut_post, cut_pre = cut_post or more[0], cut_pre or more[1]
             for rule, cut in (("post", cut_post), ("pre", cut_pre)):
                 if cut:
                     sup.count("evaluate", f"cut_{rule}")
                     sup.considered += tree.cut_mass(node, rule)
             steps.visit(node, cut_post, cut_pre)
+        if strategy == "bfs":
+            composer.end_of_level()
         sup.visited, sup.depth = proposed, max(sup.depth, level)
         wired = composer.wired_pairs
         stopped = budget.spent(time.time() - began, proposed, len(composer.accepted), set(composer.accepted) != before)
         if stopped:
             break
-    composer.end_of_level()
+    if strategy != "bfs":
+        composer.end_of_level()
     composer.finish()
     whole = stopped is None and composer.complete and all(c.monotone for c in constraints)
     return Discovery(labels, composer.accepted, proposed, stopped, whole, sup, time.time() - began, None, by_depth)

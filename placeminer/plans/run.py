@@ -7,6 +7,7 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 
+from ..checkpoints import checkpointed
 from ..functions.places import END, START
 from ..operators import conformance, heuristics, log as logs, order
 from ..operators.compose import Budget, Collect, Composer, Delta, Implicit, Postponing, Threshold, Uniwired
@@ -46,10 +47,10 @@ def prepare(events: DataFrame, how: str = "first_index", seed: int = 0, explicit
     """``pre``: functions from events to events that run first (P10), such as relabelling for duplicate or silent steps."""
     for step in pre:
         events = step(events)
-    named = logs.variants(logs.traces(events)).persist()
+    named = checkpointed(logs.variants(logs.traces(events)))
     inner = order.ordered(named, how, seed=seed, explicit=explicit)
     labels = [START, *inner, END]
-    encoded = logs.encode(named, labels).persist()
+    encoded = logs.encode(named, labels)
     context = Context()
     context.offer("variants", lambda _: encoded)
     context.offer("named", lambda _: named)
@@ -100,6 +101,8 @@ def search(config: Config, p: Prepared, distributed: bool | None = None, supervi
     if distributed is None:
         distributed = config.strategy == "bfs" and not p.log.small
     if distributed:
+        if config.strategy != "bfs":
+            raise ValueError(f"a distributed search goes breadth first, not {config.strategy}")
         return discover(p.log, tree(config, p), config.tau, composer(config, p), cut_mode=config.cut_mode, budget=budget, supervisor=sup)
     h = p.context.get(config.heuristic or "size") if config.strategy == "best" else None
     return walk(p.log, p.labels, tree(config, p), config.tau, composer(config, p), strategy=config.strategy, heuristic=h, batch=config.batch, cut_mode=config.cut_mode, budget=budget, supervisor=sup)

@@ -8,6 +8,7 @@ from dataclasses import replace
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .checkpoints import checkpointed
 from .functions import places as pl
 from .functions.places import END, START
 from .functions.replay import trace_state
@@ -123,7 +124,7 @@ def cube_log_stats(spark: SparkSession, d: str) -> DataFrame:
 
 def ordering_ablation(spark: SparkSession, d: str) -> DataFrame:
     """Rank of each activity under the orders that SQL can repeat."""
-    named = names_log(spark, d, "events_day").persist()
+    named = checkpointed(names_log(spark, d, "events_day"))
     out = None
     for how in ("first_index", "lexicographic", "frequency", "trace_frequency", "mean_occurrences"):
         one = order.rank(named, how).select(F.lit(how).alias("strategy"), "activity", "rank")
@@ -215,14 +216,7 @@ def candidate_counts_by_depth(spark: SparkSession, d: str) -> DataFrame:
 
 def _passing(p: Prepared, tau: float, depth: int = 2) -> list[Candidate]:
     kept: list[Candidate] = []
-
-    class Keep(Collect):
-        def consume(self, c: Candidate) -> str:
-            if reaches(c.counts[0], c.total, tau):
-                kept.append(c)
-            return "seen"
-
-    walk(p.log, p.labels, tree(Config(max_depth=depth), p), tau, Keep())
+    walk(p.log, p.labels, tree(Config(max_depth=depth), p), tau, observe=lambda c: kept.append(c) if reaches(c.counts[0], c.total, tau) else None)
     return sorted(kept, key=lambda c: c.order)
 
 
@@ -453,7 +447,7 @@ def grids(spark: SparkSession, d: str) -> DataFrame:
     for name, taus, depths in GRID_LOGS:
         one = grid_of(name, taus, depths)(spark, d).where("oracle <> 'shared'")
         out = one if out is None else out.union(one)
-    return out.cache()
+    return out
 
 
 def grid_correlations(spark: SparkSession, d: str) -> DataFrame:

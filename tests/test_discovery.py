@@ -192,13 +192,7 @@ def test_grid_sharing_rebuilds_every_walk():
     for _ in range(6):
         b = block(random_log(rng))
         rows = []
-
-        class Rec(Collect):
-            def consume(self, c):
-                rows.append({"place": c.place, "n_fit": c.counts[0], "n_under": c.counts[1], "n_over": c.counts[2], "depth": c.depth})
-                return "seen"
-
-        walk(b, LABELS, TREE, 0.5, Rec(), cut_mode="both")
+        walk(b, LABELS, TREE, 0.5, cut_mode="both", observe=lambda c: rows.append({"place": c.place, "n_fit": c.counts[0], "n_under": c.counts[1], "n_over": c.counts[2], "depth": c.depth}))
         for r in rows:
             r["pre"] = tuple(sorted(TREE.pre.index(LABELS[i]) for i in r["place"][0]))
             r["post"] = tuple(sorted(TREE.post.index(LABELS[i]) for i in r["place"][1]))

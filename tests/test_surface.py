@@ -50,7 +50,7 @@ def test_spec_null_policies_and_markers(spark):
 
 
 def test_orders_and_subsets(spark, sf01):
-    log = names_log(spark, sf01, "events_day").persist()
+    log = names_log(spark, sf01, "events_day")
     assert order.ordered(log) == ["signup", "error", "view", "click", "purchase"]
     assert order.ordered(log, "lexicographic") == sorted(order.ordered(log))
     assert order.ordered(log, "random", seed=1) == order.ordered(log, "random", seed=1)
