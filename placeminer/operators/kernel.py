@@ -6,14 +6,11 @@ kept, then they rise by the preset.
 
 from __future__ import annotations
 
-import os
-from concurrent.futures import ThreadPoolExecutor
-
 import numpy as np
 
 Place = tuple[tuple[int, ...], tuple[int, ...]]
-#: Cells of the token matrix that are alive at once (in each thread).
-CELLS = 1 << 20
+#: Cells of the token matrix that are alive at once.
+CELLS = 1 << 18
 
 
 def pack(places: list[Place], n_acts: int, kind=np.int16) -> tuple[np.ndarray, np.ndarray]:
@@ -25,27 +22,10 @@ def pack(places: list[Place], n_acts: int, kind=np.int16) -> tuple[np.ndarray, n
     return pre, post
 
 
-def replayed(acts: np.ndarray, places: list[Place], n_acts: int) -> tuple[np.ndarray, np.ndarray]:
-    """(least tokens, final tokens) of a padded matrix of activities; counters are as narrow as its width allows."""
-    kind = np.int8 if acts.shape[1] < 127 else np.int16 if acts.shape[1] < 32767 else np.int32
-    pre, post = pack(places, n_acts, kind)
-    tokens = np.zeros((len(acts), len(places)), kind)
-    least = np.zeros_like(tokens)
-    for k in range(acts.shape[1]):
-        tokens -= post[acts[:, k]]
-        np.minimum(least, tokens, out=least)
-        tokens += pre[acts[:, k]]
-    return least, tokens
-
-
-def cores() -> int:
-    return max(1, len(os.sched_getaffinity(0)) if hasattr(os, "sched_getaffinity") else os.cpu_count() or 1)
-
-
 class Block:
     """Variants with frequencies."""
 
-    def __init__(self, seqs: list, freqs, n_acts: int, threads: int = 1):
+    def __init__(self, seqs: list, freqs, n_acts: int):
         order = sorted(range(len(seqs)), key=lambda i: len(seqs[i]))
         self.order = np.array(order, np.int64)
         self.n_acts = n_acts
@@ -53,60 +33,65 @@ class Block:
         self.seqs = [np.asarray(seqs[i], np.int64) for i in order]
         self.freq = np.array([freqs[i] for i in order], np.int64)
         self.total = int(self.freq.sum())
-        #: Threads that share a replay; one inside tasks.
-        self.threads = threads
+        self._padded: list | None = None
 
     def __len__(self) -> int:
         return len(self.seqs)
 
+    def padded(self) -> list[tuple[int, int, np.ndarray]]:
+        """Slices of variants of similar length as padded matrices, made once; a very long variant shares with none that is much shorter."""
+        if self._padded is None:
+            self._padded, at = [], 0
+            kind = np.int16 if self.n_acts < 32767 else np.int32
+            while at < len(self.seqs):
+                end = int(np.searchsorted(self.lengths, 4 * self.lengths[at] + 16, "right"))
+                out = np.full((end - at, max(1, int(self.lengths[end - 1]))), self.n_acts, kind)
+                out[np.arange(out.shape[1]) < self.lengths[at:end, None]] = np.concatenate(self.seqs[at:end])
+                self._padded.append((at, end, out))
+                at = end
+        return self._padded
+
     def chunks(self, width: int):
-        """Slices of variants of similar length as a padded matrix; one very long variant stands alone."""
+        """Parts of the padded matrices for ``width`` places at once."""
         step = max(1, CELLS // max(1, width))
-        at = 0
-        while at < len(self.seqs):
-            end = min(len(self.seqs), at + step)
-            while end > at + 1 and self.lengths[end - 1] > 4 * self.lengths[at] + 16:
-                end = at + max(1, (end - at) // 2)
-            out = np.full((end - at, max(1, int(self.lengths[end - 1]))), self.n_acts, np.int64)
-            for r in range(at, end):
-                out[r - at, : self.lengths[r]] = self.seqs[r]
-            yield at, end, out
-            at = end
+        for at, end, acts in self.padded():
+            for i in range(at, end, step):
+                part = acts[i - at : i - at + step]
+                yield i, min(end, i + step), part[:, : max(1, int(self.lengths[min(end, i + step) - 1]))]
 
     def states(self, places: list[Place]):
         """(first, last, least tokens, final tokens) per slice of variants."""
+        packed: dict = {}
         for at, end, acts in self.chunks(len(places)):
-            yield at, end, *replayed(acts, places, self.n_acts)
+            # Counters are as narrow as the longest variant allows.
+            kind = np.int8 if acts.shape[1] < 127 else np.int16 if acts.shape[1] < 32767 else np.int32
+            if kind not in packed:
+                packed[kind] = pack(places, self.n_acts, kind)
+            pre, post = packed[kind]
+            tokens = np.zeros((len(acts), len(places)), kind)
+            least = np.zeros_like(tokens)
+            for k in range(acts.shape[1]):
+                tokens -= post[acts[:, k]]
+                np.minimum(least, tokens, out=least)
+                tokens += pre[acts[:, k]]
+            yield at, end, least, tokens
 
     def counts(self, places: list[Place]) -> np.ndarray:
         """fit, under, over, unbalanced traces of each place."""
         if not places:
             return np.zeros((0, 4), np.int64)
-
-        def one(chunk: tuple) -> np.ndarray:
-            at, end, acts = chunk
-            least, final = replayed(acts, places, self.n_acts)
-            f, under = self.freq[at:end], least < 0
-            # Sums of frequencies stay below 2**53, so that the fast product of floats is exact.
-            return np.stack([f.astype(np.float64) @ m.astype(np.float64) for m in (~under & (final == 0), under, final > 0, final != 0)], axis=1)
-
-        # Slices go to the threads as they are made, so that few matrices are alive.
-        width, out = min(len(places), 4096), np.zeros((len(places), 4), np.float64)
+        width = 4096
         if len(places) > width:
             return np.concatenate([self.counts(places[j : j + width]) for j in range(0, len(places), width)])
-        if self.threads <= 1:
-            for chunk in self.chunks(width):
-                out += one(chunk)
-            return out.astype(np.int64)
-        with ThreadPoolExecutor(self.threads) as pool:
-            held = []
-            for chunk in self.chunks(width):
-                held.append(pool.submit(one, chunk))
-                if len(held) >= 2 * self.threads:
-                    out += held.pop(0).result()
-            for h in held:
-                out += h.result()
-        return out.astype(np.int64)
+        out = np.zeros((len(places), 4), np.int64)
+        for at, end, least, final in self.states(places):
+            f, under = self.freq[at:end], least < 0
+            # All sums of these whole numbers are exact in the float that is used.
+            kind = np.float32 if f.sum() < 1 << 24 else np.float64
+            f = f.astype(kind)
+            for c, m in enumerate((~under & (final == 0), under, final > 0, final != 0)):
+                out[:, c] += (f @ m.astype(kind)).astype(np.int64)
+        return out
 
     def fits(self, places: list[Place]) -> np.ndarray:
         """variant x place: whether the variant fits; variants in the order of this block."""
