@@ -3,23 +3,27 @@
 Entities are found by one pattern per type; each is replaced by a keyed surrogate of its own type and format:
 
 - ``email``: letters for letters and digits for digits in the local part, under a reserved example domain;
-- ``phone``: the country code stays, every other digit changes, separators stay;
+- ``phone``: the country code stays, every other digit changes, separators stay; short numbers go through a keyed
+  permutation of their country code and length, so that even a space that is full keeps them distinct;
 - ``card``: digits under the same separators, Luhn-valid if and only if the entity was;
 - ``ssn``: digits under the same dashes, in the never-issued 9xx range;
 - ``ip``: an address of the reserved block 240/4;
 - ``secret``: as many hexadecimal digits or letters and digits, in the same case;
-- ``person``: names after a title, each part replaced by one of the same gender (by the title) and script.
+- ``person``: names after a title, each part replaced by one of the same script (Latin, Cyrillic, Greek; names of others are
+  not taken for names) and gender. Parts of such names that stand in the same text without a title are replaced alike.
 
 A surrogate is a function of the key, the type and the canonical form (case, separators and title
 do not matter), so one entity has one surrogate in all documents; parts of names are keyed alone, so
-``Mr. John Smith`` and ``Mr. Smith`` stay one person. The distinct entities of the corpus, and
-the distinct parts of names for each gender and script, are then checked: where two share a surrogate, or one is a real entity of the corpus, all but one are drawn anew,
-until the surrogates are distinct. Only entities drawn anew are kept as a table; it reaches the texts as a
+``Mr. John Smith``, ``Dr. John Smith``, ``Mr. Smith`` and a later ``Smith`` stay one person. A given name has the gender that the
+corpus's titles before it agree on; where they tell none, or differ, its surrogate is a name of both. The distinct entities
+of the corpus, and the distinct given and family names, are then checked: where two share a surrogate, or one is a real entity
+of the corpus, all but one are drawn anew from a space that grows with each attempt, until the surrogates are distinct; if they are not
+after ``ATTEMPTS`` rounds an error is raised. Only what differs from the first draw is kept as a table; it reaches the texts as a
 literal map while it has at most ``LITERAL`` rows, and by a join on text hashes beyond that.
 
-Edge cases: null texts stay null, empty and clean texts are unchanged; very long texts are handled whole; repeated
-rows get equal results; without entities nothing is drawn; other columns are kept as they are by
-:func:`replaced` and never read.
+Edge cases: null texts stay null, empty and clean texts are unchanged; very long texts, entities and names are handled whole; repeated
+rows get equal results; without entities nothing is drawn; other columns, whatever their names, are kept as they are by
+:func:`replaced` and never read. A name has at most five parts; a phone number whose digits all belong to the country code has none to change.
 """
 
 from __future__ import annotations
@@ -33,33 +37,40 @@ from .common import checkpointed
 
 KEY = "surrogate-key-1"
 LITERAL = 2000
-ATTEMPTS = 8
+ATTEMPTS = 64
+#: Phone numbers of at most so many digits after the country code are permuted.
+SHORT = 6
+#: What mentions are marked with inside a task; texts that hold it are split without.
+MARK = "\ue000"
 
 #: Titles by the gender that they tell.
-MALE = ("Mr", "Herr", "Monsieur", "Señor", "Sr", "Sir", "Господин")
-FEMALE = ("Mrs", "Ms", "Miss", "Frau", "Madame", "Mme", "Señora", "Sra", "Lady", "Госпожа")
+MALE = ("Mr", "Herr", "Monsieur", "Señor", "Sr", "Sir", "Господин", "Κύριος")
+FEMALE = ("Mrs", "Ms", "Miss", "Frau", "Madame", "Mme", "Señora", "Sra", "Lady", "Госпожа", "Κυρία")
 NEUTRAL = ("Dr", "Prof", "Mx")
 #: Given names by script and gender.
 GIVEN = {
     "latin": {"m": ("Adam", "Boris", "Carl", "David", "Emil", "Felix", "Georg", "Hugo", "Ivan", "Jonas", "Karl", "Leo", "Martin", "Noel", "Oscar", "Paul"), "f": ("Ada", "Berta", "Clara", "Diana", "Emma", "Flora", "Greta", "Helena", "Ida", "Julia", "Karin", "Lena", "Maria", "Nora", "Olga", "Petra"), "n": ("Alex", "Chris", "Dana", "Eden", "Jamie", "Kim", "Lou", "Max", "Nico", "Robin", "Sacha", "Sam", "Sky", "Toni", "Val", "Yuri")},
     "cyrillic": {"m": ("Антон", "Борис", "Виктор", "Глеб", "Денис", "Егор", "Иван", "Кирилл", "Лев", "Максим", "Никита", "Олег", "Павел", "Роман", "Семён", "Юрий"), "f": ("Анна", "Вера", "Галина", "Дарья", "Елена", "Жанна", "Зоя", "Ирина", "Кира", "Лидия", "Мария", "Нина", "Ольга", "Раиса", "София", "Юлия"), "n": ("Женя", "Саша", "Валя", "Слава", "Паша", "Шура", "Тоня", "Витя", "Лера", "Миша", "Коля", "Рома", "Ваня", "Лёша", "Стася", "Юра")},
+    "greek": {"m": ("Άγγελος", "Βασίλης", "Γιώργος", "Δημήτρης", "Ηλίας", "Θανάσης", "Κώστας", "Λευτέρης", "Μιχάλης", "Νίκος", "Πέτρος", "Σπύρος", "Στέλιος", "Τάσος", "Φώτης", "Χρήστος"), "f": ("Άννα", "Βάσω", "Γεωργία", "Δήμητρα", "Ελένη", "Ζωή", "Ιωάννα", "Κατερίνα", "Λίνα", "Μαρία", "Νίκη", "Ξένια", "Ρένα", "Σοφία", "Φωτεινή", "Χριστίνα"), "n": ("Άλεξ", "Άρι", "Ντάνι", "Έντι", "Κιμ", "Λου", "Μαξ", "Νόε", "Ρόμπιν", "Σαμ", "Σάσα", "Σκάι", "Τζο", "Τζέιμι", "Τόνι", "Φράνσις")},
 }
 #: Country codes of telephone numbers.
 COUNTRY = r"^(?:1|7|2[07]|3[0-469]|4[013-9]|5[1-8]|6[0-6]|8[1246]|9[0-58]|\d{3})"
 #: Syllables of made-up family names, by script.
-SYLLABLES = {"latin": ("ba", "del", "fin", "gor", "hal", "jen", "kas", "lum", "mor", "nel", "pad", "quin", "ros", "sten", "tal", "ver"), "cyrillic": ("ба", "дел", "фин", "гор", "хал", "жен", "кас", "лум", "мор", "нел", "пад", "вин", "рос", "стен", "тал", "вер")}
+SYLLABLES = {"latin": ("ba", "del", "fin", "gor", "hal", "jen", "kas", "lum", "mor", "nel", "pad", "quin", "ros", "sten", "tal", "ver"), "cyrillic": ("ба", "дел", "фин", "гор", "хал", "жен", "кас", "лум", "мор", "нел", "пад", "вин", "рос", "стен", "тал", "вер"), "greek": ("βα", "δελ", "φιν", "γορ", "χαλ", "ζεν", "κασ", "λουμ", "μορ", "νελ", "παδ", "κιν", "ροσ", "στεν", "ταλ", "βερ")}
 TYPES = ("email", "secret", "ip", "ssn", "card", "phone", "person")
 
 _TITLE = "|".join(sorted((*MALE, *FEMALE, *NEUTRAL), key=len, reverse=True))
+_LETTER = r"\p{IsLatin}\p{IsCyrillic}\p{IsGreek}"
+_PART = rf"(?=\p{{Lu}})[{_LETTER}][{_LETTER}'-]++(?!\p{{L}})"
 #: The patterns, in order of preference where they start at one place. Repetitions are possessive or bounded, so that no text is tried twice.
 PATTERNS = {
-    "email": r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+@[A-Za-z0-9-]{1,63}+(?:\.[A-Za-z0-9-]{1,63}+)+",
-    "secret": r"(?<=[\"'])(?<=(?i:\b(?:token|secret|password|passwd|api[_-]?key|access[_-]?key|auth)[\"']?\s{0,3}[=:]\s{0,3}[\"']))[^\"'\s]{8,512}+(?=[\"'])|\b[0-9a-f]{40}\b|\bAKIA[0-9A-Z]{16}\b|\bgh[pousr]_[A-Za-z0-9]{36}\b",
+    "email": r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++",
+    "secret": r"(?<=[\"'])(?<=(?i:\b(?:token|secret|password|passwd|api[_-]?key|access[_-]?key|auth)[\"']?\s{0,3}[=:]\s{0,3}[\"']))[^\"'\s]{8,}+(?=[\"'])|\b[0-9a-f]{40}\b|\bAKIA[0-9A-Z]{16}\b|\bgh[pousr]_[A-Za-z0-9]{36}\b",
     "ip": r"(?<![\d.])(?:(?:25[0-5]|2[0-4]\d|1?\d?\d)\.){3}(?:25[0-5]|2[0-4]\d|1?\d?\d)(?!\.?\d)",
     "ssn": r"(?<![\d-])\d{3}-\d{2}-\d{4}(?![\d-])",
     "card": r"(?<![\d-])\d{4}([ -]?)\d{4}\1\d{4}\1\d{1,7}(?![\d-])|(?<!\d)3[47]\d{2} \d{6} \d{5}(?!\d)",
     "phone": r"(?<![\d\w])\+\d{1,3}[ .-]?(?:\(\d{1,4}\)|\d{1,4})(?:[ .-]?\d{2,4}){1,4}(?!\d)|(?<![\d\w])\(\d{3}\) ?\d{3}[ .-]\d{4}(?!\d)|(?<![\d\w.-])\d{3}[.-]\d{3}[.-]\d{4}(?![\d-])",
-    "person": rf"(?<!\p{{L}})(?:{_TITLE})\.?[ ]\p{{Lu}}[\p{{L}}'-]{{1,40}}+(?:[ ]\p{{Lu}}[\p{{L}}'-]{{1,40}}+){{0,2}}",
+    "person": rf"(?<!\p{{L}})(?:{_TITLE})\.?[ ]{_PART}(?:[ ]{_PART}){{0,4}}+",
 }
 
 
@@ -71,7 +82,11 @@ def _combined() -> str:
 
 PATTERN = _combined()
 #: What every text with an entity holds; cheap, and most texts lack it.
-GATE = r"[0-9@\"']|[MHSLFDP\u0413](?:" + "|".join(sorted({t[1:] for t in (*MALE, *FEMALE, *NEUTRAL)})) + r")[. ]"
+GATE = r"[0-9@\"']|[" + "".join(sorted({t[0] for t in (*MALE, *FEMALE, *NEUTRAL)})) + r"](?:" + "|".join(sorted({t[1:] for t in (*MALE, *FEMALE, *NEUTRAL)})) + r")[. ]"
+
+
+def is_person(e: Column) -> Column:
+    return e.rlike(rf"^(?:{_TITLE})\.?[ ]\p{{Lu}}")
 
 
 def kind_of(e: Column) -> Column:
@@ -80,11 +95,11 @@ def kind_of(e: Column) -> Column:
     for t in reversed(("email", "ip", "ssn", "card", "person", "secret")):
         test = {
             "email": e.contains("@") & e.rlike(rf"^(?:{PATTERNS['email']})$"),
-            "secret": ~e.contains(" ") & ((F.length(e) >= 8) & ~e.rlike(r"^[+(]?[\d().-]*$") | e.rlike(r"^[0-9a-f]{40}$")),
+            "secret": ~e.contains(" ") & (F.length(e) >= 8) & ~e.rlike(rf"^(?:{PATTERNS['phone']})$"),
             "ip": e.rlike(r"^[\d]{1,3}(\.\d{1,3}){3}$"),
             "ssn": e.rlike(r"^\d{3}-\d{2}-\d{4}$"),
             "card": e.rlike(r"^\d[\d -]*$") & (F.length(F.regexp_replace(e, r"\D", "")) >= 13),
-            "person": e.rlike(rf"^(?:{_TITLE})\.?[ ]\p{{Lu}}"),
+            "person": is_person(e),
         }[t]
         out = F.when(test, F.lit(t)).otherwise(out)
     return out
@@ -168,23 +183,24 @@ def _written(e: Column, digits: Column, skip: Column) -> Column:
     return F.aggregate(F.filter(F.split(e, ""), lambda c: c != ""), start, step)["out"]
 
 
-def _name(key: str, part: Column, attempt: Column, gender: Column, given: Column) -> Column:
-    """A surrogate of one part of a name: a given name of the gender, or a family name, in the part's script.
+def _name(key: str, claim: Column, attempt: Column, gender: Column) -> Column:
+    """A surrogate of one part of a name: a given name of the gender, or a family name, in the part's script and case.
 
-    Every attempt up to the fifth adds a name or a syllable, so that the space outgrows the parts that collide.
+    Every attempt adds a name or a syllable, so that the space outgrows the parts that collide.
     """
+    part, given = claim["canon"], claim["kind"] == "given"
 
     def of(script: str) -> Column:
-        s = stream(key, "family", F.lower(part), attempt)
-        more = F.least(attempt, F.lit(5))
         syllables = F.array(*map(F.lit, SYLLABLES[script]))
-        made = _let(s, lambda v: F.initcap(F.array_join(F.transform(F.sequence(F.lit(0), more + 4), lambda i: F.element_at(syllables, (_byte(v, i) % 16 + 1).cast("int"))), "")))
-        g = stream(key, "given", F.lower(part), attempt)
-        several = lambda names: _let(g, lambda v: F.array_join(F.transform(F.sequence(F.lit(0), more), lambda i: F.element_at(names, (_byte(v, i) % 16 + 1).cast("int"))), "-"))
+        drawn = lambda v, names, n: F.transform(F.sequence(F.lit(0), n), lambda i: F.element_at(names, (_byte(v, i) % 16 + 1).cast("int")))
+        made = _let(stream(key, "family", part, attempt), lambda v: F.initcap(F.array_join(drawn(v, syllables, attempt + 4), "")))
+        several = lambda names: _let(stream(key, "given", part, attempt), lambda v: F.array_join(drawn(v, names, attempt), "-"))
         pools = [several(F.array(*map(F.lit, GIVEN[script][x]))) for x in "mfn"]
         return F.when(given, F.when(gender == "m", pools[0]).when(gender == "f", pools[1]).otherwise(pools[2])).otherwise(made)
 
-    return F.when(part.rlike(r"\p{IsCyrillic}"), of("cyrillic")).otherwise(of("latin"))
+    name = F.when(part.rlike(r"\p{IsCyrillic}"), of("cyrillic")).when(part.rlike(r"\p{IsGreek}"), of("greek")).otherwise(of("latin"))
+    loud = (F.length(claim["mention"]) > 1) & (claim["mention"] == F.upper(claim["mention"]))
+    return F.when(loud, F.upper(name)).otherwise(name)
 
 
 def gender_of(e: Column) -> Column:
@@ -193,35 +209,56 @@ def gender_of(e: Column) -> Column:
 
 
 def claimed(kind: Column, canon: Column, e: Column) -> Column:
-    """What must have a surrogate of its own, as an array of (kind, canon, mention): the parts of a name, or else the entity."""
+    """What must have a surrogate of its own, as an array of (kind, canon, mention, gender): the parts of a name, or else the entity."""
     parts = F.split(canon, " ")
-    part = lambda p, i: F.struct(F.when(i < F.size(parts) - 1, F.concat(F.lit("given:"), gender_of(e))).otherwise("family").alias("kind"), F.lower(p).alias("canon"), F.lower(p).alias("mention"))
-    return F.when(kind == "person", F.transform(parts, part)).otherwise(F.array(F.struct(kind.alias("kind"), canon.alias("canon"), e.alias("mention"))))
+    last = F.size(parts) - 1
+    part = lambda p, i: F.struct(F.when(i < last, "given").otherwise("family").alias("kind"), F.lower(p).alias("canon"), p.alias("mention"), F.when(i < last, gender_of(e)).alias("gender"))
+    whole = F.struct(kind.alias("kind"), canon.alias("canon"), e.alias("mention"), F.lit(None).cast("string").alias("gender"))
+    return F.when(kind == "person", F.transform(parts, part)).otherwise(F.array(whole))
+
+
+def _power(n: Column) -> Column:
+    return F.rpad(F.lit("1"), n + 1, "0").cast("long")
+
+
+def _phone(key: str, canon: Column, attempt: Column) -> Column:
+    """The digits of a phone number with those after the country code changed."""
+    code = F.regexp_extract(canon, COUNTRY, 0)
+    free = F.substring(canon, F.length(code) + 1, F.length(canon))
+    d = F.length(free)
+    # x -> a x + b with a = 1 and b <> 0 modulo ten: a permutation without fixed points.
+    s = stream(key, "short phone", F.concat_ws("|", code, d.cast("string")), F.lit(0))
+    number = lambda i, n: F.conv(F.substring(s, i, n), 16, 10).cast("long")
+    a, b = number(1, 5) * 10 + 1, number(6, 5) * 10 + number(11, 5) % 9 + 1
+    short = F.lpad(((a * free.cast("long") + b) % _power(d)).cast("string"), d, "0")
+    drawn = F.substring(_digits(stream(key, "phone", canon, attempt), F.length(canon)), F.length(code) + 1, F.length(canon))
+    return F.concat(code, F.when(d == 0, F.lit("")).when(d <= SHORT, short).otherwise(drawn))
+
 
+def settled(kind: Column, canon: Column) -> Column:
+    """Whether a surrogate is distinct by its making and needs no check."""
+    return (kind == "phone") & (F.length(F.regexp_replace(canon, COUNTRY, "")) <= SHORT)
 
-def surrogate(key: str, kind: Column, canon: Column, e: Column, tried) -> Column:
-    """The surrogate of a mention ``e``, by the attempts ``tried(kind, canon)``."""
-    attempt = tried(kind, canon)
+
+def surrogate(key: str, kind: Column, canon: Column, e: Column, attempt: Column) -> Column:
+    """The surrogate of a mention ``e`` of anything but a person."""
     of = lambda k: stream(key, k, canon, attempt)
     n = F.length(canon)
     local = F.regexp_extract(e, "^([^@]*)@", 1)
-    domain = F.concat(_alike(of("domain"), F.rpad(F.lit("host"), 7, "x")), F.lit(".example."), F.element_at(F.array(F.lit("com"), F.lit("org"), F.lit("net")), (_byte(of("domain"), 20) % 3 + 1).cast("int")))
+    domain = F.concat(_alike(of("domain"), F.rpad(F.lit("host"), F.greatest(attempt, F.lit(7)), "x")), F.lit(".example."), F.element_at(F.array(F.lit("com"), F.lit("org"), F.lit("net")), (_byte(of("domain"), 20) % 3 + 1).cast("int")))
     email = F.concat(_alike(of("email"), local), F.lit("@"), domain)
-    secret = _alike(of("secret"), e, e.rlike("^[0-9a-f]+$") | e.rlike("^[0-9A-F]+$"))
+    # A secret with hardly a letter or digit has too few look-alikes: later attempts change every character, then add some.
+    plain = F.when(attempt < 4, e).otherwise(F.rpad(F.regexp_replace(e, "[^0-9A-Za-z]", "x"), (F.length(e) + attempt - 4).cast("int"), "x"))
+    secret = _alike(of("secret"), plain, e.rlike("^[0-9a-f]+$") | e.rlike("^[0-9A-F]+$"))
     ip = _let(of("ip"), lambda v: F.concat_ws(".", (_byte(v, 0) % 15 + 240).cast("string"), *[(_byte(v, i) % 256).cast("string") for i in (1, 2, 3)]))
     ssn = _formatted(e, F.concat(F.lit("9"), _digits(of("ssn"), F.lit(8))), F.lit(0))
     off = F.when(_luhn(canon) % 10 == 0, F.lit(0)).otherwise(_byte(of("card"), 40) % 9 + 1)
     body = F.concat(F.substring(canon, F.lit(1), F.lit(1)), _digits(of("card"), n - 2))
     whole = _let(body, lambda b: F.concat(b, (((10 - _luhn(F.concat(b, F.lit("0"))) % 10) % 10 + off) % 10).cast("string")))
     card = _formatted(e, whole, F.lit(0))
-    code = F.length(F.regexp_extract(canon, COUNTRY, 0))
     written = F.length(F.regexp_replace(e, r"\D", ""))
-    made = F.concat(F.substring(canon, F.lit(1), code), F.substring(_digits(of("phone"), n), code + 1, n))
-    phone = _formatted(e, F.substring(made, n - written + 1, written), F.lit(0))
-    claims = claimed(kind, canon, e)
-    names = F.transform(claims, lambda c: _name(key, c["canon"], tried(c["kind"], c["canon"]), gender_of(e), c["kind"] != "family"))
-    person = F.concat(F.regexp_extract(e, rf"^((?:{_TITLE})\.?[ ])", 1), F.array_join(names, " "))
-    return F.when(kind == "email", email).when(kind == "secret", secret).when(kind == "ip", ip).when(kind == "ssn", ssn).when(kind == "card", card).when(kind == "person", person).otherwise(phone)
+    phone = _formatted(e, _let(_phone(key, canon, attempt), lambda x: F.substring(x, n - written + 1, written)), F.lit(0))
+    return F.when(kind == "email", email).when(kind == "secret", secret).when(kind == "ip", ip).when(kind == "ssn", ssn).when(kind == "card", card).otherwise(phone)
 
 
 def mentions(text: Column) -> Column:
@@ -238,61 +275,92 @@ def entities(docs: DataFrame, text: str = "text") -> DataFrame:
 
 
 def redrawn(known: DataFrame, key: str = KEY, attempts: int = ATTEMPTS) -> DataFrame:
-    """kind, canon, attempt > 0 of the entities whose first surrogate collides with another's or with a real entity.
-
-    Persons are checked and redrawn by part (kind ``family``, or ``given:`` and the gender), so that parts stay aligned.
-    """
+    """kind, canon, attempt, gender of the entities whose first surrogate collides with another's or with a real entity, and of given
+    names before which titles differ. Persons are checked and redrawn by part (kind ``given`` or ``family``)."""
     claims = known.select(F.explode(claimed(F.col("kind"), F.col("canon"), F.col("mention"))).alias("x")).select("x.*")
-    real = checkpointed(claims.groupBy("kind", "canon").agg(F.min("mention").alias("mention")))
-    given = F.col("kind").startswith("given:")
-    part = given | (F.col("kind") == "family")
-    name = _name(key, F.col("canon"), F.col("attempt"), F.substring("kind", 7, 1), given)
-    whole = surrogate(key, F.col("kind"), F.col("canon"), F.col("mention"), lambda *_: F.col("attempt"))
+    told = {x: F.coalesce(F.max(F.col("gender") == x), F.lit(False)) for x in "mf"}
+    gender = F.when(told["m"] & ~told["f"], "m").when(told["f"] & ~told["m"], "f").otherwise("n")
+    real = checkpointed(claims.groupBy("kind", "canon").agg(F.min("mention").alias("mention"), gender.alias("gender"), (F.count_distinct("gender") > 1).alias("differ")))
+    part = F.col("kind").isin("given", "family")
+    name = _name(key, F.struct("kind", "canon", F.col("canon").alias("mention")), F.col("attempt"), F.col("gender"))
+    whole = surrogate(key, F.col("kind"), F.col("canon"), F.col("mention"), F.col("attempt"))
     written = F.when(part, name).otherwise(whole)
     form = F.when(part, F.lower("written")).otherwise(canonical(F.col("kind"), F.col("written")))
+    fixed = ["kind", "canon", "mention", "gender", "differ", "attempt"]
 
     def drawn(rows: DataFrame) -> DataFrame:
-        """The rows (kind, canon, mention, attempt) with the form of their surrogate."""
+        """The rows with the form of their surrogate."""
         return checkpointed(rows.withColumn("written", written).withColumn("made", form).drop("written"))
 
-    made = drawn(real.withColumn("attempt", F.lit(0)))
-    for _ in range(attempts):
+    free = real.where(~settled(F.col("kind"), F.col("canon")))
+    made, rounds = drawn(free.withColumn("attempt", F.lit(0))), 0
+    while True:
         # Of those that share a surrogate the least form keeps it, unless it was settled on in an earlier round.
         claims = made.groupBy("kind", "made").agg(F.min(F.struct((F.col("attempt") > 0).alias("late"), "canon")).alias("first"), F.count(F.lit(1)).alias("n"))
         taken = claims.where("n > 1").select("kind", "made", F.col("first.canon").alias("keeper"))
-        shared = made.join(taken, ["kind", "made"]).where("canon <> keeper").select("kind", "canon", "mention", "attempt")
-        itself = made.join(real.select("kind", F.col("canon").alias("made")), ["kind", "made"], "left_semi").select("kind", "canon", "mention", "attempt")
+        shared = made.join(taken, ["kind", "made"]).where("canon <> keeper").select(fixed)
+        itself = made.join(free.select("kind", F.col("canon").alias("made")), ["kind", "made"], "left_semi").select(fixed)
         again = drawn(shared.union(itself).distinct().withColumn("attempt", F.col("attempt") + 1))
         if again.isEmpty():
-            break
+            return made.where("attempt > 0 OR differ").select("kind", "canon", "attempt", "gender")
+        if (rounds := rounds + 1) > attempts:
+            raise RuntimeError(f"surrogates still collide after {attempts} rounds, such as {again.first()['kind']}")
         made = checkpointed(made.join(again.select("kind", "canon"), ["kind", "canon"], "left_anti").select(again.columns).union(again))
-    return made.where("attempt > 0").select("kind", "canon", "attempt")
 
 
 def replaced(docs: DataFrame, key: str = KEY, text: str = "text", exceptions: DataFrame | None = None) -> DataFrame:
     """The rows of ``docs`` with every entity of ``text`` replaced, and their number in ``n_entities``."""
-    spark = docs.sparkSession
     exceptions = redrawn(entities(docs, text), key) if exceptions is None else exceptions
-    pair = F.concat_ws("|", "kind", "canon")
-    few = exceptions.select(pair.alias("k"), "attempt").limit(LITERAL + 1).collect()
-    found = docs.withColumn("__found", mentions(F.col(text)))
-    if len(few) <= LITERAL:
-        table = F.from_json(F.lit(json.dumps({r["k"]: r["attempt"] for r in few})), "map<string,int>")
-        found = found.withColumn("__tries", table) if few else found
-    else:
+    pair, value = F.concat_ws("|", "kind", "canon"), F.concat_ws(",", F.col("attempt").cast("string"), F.coalesce("gender", F.lit("")))
+    few = exceptions.select(pair.alias("k"), value.alias("v")).limit(LITERAL + 1).collect()
+    found = docs
+    if len(few) > LITERAL:
         at = docs.select(F.xxhash64(text).alias("__text"), F.explode(F.array_distinct(mentions(F.col(text)))).alias("mention")).distinct()
         typed = at.withColumn("kind", kind_of(F.col("mention"))).withColumn("canon", canonical(F.col("kind"), F.col("mention")))
-        claims = typed.select("__text", F.explode(claimed(F.col("kind"), F.col("canon"), F.col("mention"))).alias("x")).select("__text", "x.*")
-        maps = claims.join(exceptions, ["kind", "canon"]).groupBy("__text").agg(F.map_from_entries(F.collect_set(F.struct(pair.alias("k"), "attempt"))).alias("__tries"))
+        claims = typed.select("__text", F.explode(claimed(F.col("kind"), F.col("canon"), F.col("mention"))).alias("x")).select("__text", "x.*").drop("gender")
+        maps = claims.join(exceptions, ["kind", "canon"]).groupBy("__text").agg(F.map_from_entries(F.collect_set(F.struct(pair.alias("k"), value.alias("v")))).alias("__tries"))
         found = found.withColumn("__text", F.xxhash64(text)).join(maps, "__text", "left").drop("__text")
-
-    # One column a step, so that nothing is written out twice inside the next.
-    kinds = found.withColumn("__found", F.transform("__found", lambda e: F.struct(e.alias("e"), kind_of(e).alias("kind"))))
+    elif few:
+        found = found.withColumn("__tries", F.from_json(F.lit(json.dumps({r["k"]: r["v"] for r in few})), "map<string,string>"))
+
+    # One column a step, so that nothing is written out twice inside the next. Entities are marked in one pass over the text.
+    marked = F.when(F.col(text).rlike(GATE) & ~F.col(text).contains(MARK), F.split(F.regexp_replace(F.col(text), PATTERN, f"{MARK}$0{MARK}"), MARK, -1))
+    cut = found.withColumn("__cut", marked)
+    odd, even = (lambda x, i: i % 2 == 1), (lambda x, i: i % 2 == 0)
+    apart = lambda c, keep: F.filter(F.col(c), keep)
+    holds = F.col(text).rlike(GATE) & F.col(text).contains(MARK)
+    first = cut.withColumn("__found", F.when(holds, F.regexp_extract_all(F.col(text), F.lit(PATTERN), F.lit(0))).otherwise(apart("__cut", odd)))
+    # In a text with titled persons the parts of their names are looked for as well.
+    person = lambda e: claimed(F.lit("person"), canonical(F.lit("person"), e), e)
+    told = first.withColumn("__told", F.array_distinct(F.flatten(F.transform(F.filter("__found", is_person), person))))
+    parts = F.array_distinct(F.transform("__told", lambda c: c["mention"]))
+    wide = F.concat(F.lit(PATTERN + r"|(?<!\p{L})(?=\p{Lu})(?:"), F.array_join(parts, "|"), F.lit(r")(?![\p{L}'-])"))
+    named = told.withColumn("__wide", F.when(F.size("__told") > 0, wide))
+    again = F.when(F.col("__wide").isNotNull() & ~holds, F.split(F.regexp_replace(F.col(text), F.col("__wide"), F.lit(f"{MARK}$0{MARK}")), MARK, -1)).otherwise(F.col("__cut"))
+    both = named.withColumn("__cut", again)
+    pattern = F.coalesce("__wide", F.lit(PATTERN))
+    both = both.withColumn("__found", F.when(holds, F.regexp_extract_all(F.col(text), pattern, F.lit(0))).otherwise(apart("__cut", odd)))
+    both = both.withColumn("__cut", F.when(holds, F.split(F.col(text), pattern, -1)).otherwise(apart("__cut", even)))
+
+    named_part = lambda e: F.exists("__told", lambda c: c["mention"] == e)
+    kinds = both.withColumn("__found", F.transform("__found", lambda e: F.struct(e.alias("e"), F.when(F.size("__told") > 0, F.when(named_part(e), "part").otherwise(kind_of(e))).otherwise(kind_of(e)).alias("kind"))))
     forms = kinds.withColumn("__found", F.transform("__found", lambda x: F.struct(x["e"].alias("e"), x["kind"].alias("kind"), canonical(x["kind"], x["e"]).alias("canon"))))
-    tried = (lambda kind, canon: F.coalesce(F.col("__tries")[F.concat_ws("|", kind, canon)], F.lit(0))) if few else (lambda *_: F.lit(0))
-    made = forms.withColumn("__found", F.transform("__found", lambda x: surrogate(key, x["kind"], x["canon"], x["e"], tried)))
-    pieces = F.split(F.col(text), PATTERN, -1)
+    tries = (lambda kind, canon: F.coalesce(F.col("__tries")[F.concat_ws("|", kind, canon)], F.lit("0,"))) if few else (lambda *_: F.lit("0,"))
+    attempt = lambda v: F.substring_index(v, ",", 1).cast("int")
+
+    def part(c: Column) -> Column:
+        """One part of a name."""
+        return _let(tries(c["kind"], c["canon"]), lambda v: _name(key, c, attempt(v), F.coalesce(F.nullif(F.substring_index(v, ",", -1), F.lit("")), c["gender"])))
+
+    def rewritten(x: Column) -> Column:
+        title = F.regexp_extract(x["e"], rf"^((?:{_TITLE})\.?[ ])", 1)
+        whole = F.concat(title, F.array_join(F.transform(person(x["e"]), part), " "))
+        alone = part(F.get(F.filter("__told", lambda c: c["mention"] == x["e"]), F.lit(0)))
+        rest = surrogate(key, x["kind"], x["canon"], x["e"], attempt(tries(x["kind"], x["canon"])))
+        return F.when(x["kind"] == "person", whole).when(x["kind"] == "part", alone).otherwise(rest)
+
+    made = forms.withColumn("__found", F.transform("__found", rewritten))
     # One piece more than entities: each piece is followed by a surrogate, the last by nothing.
-    rebuilt = F.array_join(F.zip_with(pieces, F.col("__found"), lambda p, s: F.concat(p, F.coalesce(s, F.lit("")))), "")
+    rebuilt = F.array_join(F.zip_with("__cut", "__found", lambda p, s: F.concat(p, F.coalesce(s, F.lit("")))), "")
     out = F.when(F.size("__found") > 0, rebuilt).otherwise(F.col(text))
-    return made.withColumn(text, out).withColumn("n_entities", F.coalesce(F.size("__found"), F.lit(0))).drop("__found", "__tries")
+    return made.withColumn(text, out).withColumn("n_entities", F.coalesce(F.size("__found"), F.lit(0))).select(*[c for c in docs.columns if c != "n_entities"], "n_entities")
