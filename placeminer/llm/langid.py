@@ -7,8 +7,10 @@ of bits per cell, one column per language, so that the AND of an n-gram's probed
 all languages that contain it. A text's hits per language are popcounts of those mask columns over its
 n-grams, corrected for the column's false-positive chance, weighted by length, and normalised to a score.
 
-The training rows may be bounded (``max_rows``, a documented parameter); prediction reads whole texts.
-Edge cases: a null text or one without a letter is ``und`` with score 0; a text without any known n-gram
+The training rows may be bounded (``max_rows``, a documented parameter), which bounds the counts on the driver too; every
+language among them is learned, with as many mask words as they need (16 MB for each 64). Prediction reads whole texts.
+Edge cases: repeated rows count as often as they stand there and get equal results; other columns, whatever their names, are not
+read; a null text or one without a letter is ``und`` with score 0; a text without any known n-gram
 falls back to the most frequent language with score 0; without training rows everything is ``und``; ties go
 to the language first by code point. Only doc_id, text and, for training, lang are read.
 """
@@ -28,8 +30,8 @@ LENGTHS = (2, 3, 4)
 CELLS = 1 << 20
 ROWS = 1 << 21
 PROBES = 2
-#: Languages that one mask holds; the most frequent ones are learned.
-MOST = 64
+#: Languages that one word of a mask holds; more languages take more words.
+WORD = 64
 
 
 def letter_table() -> np.ndarray:
@@ -70,28 +72,31 @@ def grams(text: str, letters: np.ndarray) -> np.ndarray:
 @dataclass
 class Model:
     languages: list[str]
-    #: ROWS masks with a bit for each language.
-    table: np.ndarray
+    #: For each word of languages, ROWS masks with a bit for each of them.
+    table: list[np.ndarray]
     #: Chance that an absent n-gram passes, by language.
     false: np.ndarray
     default: str
 
-    def masks(self, g: np.ndarray) -> np.ndarray:
-        """Languages of each n-gram."""
+    def masks(self, g: np.ndarray) -> list[np.ndarray]:
+        """Languages of each n-gram, by word."""
         c = cell(g)
-        out = self.table[probe(c, 1)]
-        for p in range(2, PROBES + 1):
-            out = out & self.table[probe(c, p)]
-        return out
+        at = [probe(c, p) for p in range(1, PROBES + 1)]
+        return [np.bitwise_and.reduce([word[a] for a in at]) for word in self.table]
+
+    def hits(self, g: np.ndarray) -> np.ndarray:
+        """Popcount of each language's column over the n-grams."""
+        out = []
+        for w, m in enumerate(self.masks(g)):
+            distinct, n = np.unique(m, return_counts=True)
+            out += [int(n[(distinct >> i) & 1 == 1].sum()) for i in range(min(WORD, len(self.languages) - w * WORD))]
+        return np.array(out, float)
 
     def predict(self, text: str | None, letters: np.ndarray) -> tuple[str, float]:
         g = grams(text, letters) if text else ()
         if not len(g) or not self.languages:
             return "und", 0.0
-        m = self.masks(g)
-        distinct, n = np.unique(m, return_counts=True)
-        hits = np.array([int(n[(distinct >> i) & 1 == 1].sum()) for i in range(len(self.languages))], float)
-        true = np.clip((hits - len(g) * self.false) / (1 - self.false), 0, None)
+        true = np.clip((self.hits(g) - len(g) * self.false) / (1 - self.false), 0, None)
         if true.max() <= 0:
             return self.default, 0.0
         best = int(true.argmax())
@@ -99,24 +104,29 @@ class Model:
         return self.languages[best], float(min(1.0, max(0.0, 1 - (others.max() if len(others) else 0) / true[best])))
 
 
-def build(languages: list[str], counts: np.ndarray, rows: np.ndarray, share: float = 0.34) -> Model:
-    """The filter from counts of the cells, by language (driver; CELLS x languages numbers)."""
-    kind = next(k for k in (np.uint8, np.uint16, np.uint32, np.uint64) if len(languages) <= 8 * np.dtype(k).itemsize)
-    table = np.zeros(ROWS, kind)
+def build(languages: list[str], cells: list[np.ndarray], counts: list[np.ndarray], rows: np.ndarray, share: float = 0.34) -> Model:
+    """The filter from the cells of each language and their counts (driver; one array of CELLS rates at a time)."""
     if not languages:
-        return Model([], table, np.zeros(0), "und")
-    rate = counts / np.maximum(counts.sum(axis=1, keepdims=True), 1)
-    member = (counts > 0) & (rate >= share * rate.max(axis=0, keepdims=True))
-    cells = np.arange(CELLS, dtype=np.uint64)
-    for i in range(len(languages)):
-        for p in range(1, PROBES + 1):
-            np.bitwise_or.at(table, probe(cells[member[i]], p), kind(1 << i))
-    every = table[probe(cells, 1)]
-    for p in range(2, PROBES + 1):
-        every = every & table[probe(cells, p)]
-    # An absent n-gram falls into any cell alike, and passes if that cell's rows all have the bit.
-    false = np.array([float(np.mean((every >> i) & 1)) for i in range(len(languages))])
-    return Model(languages, table, np.minimum(false, 0.99), languages[int(rows.argmax())])
+        return Model([], [], np.zeros(0), "und")
+    top = np.zeros(CELLS)
+    rates = [n / max(1, n.sum()) for n in counts]
+    for at, rate in zip(cells, rates):
+        np.maximum.at(top, at, rate)
+    table, false = [], []
+    every = np.arange(CELLS, dtype=np.uint64)
+    for w in range(0, len(languages), WORD):
+        some = range(w, min(w + WORD, len(languages)))
+        kind = next(k for k in (np.uint8, np.uint16, np.uint32, np.uint64) if len(some) <= 8 * np.dtype(k).itemsize)
+        word = np.zeros(ROWS, kind)
+        for bit, i in enumerate(some):
+            member = cells[i][(counts[i] > 0) & (rates[i] >= share * top[cells[i]])].astype(np.uint64)
+            for p in range(1, PROBES + 1):
+                np.bitwise_or.at(word, probe(member, p), kind(1 << bit))
+        passing = np.bitwise_and.reduce([word[probe(every, p)] for p in range(1, PROBES + 1)])
+        # An absent n-gram falls into any cell alike, and passes if that cell's rows all have the bit.
+        false += [float(np.mean((passing >> kind(bit)) & kind(1))) for bit in range(len(some))]
+        table.append(word)
+    return Model(languages, table, np.minimum(np.array(false), 0.99), languages[int(rows.argmax())])
 
 
 def probe(cells: np.ndarray, salt: int) -> np.ndarray:
@@ -155,17 +165,15 @@ def fit(labelled: DataFrame, max_rows: int = 40000, share: float = 0.34) -> Mode
 
     summed = rows.select("text", "lang").mapInArrow(run, "lang string, cell long, n long").groupBy("lang", "cell").agg(F.sum("n").alias("n"))
     found = summed.toArrow()
-    rows_of = {x: n for x, c, n in zip(*(found.column(c).to_pylist() for c in ("lang", "cell", "n"))) if c < 0}
-    # A mask holds so many; beyond them the rarest are not told apart.
-    languages = sorted(sorted(rows_of, key=lambda x: (-rows_of[x], x))[:MOST])
-    where = {x: i for i, x in enumerate(languages)}
     at, n = found.column("cell").to_numpy(), found.column("n").to_numpy()
-    which = np.fromiter((where.get(x, -1) for x in found.column("lang").to_pylist()), np.int64, len(at))
-    at, n, which = at[which >= 0], n[which >= 0], which[which >= 0]
-    counts, seen = np.zeros((len(languages), CELLS), np.int64), np.zeros(len(languages), np.int64)
-    counts[which[at >= 0], at[at >= 0]] = n[at >= 0]
-    seen[which[at < 0]] = n[at < 0]
-    return build(languages, counts, seen, share)
+    coded = found.column("lang").combine_chunks().dictionary_encode() if len(at) else pa.array([], pa.string()).dictionary_encode()
+    names, which = coded.dictionary.to_pylist(), coded.indices.to_numpy()
+    order = sorted(range(len(names)), key=lambda i: names[i])
+    cells, counts, seen = [], [], []
+    for i in order:
+        own = which == i
+        cells.append(at[own & (at >= 0)]), counts.append(n[own & (at >= 0)]), seen.append(int(n[own & (at < 0)].sum()))
+    return build([names[i] for i in order], cells, counts, np.array(seen), share)
 
 
 def predict(docs: DataFrame, model: Model) -> DataFrame:
