@@ -9,6 +9,7 @@ gives a logit; a temperature fitted on rows set aside turns it into a calibrated
 
 The fit reads at most about ``max_rows`` labelled rows (a documented bound, picked by a hash of doc_id); scores
 cover every row and whole texts. Edge cases: null and empty texts are the zero document and get its score;
+repeated rows get equal scores; columns beside doc_id and text are only carried along, whatever their names;
 labels that are null or neither 0 nor 1 are ignored; several labels of one document count as their
 least; without labels of both kinds everything scores the share of ones (0.5 without any).
 """
@@ -30,18 +31,19 @@ from .words import MEMO, MULTIPLIERS, slices, tidy
 
 WIDTH = 32
 ENTRIES = 4
-WORD_SLOTS = 1 << 14
+WORD_SLOTS = 1 << 16
 SHAPE_SLOTS = 1 << 11
 REACH = 2
 FEATURES = 2 * WIDTH + 3
-#: Tasks of the fit, each of which sends one matrix of word vectors to the driver.
+#: Tasks of the fit, which reads a bounded sample; slots of word vectors that are added up together.
 FIT_TASKS = 8
+BLOCK = 1 << 10
 #: Words of a text that are pooled at once.
 STRIDE = 1 << 16
 
 
 def index_vectors(slots: int, salt: int) -> np.ndarray:
-    """A sparse ternary vector for each slot."""
+    """A sparse ternary vector for each slot; made anew wherever it is needed, never sent."""
     rng = np.random.Generator(np.random.PCG64(salt))
     out = np.zeros((slots, WIDTH), np.float32)
     where = rng.integers(0, WIDTH, (slots, ENTRIES))
@@ -60,7 +62,7 @@ class Slots(dict):
     def shape(self, word: bytes) -> bytes:
         for pattern, sign in self.fold:
             word = pattern.sub(sign, word)
-        return word[:12]
+        return word
 
     def __missing__(self, word: bytes) -> int:
         n = xxhash.xxh64_intdigest(word) % WORD_SLOTS * SHAPE_SLOTS + xxhash.xxh64_intdigest(self.shape(word)) % SHAPE_SLOTS
@@ -145,7 +147,6 @@ def train(x: np.ndarray, y: np.ndarray, hidden: int = 24, epochs: int = 400, see
 class Model:
     words: np.ndarray
     shapes: np.ndarray
-    index: np.ndarray
     network: Network
 
 
@@ -176,18 +177,29 @@ def fit(docs: DataFrame, labels: DataFrame, max_rows: int = 20000) -> Model:
                     np.add.at(shapes, s[:-d], shape_index[s[d:]])
                 seen += 1
         if seen:
-            yield pa.RecordBatch.from_pydict({"words": [words.tobytes()], "shapes": [shapes.tobytes()]})
-
-    def directions(blobs: list[bytes], slots: int) -> np.ndarray:
-        total = np.zeros((slots, WIDTH), np.float32)
-        for b in blobs:
-            total += np.frombuffer(b, np.float32).reshape(slots, WIDTH)
-        return total / np.maximum(np.linalg.norm(total, axis=1, keepdims=True), 1e-6)
-
-    found = rows.select("text").mapInArrow(tidy(context), "words binary, shapes binary").collect()
-    words, shapes = directions([r["words"] for r in found], WORD_SLOTS), directions([r["shapes"] for r in found], SHAPE_SLOTS)
-    del found
-    model = Model(words, shapes, index_vectors(WORD_SLOTS, 1), None)
+            for i in range(0, WORD_SLOTS, BLOCK):
+                yield pa.RecordBatch.from_pydict({"block": [i], "sums": [words[i : i + BLOCK].tobytes()]})
+            yield pa.RecordBatch.from_pydict({"block": [-1], "sums": [shapes.tobytes()]})
+
+    def added(group: pa.Table) -> pa.Table:
+        # Whole numbers, so that any order gives the same sums.
+        total = np.sum([np.frombuffer(b, np.float32) for b in group.column("sums").to_pylist()], axis=0, dtype=np.float64)
+        return pa.table({"block": group.column("block")[:1], "sums": pa.array([total.astype(np.float32).tobytes()], pa.binary())})
+
+    def directions(total: np.ndarray) -> np.ndarray:
+        total /= np.maximum(np.linalg.norm(total, axis=1, keepdims=True), 1e-6)
+        return total
+
+    words, shapes = np.zeros((WORD_SLOTS, WIDTH), np.float32), np.zeros((SHAPE_SLOTS, WIDTH), np.float32)
+    # Tasks add up blocks of slots, so that one matrix comes to the driver, whatever the number of tasks.
+    parts = rows.select("text").mapInArrow(tidy(context), "block long, sums binary").groupBy("block").applyInArrow(added, "block long, sums binary")
+    for r in parts.toLocalIterator():
+        sums = np.frombuffer(r["sums"], np.float32).reshape(-1, WIDTH)
+        if r["block"] < 0:
+            shapes[:] = sums
+        else:
+            words[r["block"] : r["block"] + BLOCK] = sums
+    model = Model(directions(words), directions(shapes), None)
     sample = _features(rows, model, ["y"], "y double").toArrow().sort_by([("doc_id", "ascending"), ("y", "ascending")])
     x = np.frombuffer(b"".join(sample.column("x").to_pylist()), np.float64).reshape(-1, FEATURES)
     model.network = train(x, sample.column("y").to_numpy())
@@ -195,13 +207,13 @@ def fit(docs: DataFrame, labels: DataFrame, max_rows: int = 20000) -> Model:
 
 
 def _features(rows: DataFrame, model: Model, keep: list[str], schema: str) -> DataFrame:
-    shared = rows.sparkSession.sparkContext.broadcast((model.words, model.shapes, model.index))
+    shared = rows.sparkSession.sparkContext.broadcast((model.words, model.shapes))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        slots = Slots()
+        slots, index = Slots(), index_vectors(WORD_SLOTS, 1)
         for batch in batches:
             for part in slices(batch):
-                x = np.array([pooled(slots.of(t), *shared.value) for t in part.column("text").to_pylist()])
+                x = np.array([pooled(slots.of(t), *shared.value, index) for t in part.column("text").to_pylist()])
                 blob = pa.FixedSizeBinaryArray.from_buffers(pa.binary(8 * FEATURES), len(part), [None, pa.py_buffer(x.tobytes())]).cast(pa.binary())
                 yield pa.RecordBatch.from_arrays([part.column("doc_id").cast(pa.int64()), *map(part.column, keep), blob], names=["doc_id", *keep, "x"])
 
@@ -211,13 +223,13 @@ def _features(rows: DataFrame, model: Model, keep: list[str], schema: str) -> Da
 def scores(docs: DataFrame, model: Model, keep: list[str] | None = None) -> DataFrame:
     """The columns ``keep`` (doc_id by default) of every row, with its score from the whole text."""
     keep = keep or ["doc_id"]
-    shared = docs.sparkSession.sparkContext.broadcast((model.words, model.shapes, model.index, model.network))
+    shared = docs.sparkSession.sparkContext.broadcast((model.words, model.shapes, model.network))
     kept = docs.select(*{c: None for c in [*keep, "text"]})
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema if f.name in keep)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        slots = Slots()
-        words, shapes, index, network = shared.value
+        slots, index = Slots(), index_vectors(WORD_SLOTS, 1)
+        words, shapes, network = shared.value
         for batch in (part for whole in batches for part in slices(whole)):
             x = np.array([pooled(slots.of(t), words, shapes, index) for t in batch.column("text").to_pylist()]).reshape(-1, FEATURES)
             yield pa.RecordBatch.from_arrays([*map(batch.column, keep), pa.array(network.scores(x), pa.float64())], names=[*keep, "score"])
