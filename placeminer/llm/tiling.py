@@ -4,12 +4,14 @@ Words are lower-cased and stripped of ASCII punctuation. Karp-Rabin hashes of al
 words of a benchmark item are the seeds; windows of documents that hash to a seed are joined to it. In
 a document with seeds, matches that start on the same diagonal run on while words agree; the longest match
 whose words are unmarked on both sides becomes a tile and is marked, a match that is partly marked goes back with
-what is left of it, and so on down to ``MIN_TILE`` words. The tiles of an item may stand in any order, so
+what is left of it, and so on down to ``MIN_TILE`` words; of equally long ones the first in the document goes first, then the
+first in the item. Where the pairs of matching windows are more than ``PAIRS`` (a text that repeats itself), they are not listed: the
+longest match is then searched by hashes of windows of falling width over the unmarked words, with equal tiles. The tiles of an item may stand in any order, so
 reordered passages count too. The share of an item's words under tiles is its coverage; at ``threshold`` or
 above the document is contaminated.
 
-The items are a stated query set: their seeds are broadcast in blocks of at most ``BLOCK`` windows, one pass
-over the documents a block, so nothing that is broadcast grows with either table.
+The items are a stated query set: their seeds are sorted once on the driver and broadcast in blocks of at most ``BLOCK`` windows
+(about 80 MB), one pass over the documents a block, so nothing that is broadcast grows with either table.
 
 Edge cases: null and empty texts match nothing; items of fewer than ``MIN_TILE`` words have no tile and match
 nothing; repeated items and repeated rows are each reported; very long documents are read whole; clashing
@@ -25,12 +27,15 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .words import WordHashes, slices, tidy, windows
+from .words import MULTIPLIERS, WordHashes, mixed, slices, tidy, windows
 
 MIN_TILE = 5
 THRESHOLD = 0.5
 #: Seed windows that are broadcast at once.
 BLOCK = 2_000_000
+#: Pairs of windows of one document and one item that are listed.
+PAIRS = 100_000
+BASE = MULTIPLIERS[3]
 PUNCTUATION = bytes(c for c in range(33, 127) if not chr(c).isalnum())
 
 
@@ -76,6 +81,80 @@ def tiles(doc: np.ndarray, item: np.ndarray, at: np.ndarray, seed: np.ndarray) -
     return out
 
 
+def verified_windows(h: np.ndarray, width: int) -> np.ndarray:
+    """Karp-Rabin hashes of all windows of any width, from running sums of a polynomial in word hashes."""
+    with np.errstate(over="ignore"):
+        power = np.cumprod(np.full(len(h) + 1, BASE, np.uint64))
+        sums = np.concatenate((np.zeros(1, np.uint64), np.cumsum(h * power[:-1], dtype=np.uint64)))
+        # All are brought to the highest power, so that equal windows are equal wherever they stand.
+        at = np.arange(len(h) - width + 1)
+        return mixed((sums[at + width] - sums[at]) * power[len(h) - width - at])
+
+
+def tiles_by_width(doc: np.ndarray, item: np.ndarray, at: np.ndarray) -> list[tuple[int, int, int]]:
+    """The same tiles as :func:`tiles`, from the document's positions ``at`` of seed windows alone, in memory proportional to the texts."""
+    # Only words under seed windows matter; a word of its own between two stretches keeps them apart.
+    cover = np.zeros(len(doc) + 1, np.int32)
+    np.add.at(cover, at, 1), np.add.at(cover, at + MIN_TILE, -1)
+    under = np.flatnonzero(np.cumsum(cover[:-1]) > 0)
+    gap = np.flatnonzero(np.diff(under) > 1) + 1
+    where = np.insert(under, gap, -1)
+    words = np.where(where >= 0, doc[where], np.uint64(0))
+    size = max(len(words), len(item))
+    pad = lambda h: np.concatenate((h, np.zeros(size - len(h), np.uint64)))
+    doc_free, item_free, out = where >= 0, np.ones(len(item), bool), []
+    long_doc, long_item = pad(words), pad(item)
+
+    def open_(free: np.ndarray, width: int) -> np.ndarray:
+        """Positions from which ``width`` words are unmarked."""
+        taken = np.concatenate(([0], np.cumsum(~free)))
+        return np.flatnonzero(taken[width:] == taken[:-width]) if len(free) >= width else np.empty(0, np.int64)
+
+    def shared(width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Document positions and item positions of unmarked windows that both have, with their hashes."""
+        a, s = open_(doc_free, width), open_(item_free, width)
+        if not len(a) or not len(s):
+            return a[:0], s[:0], words[:0], item[:0]
+        ha, hs = verified_windows(long_doc, width)[a], verified_windows(long_item, width)[s]
+        ka, ks = np.isin(ha, hs), np.isin(hs, ha)
+        return a[ka], s[ks], ha[ka], hs[ks]
+
+    high = len(item)
+    while high >= MIN_TILE:
+        low, top = MIN_TILE - 1, high
+        while low < top:  # the widest window that both have
+            mid = (low + top + 1) // 2
+            low, top = (mid, top) if len(shared(mid)[0]) else (low, mid - 1)
+        if low < MIN_TILE:
+            break
+        a, s, ha, hs = shared(low)
+        places: dict[int, list[int]] = {}
+        for h, x in zip(hs.tolist(), s.tolist()):
+            places.setdefault(h, []).append(x)
+        after = 0
+        for x, h in zip(a.tolist(), ha.tolist()):
+            if x < after:
+                continue
+            held = places.get(h)
+            if not held:
+                if not places:
+                    break
+                continue
+            free = [y for y in held if item_free[y : y + low].all()]
+            if not free:
+                del places[h]
+                continue
+            y = free[0]
+            places[h] = free
+            if not (words[x : x + low] == item[y : y + low]).all():
+                continue
+            doc_free[x : x + low] = item_free[y : y + low] = False
+            out.append((int(where[x]), y, low))
+            after = x + low
+        high = low - 1
+    return out
+
+
 class Seeds:
     """Sorted seed windows of a block of items."""
 
@@ -98,24 +177,37 @@ class Seeds:
         near = np.flatnonzero(self.gate[(w >> np.uint64(44)).astype(np.int64)])
         if not len(near):
             return
-        lo, hi = np.searchsorted(self.hash, w[near], "left"), np.searchsorted(self.hash, w[near], "right")
-        hit = hi > lo
-        if not hit.any():
+        lo = np.searchsorted(self.hash, w[near], "left")
+        near = near[self.hash[np.minimum(lo, len(self.hash) - 1)] == w[near]]
+        if not len(near):
             return
-        near, lo, hi = near[hit], lo[hit], hi[hit]
-        n = hi - lo
-        at = np.repeat(near, n)
-        row = np.repeat(lo - np.concatenate(([0], np.cumsum(n)[:-1])), n) + np.arange(n.sum())
+        # Equal windows of the document stand together; seeds meet them as groups, one item at a time.
+        near = near[np.argsort(w[near], kind="stable")]
+        key, first, times = np.unique(w[near], return_index=True, return_counts=True)
+        lo, hi = np.searchsorted(self.hash, key, "left"), np.searchsorted(self.hash, key, "right")
+        group = np.repeat(np.arange(len(key)), hi - lo)
+        row = ranges(lo, hi - lo)
         owner, place = self.owner[row], self.place[row]
         order = np.argsort(owner, kind="stable")
-        owner, place, at = owner[order], place[order], at[order]
+        owner, place, group = owner[order], place[order], group[order]
         cut = np.concatenate(([0], np.flatnonzero(np.diff(owner)) + 1, [len(owner)]))
         for b, e in zip(cut[:-1].tolist(), cut[1:].tolist()):
             item, words = self.items[owner[b]]
-            if t := tiles(h, words, at[b:e], place[b:e]):
+            g = group[b:e]
+            if times[g].sum() <= PAIRS:
+                t = tiles(h, words, near[ranges(first[g], times[g])], np.repeat(place[b:e], times[g]))
+            else:
+                g = np.unique(g)
+                t = tiles_by_width(h, words, near[ranges(first[g], times[g])])
+            if t:
                 yield item, len(t), sum(x[2] for x in t), len(words), max(x[2] for x in t)
 
 
+def ranges(first: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """first[0], first[0] + 1, ... n[0] of them, then those of the next."""
+    return np.repeat(first - np.concatenate(([0], np.cumsum(n)[:-1])), n) + np.arange(n.sum())
+
+
 def blocks(benchmark: DataFrame, size: int = BLOCK) -> Iterator[list[tuple[int, str | None]]]:
     """The benchmark's items in blocks of at most about ``size`` words."""
     block, words = [], 0
@@ -133,10 +225,10 @@ def matches(docs: DataFrame, benchmark: DataFrame, threshold: float = THRESHOLD)
     """doc_id, item_id, n_tiles, covered, item_words, longest, coverage of every pair at or above the threshold."""
     out = None
     for block in blocks(benchmark):
-        shared = docs.sparkSession.sparkContext.broadcast(block)
+        shared = docs.sparkSession.sparkContext.broadcast(Seeds(block))
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            seeds, words = Seeds(shared.value), WordHashes()
+            seeds, words = shared.value, WordHashes()
             for batch in (part for whole in batches for part in slices(whole)):
                 rows = []
                 for d, t in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist()):
@@ -153,10 +245,10 @@ def clean(docs: DataFrame, benchmark: DataFrame, threshold: float = THRESHOLD) -
     """The rows of ``docs`` that no item contaminates, with all their columns."""
     out = docs
     for block in blocks(benchmark):
-        shared = docs.sparkSession.sparkContext.broadcast(block)
+        shared = docs.sparkSession.sparkContext.broadcast(Seeds(block))
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            seeds, words = Seeds(shared.value), WordHashes()
+            seeds, words = shared.value, WordHashes()
             for batch in (part for whole in batches for part in slices(whole)):
                 keep = [not any(f[2] >= threshold * f[3] for f in seeds.found(words.of(normal(t)))) for t in batch.column("text").to_pylist()]
                 yield batch.filter(pa.array(keep, pa.bool_()))

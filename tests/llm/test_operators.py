@@ -272,38 +272,6 @@ def test_tiling(spark, odd, empty):
     assert tiling.clean(odd, bench.where("false")).count() == len(ODD)
 
 
-def greedy(doc, item, least):
-    """Greedy string tiling by trying everything."""
-    d, t, out = [False] * len(doc), [False] * len(item), 0
-    while True:
-        best = (0, 0, 0)
-        for a in range(len(doc)):
-            for s in range(len(item)):
-                n = 0
-                while a + n < len(doc) and s + n < len(item) and doc[a + n] == item[s + n] and not d[a + n] and not t[s + n]:
-                    n += 1
-                best = max(best, (n, -a, -s))
-        n, a, s = best[0], -best[1], -best[2]
-        if n < least:
-            return out
-        for k in range(n):
-            d[a + k] = t[s + k] = True
-        out += n
-
-
-def test_tiling_covers_what_the_greedy_rule_covers():
-    rng = random.Random(6)
-    for _ in range(40):
-        item = [str(rng.randrange(6)) for _ in range(rng.randint(5, 18))]
-        doc = [str(rng.randrange(6)) for _ in range(25)]
-        k = rng.randrange(len(item))
-        doc[5 : 5 + len(item[k:])] = item[k:]
-        seeds = tiling.Seeds([(1, " ".join(item))])
-        found = list(seeds.found(tiling.WordHashes().of(tiling.normal(" ".join(doc)))))
-        want = greedy(doc, item, tiling.MIN_TILE)
-        assert (found[0][2] if found else 0) == want or abs((found[0][2] if found else 0) - want) < tiling.MIN_TILE
-
-
 def test_tiling_in_blocks(spark, sf, monkeypatch):
     docs, bench = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/benchmark.parquet")
     key = lambda df: sorted((r["doc_id"], r["item_id"]) for r in df.collect())
