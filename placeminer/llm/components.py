@@ -1,4 +1,8 @@
-"""Connected components of a graph of long identifiers, without collecting it anywhere."""
+"""Connected components of a graph of long identifiers, without collecting it anywhere.
+
+Edge cases: null ends and loops are left out, repeated edges count once, an empty graph has no node. A node with very many edges (the centre of a star)
+meets its neighbours by a broadcast of a bounded number of such nodes, never in one task.
+"""
 
 from __future__ import annotations
 
@@ -11,12 +15,30 @@ from pyspark.sql import functions as F
 from .common import checkpointed
 
 
-#: Edges that one task of a round writes at least.
+#: Edges that one task of a round writes at least; nodes that a task holds before it writes their stars.
 EDGES_PER_FILE = 100_000
+HELD = 1_000_000
+#: A key is hot with more than ``HOT`` rows and more than one of ``SHARE`` of all rows: there are fewer than ``SHARE`` hot keys.
+HOT = 200
+SHARE = 10_000
+
+
+def spread_join(big: DataFrame, small: DataFrame, key: str, times: str) -> DataFrame:
+    """``big`` joined to ``small``, which has each key once with the number ``times`` of its rows in ``big``.
+
+    The few hot keys (fewer than ``SHARE``, whatever the input) are broadcast, so that their rows stay where they are; all others are shuffled.
+    """
+    total = small.agg(F.sum(times)).first()[0] or 0
+    hot = small.where(F.col(times) > max(HOT, total // SHARE))
+    few = hot.limit(1).count()
+    if not few:
+        return big.join(small, key)
+    names = F.broadcast(hot.select(key))
+    return big.join(F.broadcast(hot), key).unionByName(big.join(names, key, "left_anti").join(small.join(names, key, "left_anti"), key))
 
 
 def _forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """A task's edges as stars around the least node of each of its components."""
+    """A task's edges as stars around the least node of each of its components, ``HELD`` nodes at a time."""
     parent: dict[int, int] = {}
 
     def root(x: int) -> int:
@@ -25,15 +47,21 @@ def _forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             x = p
         return x
 
+    def stars() -> Iterator[pa.RecordBatch]:
+        pairs = [(x, r) for x in list(parent) if (r := root(x)) != x]
+        for i in range(0, len(pairs), 100_000):
+            u, v = zip(*pairs[i : i + 100_000])
+            yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], names=["u", "v"])
+
     for batch in batches:
         for a, b in zip(batch.column("u").to_pylist(), batch.column("v").to_pylist()):
             a, b = root(a), root(b)
             if a != b:
                 parent[max(a, b)] = min(a, b)
-    pairs = [(x, r) for x in list(parent) if (r := root(x)) != x]
-    for i in range(0, len(pairs), 100_000):
-        u, v = zip(*pairs[i : i + 100_000])
-        yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], names=["u", "v"])
+        if len(parent) > HELD:
+            yield from stars()
+            parent.clear()
+    yield from stars()
 
 
 def connected(edges: DataFrame, limit: int = 60) -> DataFrame:
@@ -51,10 +79,14 @@ def connected(edges: DataFrame, limit: int = 60) -> DataFrame:
             return now.select(F.col("u").alias("node"), F.col("v").alias("root")).union(now.select("v", "v").distinct())
         state = fresh
         both = now.union(now.select("v", "u"))
-        least = both.groupBy("u").agg(F.min(F.least("u", "v")).alias("m"))
-        large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        down = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(down, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(down.select("u", "m"))
+        least = checkpointed(both.groupBy("u").agg(F.min(F.least("u", "v")).alias("m"), F.count(F.lit(1)).alias("times")).coalesce(files(2 * fresh["n"])))
+        large = spread_join(both.where("v > u"), least, "u", "times").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        down = checkpointed(large.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("times")).coalesce(files(fresh["n"])))
+        small = spread_join(large, down, "u", "times").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(down.select("u", "m"))
         # A round has no more edges than the last; few edges are written as few files.
-        now = checkpointed(small.distinct().coalesce(max(8, fresh["n"] // EDGES_PER_FILE)))
+        now = checkpointed(small.distinct().coalesce(files(fresh["n"])))
     raise RuntimeError("components did not settle")
+
+
+def files(rows: int) -> int:
+    return max(8, rows // EDGES_PER_FILE)

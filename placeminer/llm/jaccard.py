@@ -7,8 +7,11 @@ broken by different hashes: candidates meet on the first order and must also sha
 the second and third, before the intersection is counted.
 
 Steps
-1. Shingle every text once and deal (token, signature) pairs by token as packed blobs.
-2. Count in how many nodes each token occurs. Tokens of one node (most of all) end here.
+1. Shingle every text once and deal (token, signature) pairs by token as packed blobs. Buckets follow the size of the
+   input (``BUCKET_BYTES`` each), and a token that ``HEAVY`` nodes of one chunk share sends its number instead: its pairs stay in
+   blobs of their task, so that no task meets all documents that hold a very common shingle.
+2. Count in how many nodes each token occurs. Tokens of one node (most of all) end here. The counts of heavy tokens go
+   back to the blobs that asked for them.
 3. Gather the shared tokens of each node. Unshared tokens come first in every order, so a node whose
    prefixes hold nothing else has no partner and leaves; what stays is small.
 4. Contract: sort the candidates by minhashes, verify neighbours, and form components of the links found.
@@ -31,17 +34,25 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import checkpointed, partitions
-from .components import connected
+from .components import connected, spread_join
 from .words import MULTIPLIERS, WordHashes, mixed, shingles, slices, tidy
 
-#: Tokens that a task holds before it deals them out; signatures that it remembers.
+#: Tokens that a task holds before it deals them out, at least and at most; signatures that it remembers.
 CHUNK = 300_000
+MOST = 1 << 24
 SEEN = 100_000
+#: Bytes of input a bucket, and the most buckets; tokens that a chunk deals to a bucket, about.
+BUCKET_BYTES = 4 << 20
+BUCKETS = 1 << 18
+DEAL = 64
+#: Nodes of one chunk that must share a token for it to be dealt as a number.
+HEAVY = 64
 #: Tokens of candidates that are sent on at once.
 SEND = 500_000
 #: Words of 64 bits of a bitmap of tokens, and of a mask of prefix tokens.
@@ -77,42 +88,83 @@ def wide(blob: bytes) -> np.ndarray:
     return (np.frombuffer(blob, np.uint32, n).astype(np.uint64) << np.uint64(16)) | np.frombuffer(blob, np.uint16, n, 4 * n)
 
 
+def input_bytes(df: DataFrame) -> int:
+    """Size of the relations that a plan reads, as the planner knows it, without reading them; relations of unknown size count as none."""
+    leaves = df._jdf.queryExecution().optimizedPlan().collectLeaves()
+    sizes = [int(str(leaves.apply(i).stats().sizeInBytes())) for i in range(leaves.size())]
+    return sum(x for x in sizes if x < 1 << 60)
+
+
+def bucketed(df: DataFrame) -> int:
+    """Buckets for the tokens of a table; results do not depend on them."""
+    return max(partitions(df.sparkSession), min(BUCKETS, input_bytes(df) // BUCKET_BYTES))
+
+
+def encoded(tok: np.ndarray, node: np.ndarray, sigs: np.ndarray) -> dict[str, bytes]:
+    """Tokens whose nodes stand together: a node's signature is written once, with their number."""
+    runs = np.concatenate(([0], np.flatnonzero(np.diff(node)) + 1, [len(node)]))
+    return {"tok": narrow(tok), "sig": sigs[node[runs[:-1]]].tobytes(), "runs": np.diff(runs).astype(np.uint32).tobytes()}
+
+
+def decoded(tok: bytes, sig: bytes, runs: bytes) -> tuple[np.ndarray, np.ndarray]:
+    return wide(tok), np.repeat(np.frombuffer(sig, np.int64), np.frombuffer(runs, np.uint32))
+
+
+def bucket_of(tok: np.ndarray, buckets: int) -> np.ndarray:
+    return ((tok >> np.uint64(17)) % np.uint64(buckets)).astype(np.int32)
+
+
+def spans(at: np.ndarray) -> list[tuple[int, int]]:
+    """Stretches of equal values."""
+    ends = np.flatnonzero(np.diff(at)) + 1
+    return list(zip([0, *ends.tolist()], [*ends.tolist(), len(at)])) if len(at) else []
+
+
+#: What rows of the first shuffle hold: pairs, numbers of heavy tokens, pairs of heavy tokens, documents.
+PAIRS, NUMBERS, HELD, DOCS = range(4)
+DEALT = {"what": pa.int32(), "bucket": pa.int32(), "blob": pa.int64(), "tok": pa.binary(), "sig": pa.binary(), "runs": pa.binary()}
+
+
 def _dealt(buckets: int):
     """Texts to blobs: tokens with their signatures by token, documents anywhere."""
+    chunk = min(MOST, max(CHUNK, DEAL * buckets))
+
+    def rows_of(rows: list[dict]) -> Iterator[pa.RecordBatch]:
+        for i in range(0, len(rows), 64):
+            yield pa.RecordBatch.from_pydict({k: pa.array([r.get(k) for r in rows[i : i + 64]], t) for k, t in DEALT.items()})
+
+    def by_bucket(tok: np.ndarray, what: int, blob: int | None, write) -> Iterator[pa.RecordBatch]:
+        at = bucket_of(tok, buckets)
+        order = np.argsort(at, kind="stable")
+        yield from rows_of([{"what": what, "bucket": int(at[order[b]]), "blob": blob} | write(order[b:e]) for b, e in spans(at[order])])
 
-    def flush(docs: list, parts: list, turn: int) -> Iterator[pa.RecordBatch]:
-        rows: dict[str, list] = {"bucket": [], "tok": [], "sig": [], "runs": [], "ids": [], "ns": [], "sigs": []}
+    def flush(docs: list, parts: list, turn: int, blob: int) -> Iterator[pa.RecordBatch]:
         if docs:
             ids, ns, sigs = zip(*docs)
             known = np.array([i is not None for i in ids])
-            rows["bucket"].append(turn % buckets)
-            rows["tok"].append(None), rows["sig"].append(None), rows["runs"].append(None)
-            rows["ids"].append(np.array([i or 0 for i in ids], np.int64)[known].tobytes())
-            rows["ns"].append(np.array(ns, np.int64)[known].tobytes())
-            rows["sigs"].append(np.array(sigs, np.int64)[known].tobytes())
+            one = {"tok": np.array([i or 0 for i in ids], np.int64), "sig": np.array(sigs, np.int64), "runs": np.array(ns, np.int64)}
+            yield from rows_of([{"what": DOCS, "bucket": turn % buckets} | {k: v[known].tobytes() for k, v in one.items()}])
         if parts:
             # 48 bits of a token travel: enough to tell the tokens of two documents apart.
             tok = np.concatenate([t for _, t in parts]) >> np.uint64(16)
             sigs = np.array([s for s, _ in parts], np.int64)
             node = np.repeat(np.arange(len(sigs)), [len(t) for _, t in parts])
-            at = ((tok >> np.uint64(17)) % np.uint64(buckets)).astype(np.int32)
-            order = np.argsort(at, kind="stable")
-            tok, node, at = tok[order], node[order], at[order]
-            ends = np.flatnonzero(np.diff(at)) + 1
-            for b, e in zip([0, *ends.tolist()], [*ends.tolist(), len(at)]):
-                # The tokens of a node stand together: its signature is written once, with their number.
-                runs = np.concatenate(([0], np.flatnonzero(np.diff(node[b:e])) + 1, [e - b]))
-                rows["bucket"].append(int(at[b]))
-                rows["tok"].append(narrow(tok[b:e])), rows["sig"].append(sigs[node[b:e][runs[:-1]]].tobytes()), rows["runs"].append(np.diff(runs).astype(np.uint32).tobytes())
-                rows["ids"].append(None), rows["ns"].append(None), rows["sigs"].append(None)
-        for i in range(0, len(rows["bucket"]), 64):
-            yield pa.RecordBatch.from_pydict({k: pa.array(v[i : i + 64], pa.int32() if k == "bucket" else pa.binary()) for k, v in rows.items()})
+            each = np.sort(tok)
+            often = np.unique(each[: -HEAVY + 1][each[HEAVY - 1 :] == each[: -HEAVY + 1]]) if len(each) >= HEAVY else each[:0]
+            if len(often):
+                times = np.searchsorted(each, often, "right") - np.searchsorted(each, often, "left")
+                yield from by_bucket(often, NUMBERS, blob, lambda x: {"tok": narrow(often[x]), "runs": times[x].astype(np.uint32).tobytes()})
+                held = often[np.minimum(np.searchsorted(often, tok), len(often) - 1)] == tok
+                yield from rows_of([{"what": HELD, "bucket": blob % buckets, "blob": blob} | encoded(tok[held], node[held], sigs)])
+                tok, node = tok[~held], node[~held]
+            yield from by_bucket(tok, PAIRS, None, lambda x: encoded(tok[x], node[x], sigs))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        # Blobs are named by the task's partition and their number, the same if it runs again.
+        first = TaskContext.get().partitionId() << 32
         words, seen = WordHashes(), set()
         docs, parts, held, turn = [], [], 0, 0
         for batch in (part for whole in batches for part in slices(whole)):
-            turn = turn or (hash(batch.column("doc_id")[0].as_py()) if len(batch) else 0)
             for d, text in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist()):
                 tokens = shingles(words.of(text.encode().lower().split())) if text else np.empty(0, np.uint64)
                 s = signature(tokens) if len(tokens) else 0
@@ -123,70 +175,115 @@ def _dealt(buckets: int):
                     held += len(tokens)
                     if len(seen) < SEEN:
                         seen.add(s)
-                if held > CHUNK or len(docs) > CHUNK:
-                    yield from flush(docs, parts, turn)
+                if held > chunk or len(docs) > chunk:
+                    yield from flush(docs, parts, (first >> 32) + turn, first + turn)
                     docs, parts, held, turn = [], [], 0, turn + 1
-        yield from flush(docs, parts, turn)
+        yield from flush(docs, parts, (first >> 32) + turn, first + turn)
+
+    return run, "what int, bucket int, blob long, tok binary, sig binary, runs binary"
+
+
+#: What rows after the count hold: documents, sizes of nodes, shared tokens, counts of heavy tokens by blob, pairs of heavy tokens.
+ROWS, SIZES, SHARED, COUNTS, WAITING = range(5)
+COUNTED = {"kind": pa.int32(), "doc_id": pa.int64(), "n": pa.int64(), "sig": pa.int64(), "bucket": pa.int32(), "s": pa.binary(), "a": pa.binary(), "b": pa.binary()}
+COUNTED_SCHEMA = "kind int, doc_id long, n long, sig long, bucket int, s binary, a binary, b binary"
 
-    return run, "bucket int, tok binary, sig binary, runs binary, ids binary, ns binary, sigs binary"
+
+def _packed(kind: int, at: np.ndarray, *arrays: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """Three arrays as blobs by bucket."""
+    order = np.argsort(at, kind="stable")
+    at, arrays = at[order].astype(np.int64), [v[order] for v in arrays]
+    cut = spans(at)
+    for i in range(0, len(cut), 64):
+        some, n = cut[i : i + 64], len(cut[i : i + 64])
+        own = {"kind": pa.array([kind] * n, pa.int32()), "bucket": pa.array([int(at[x]) for x, _ in some], pa.int32())}
+        own |= {k: pa.array([v[x:y].tobytes() for x, y in some], pa.binary()) for k, v in zip("sab", arrays)}
+        yield pa.RecordBatch.from_pydict({k: own.get(k, pa.nulls(n, t)) for k, t in COUNTED.items()})
+
+
+def _of_signature(sigs: np.ndarray, buckets: int) -> np.ndarray:
+    return (sigs.view(np.uint64) >> np.uint64(33)) % np.uint64(buckets)
 
 
 def _counted(buckets: int):
     """A partition's tokens to those that several nodes have, dealt by signature; documents as rows."""
 
-    def pack(kind: int, sigs: np.ndarray, a: np.ndarray, b: np.ndarray) -> Iterator[pa.RecordBatch]:
-        at = (sigs.view(np.uint64) >> np.uint64(33)) % np.uint64(buckets)
-        order = np.argsort(at, kind="stable")
-        sigs, a, b, at = sigs[order], a[order], b[order], at[order].astype(np.int64)
-        ends = np.flatnonzero(np.diff(at)) + 1
-        spans = list(zip([0, *ends.tolist()], [*ends.tolist(), len(at)])) if len(at) else []
-        for i in range(0, len(spans), 64):
-            some, n = spans[i : i + 64], len(spans[i : i + 64])
-            yield pa.RecordBatch.from_pydict({
-                "kind": pa.array([kind] * n, pa.int32()), "doc_id": pa.nulls(n, pa.int64()), "n": pa.nulls(n, pa.int64()), "sig": pa.nulls(n, pa.int64()),
-                "bucket": pa.array([int(at[x]) for x, _ in some], pa.int32()),
-                **{k: pa.array([v[x:y].tobytes() for x, y in some], pa.binary()) for k, v in (("s", sigs), ("a", a), ("b", b))},
-            })
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        toks, sigs, nodes = [], [], []
+        toks, sigs, nodes, asked = [], [], [], []
         for batch in batches:
-            for tok, sig, runs, ids, ns, ss in zip(*(batch.column(c).to_pylist() for c in ("tok", "sig", "runs", "ids", "ns", "sigs"))):
-                if tok is not None:
-                    toks.append(wide(tok)), sigs.append(np.repeat(np.frombuffer(sig, np.int64), np.frombuffer(runs, np.uint32)))
+            for what, bucket, blob, tok, sig, runs in zip(*(batch.column(c).to_pylist() for c in DEALT)):
+                if what == PAIRS:
+                    t, s = decoded(tok, sig, runs)
+                    toks.append(t), sigs.append(s)
+                elif what == NUMBERS:
+                    t = wide(tok)
+                    asked.append((t, np.frombuffer(runs, np.uint32).astype(np.int64), np.full(len(t), blob, np.int64)))
+                elif what == HELD:
+                    one = {"kind": [WAITING], "n": [blob], "bucket": [bucket], "s": [sig], "a": [tok], "b": [runs]}
+                    yield pa.RecordBatch.from_pydict({k: pa.array(one.get(k, [None]), t) for k, t in COUNTED.items()})
                 else:
-                    d, n, s = (np.frombuffer(x, np.int64) for x in (ids, ns, ss))
-                    m = len(d)
-                    yield pa.RecordBatch.from_pydict({
-                        "kind": pa.array(np.zeros(m, np.int32)), "doc_id": pa.array(d), "n": pa.array(n), "sig": pa.array(s),
-                        "bucket": pa.nulls(m, pa.int32()), "s": pa.nulls(m, pa.binary()), "a": pa.nulls(m, pa.binary()), "b": pa.nulls(m, pa.binary()),
-                    })
+                    d, n, s = (np.frombuffer(x, np.int64) for x in (tok, runs, sig))
+                    one = {"kind": pa.array(np.full(len(d), ROWS, np.int32)), "doc_id": pa.array(d), "n": pa.array(n), "sig": pa.array(s)}
+                    yield pa.RecordBatch.from_pydict({k: one.get(k, pa.nulls(len(d), t)) for k, t in COUNTED.items()})
                     s, first = np.unique(s, return_index=True)
                     nodes.append((s[n[first] > 0], n[first][n[first] > 0]))
         if nodes:
             s, first = np.unique(np.concatenate([x for x, _ in nodes]), return_index=True)
             n = np.concatenate([x for _, x in nodes])[first]
-            yield from pack(1, s, n, n)
-        if not toks:
+            yield from _packed(SIZES, _of_signature(s, buckets), s, n, n)
+        if not toks and not asked:
             return
-        tok, sig = np.concatenate(toks), np.concatenate(sigs)
+        tok, sig = np.concatenate([np.empty(0, np.uint64), *toks]), np.concatenate([np.empty(0, np.int64), *sigs])
         del toks, sigs
+        heavy, number, blob = (np.concatenate([x[i] for x in asked]) if asked else np.empty(0, t) for i, t in enumerate((np.uint64, np.int64, np.int64)))
+        listed, back = np.unique(heavy, return_inverse=True)
+        numbers = np.bincount(back, number, len(listed)).astype(np.int64) if len(listed) else np.empty(0, np.int64)
         order = np.argsort(tok)
         tok, sig = tok[order], sig[order]
         del order
         same = tok[1:] == tok[:-1]
-        often = np.concatenate(([False], same)) | np.concatenate((same, [False]))
-        tok, sig = tok[often], sig[often]
+        several = np.concatenate(([False], same)) | np.concatenate((same, [False])) if len(tok) else np.empty(0, bool)
+        several |= np.isin(tok, listed)
+        tok, sig = tok[several], sig[several]
         order = np.lexsort((sig, tok))
         tok, sig = tok[order], sig[order]
         fresh = np.ones(len(tok), bool)
         fresh[1:] = (tok[1:] != tok[:-1]) | (sig[1:] != sig[:-1])
         tok, sig = tok[fresh], sig[fresh]
-        _, back, n = np.unique(tok, return_inverse=True, return_counts=True)
-        n = n[back]
-        yield from pack(2, sig[n > 1], tok[n > 1].view(np.int64), n[n > 1].astype(np.int64))
+        known, where, n = np.unique(tok, return_inverse=True, return_counts=True)
+        if len(listed):
+            # One count for each token, whichever way its pairs went; copies in several blobs may count twice, which no order minds.
+            at = np.searchsorted(listed, known)
+            n = n + np.where(listed[np.minimum(at, len(listed) - 1)] == known, numbers[np.minimum(at, len(listed) - 1)], 0)
+            at = np.searchsorted(known, listed)
+            total = np.where(known[np.minimum(at, len(known) - 1)] == listed, n[np.minimum(at, len(known) - 1)], numbers) if len(known) else numbers
+            yield from _packed(COUNTS, (blob % buckets).astype(np.int64), blob, heavy.view(np.int64), total[back])
+        n = n[where]
+        yield from _packed(SHARED, _of_signature(sig[n > 1], buckets), sig[n > 1], tok[n > 1].view(np.int64), n[n > 1].astype(np.int64))
+
+    return run, COUNTED_SCHEMA
+
+
+def _answered(buckets: int):
+    """Counts of heavy tokens to the pairs that wait for them, dealt by signature."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        counts, waiting = [], []
+        for batch in batches:
+            for kind, n, s, a, b in zip(*(batch.column(c).to_pylist() for c in ("kind", "n", "s", "a", "b"))):
+                (counts if kind == COUNTS else waiting).append(tuple(np.frombuffer(x, np.int64) for x in (s, a, b)) if kind == COUNTS else (n, s, a, b))
+        if not waiting:
+            return
+        blob, tok, n = (np.concatenate([c[i] for c in counts]) for i in range(3))
+        order = np.lexsort((tok.view(np.uint64), blob))
+        blob, tok, n = blob[order], tok[order].view(np.uint64), n[order]
+        for name, s, a, b in waiting:
+            t, sig = decoded(a, s, b)
+            lo, hi = np.searchsorted(blob, name, "left"), np.searchsorted(blob, name, "right")
+            count = n[lo:hi][np.searchsorted(tok[lo:hi], t)]
+            yield from _packed(SHARED, _of_signature(sig, buckets), sig, t.view(np.int64), count)
 
-    return run, "kind int, doc_id long, n long, sig long, bucket int, s binary, a binary, b binary"
+    return run, COUNTED_SCHEMA
 
 
 def mask(tokens: np.ndarray, words: int) -> np.ndarray:
@@ -217,18 +314,18 @@ def _gathered():
         sizes, parts = [], []
         for batch in batches:
             for kind, s, a, b in zip(*(batch.column(c).to_pylist() for c in ("kind", "s", "a", "b"))):
-                (sizes if kind == 1 else parts).append(tuple(np.frombuffer(x, np.int64) for x in (s, a, b)))
+                (sizes if kind == SIZES else parts).append(tuple(np.frombuffer(x, np.int64) for x in (s, a, b)))
         if not parts:
             return
         node, first = np.unique(np.concatenate([s for s, _, _ in sizes]), return_index=True)
         size = np.concatenate([n for _, n, _ in sizes])[first]
         sig, tok, n = (np.concatenate([p[i] for p in parts]) for i in range(3))
         del parts
-        order = np.argsort(sig, kind="stable")
+        order = np.lexsort((tok, sig))
+        order = order[np.concatenate(([True], (np.diff(sig[order]) != 0) | (np.diff(tok[order]) != 0)))]
         sig, tok, n = sig[order], tok[order].view(np.uint64), n[order]
-        ends = np.flatnonzero(np.diff(sig)) + 1
         rows, held = [], 0
-        for b, e in zip([0, *ends.tolist()], [*ends.tolist(), len(sig)]):
+        for b, e in spans(sig):
             total = int(size[np.searchsorted(node, sig[b])])
             left = int(needed(total)) - (total - (e - b))
             if left <= 0:
@@ -309,18 +406,21 @@ def _sized(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def groups(docs: DataFrame) -> DataFrame:
     """doc_id, n_shingles, component_id of every row."""
-    spark = docs.sparkSession
-    parts = partitions(spark)
-    deal, deal_schema = _dealt(parts)
-    count, count_schema = _counted(parts)
+    parts, buckets = partitions(docs.sparkSession), bucketed(docs)
+    deal, deal_schema = _dealt(buckets)
+    count, count_schema = _counted(buckets)
+    answer, _ = _answered(buckets)
     gather, gather_schema = _gathered()
     dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(deal), deal_schema)
-    counted = checkpointed(dealt.repartitionById(parts, "bucket").mapInArrow(tidy(count), count_schema))
-    rows = counted.where("kind = 0").select("doc_id", "n", "sig")
-    nodes = checkpointed(counted.where("kind > 0").select("kind", "bucket", "s", "a", "b").repartitionById(parts, "bucket").mapInArrow(tidy(gather), gather_schema))
+    counted = checkpointed(dealt.repartitionById(buckets, "bucket").mapInArrow(tidy(count), count_schema))
+    rows = counted.where(f"kind = {ROWS}").select("doc_id", "n", "sig")
+    blobs = ["kind", "n", "bucket", "s", "a", "b"]
+    answered = counted.where(f"kind IN ({COUNTS}, {WAITING})").select(blobs).repartitionById(buckets, "bucket").mapInArrow(tidy(answer), count_schema)
+    shared = counted.where(f"kind IN ({SIZES}, {SHARED})").select(blobs).union(answered.select(blobs))
+    nodes = checkpointed(shared.repartitionById(buckets, "bucket").mapInArrow(tidy(gather), gather_schema))
 
     # From here on a node is named by the least doc_id of its copies, so that the root of a component is its answer.
-    least = rows.where("n > 0").groupBy("sig").agg(F.min("doc_id").alias("least"))
+    least = checkpointed(rows.where("n > 0").groupBy("sig").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("copies")))
     names = checkpointed(nodes.select("sig").join(least, "sig"))
     of = lambda s, n: names.select(F.col("sig").alias(s), F.col("least").alias(n))
 
@@ -347,8 +447,8 @@ def groups(docs: DataFrame) -> DataFrame:
     # The second graph joins components of the first; its roots are the answers of the nodes in it.
     moved = comp.join(second, F.col("comp") == F.col("node")).select("sig", F.col("root").alias("top"))
     answer = comp.join(moved, "sig", "left").select("sig", F.coalesce("top", "comp").alias("component_id"))
-    of_sig = least.join(answer, "sig", "left").select("sig", F.coalesce("component_id", "least").alias("component_id"))
-    full = rows.where("n > 0").join(of_sig, "sig").select("doc_id", F.col("n").alias("n_shingles"), "component_id")
+    of_sig = least.join(answer, "sig", "left").select("sig", F.coalesce("component_id", "least").alias("component_id"), "copies")
+    full = spread_join(rows.where("n > 0"), of_sig, "sig", "copies").select("doc_id", F.col("n").alias("n_shingles"), "component_id")
     nameless = docs.where(F.col("doc_id").isNull()).select("text").mapInArrow(_sized, "doc_id long, n_shingles long, component_id long")
     return full.union(rows.where("n = 0").select("doc_id", "n", "doc_id")).union(nameless)
 
