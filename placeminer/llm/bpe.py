@@ -29,6 +29,7 @@ PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 LOWER = (("\u03a3", "\u03c3"), ("\ua7cb", "\u0264"), ("\ua7dc", "\u019b"))
 #: Memoised pre-tokens per task.
 MEMO = 1 << 20
+SHORT = 64
 
 
 def byte_symbols() -> list[str]:
@@ -80,7 +81,7 @@ class Counter:
         symbols = [self.bytes[b] for b in word.encode()]
         symbols[-1] += self.suffix
         n = merged_count(symbols, self.ranks)
-        if len(self.memo) < MEMO:
+        if len(self.memo) < MEMO and len(word) <= SHORT:
             self.memo[word] = n
         return n
 

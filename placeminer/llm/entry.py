@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import bpe, extract, hashtree, jaccard, langid, mixing, quality, rules, surrogates, tiling
-from .common import table
+from .common import checkpoint_dir, table
 
 
 def op1_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -26,6 +27,11 @@ def op3_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rules.verdicts(table(spark, sf_dir, "documents")).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def ledger_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What each rule of each policy does, from the stored ledger of op 3."""
+    return rules.ablation(rules.stored(table(spark, sf_dir, "documents"), f"{checkpoint_dir(spark)}/ledger-{uuid.uuid4().hex}"))
+
+
 def op4_hashtree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return hashtree.assign(table(spark, sf_dir, "documents"))
 
@@ -62,6 +68,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_surrogates": op1_surrogates,
         "op2_language": op2_language,
         "op3_rules": op3_rules,
+        "ledger_ablation": ledger_ablation,
         "op4_hashtree": op4_hashtree,
         "op5_quality": op5_quality,
         "op6_jaccard": op6_jaccard,
@@ -75,6 +82,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 def oracle_sql() -> dict[str, str]:
     return {
         "op3_rules": rules.oracle(),
+        "ledger_ablation": rules.ablation_oracle(),
         "op4_hashtree": hashtree.oracle(),
         "op6_jaccard": jaccard.oracle(),
     }

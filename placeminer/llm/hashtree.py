@@ -7,9 +7,10 @@ child can only pull rows into it, so a change of weights moves rows only inside
 weights change. A new shard opens in a rack and region of its own once the last ones are full, so
 going from ``n`` to ``n + 1`` shards at a region boundary (24 is one) takes rows only into the new shard.
 
-Defined edge cases: a null text has size 8 and crc 0; a null key is placed as the string ``null``;
+Defined edge cases: a null text has size 8 and crc 0; very long texts are read whole; a null key is placed as the string ``null``,
+and slots follow the text as well, so that many rows of one key or none are numbered in many tasks;
 repeated rows get the same shard and slots next to each other; an empty table gives an empty result;
-extra columns are ignored by :func:`assign` and carried by :func:`place`.
+extra columns, whatever their names, are ignored by :func:`assign` and carried by :func:`place`.
 """
 
 from __future__ import annotations
@@ -22,6 +23,9 @@ from pyspark.sql import functions as F
 
 from .common import draw, partitions
 
+#: Rows of offsets that are broadcast at most.
+OFFSETS = 1 << 20
+
 
 @dataclass(frozen=True)
 class Tree:
@@ -95,13 +99,13 @@ def place(df: DataFrame, key: str, tree: Tree, name: str = "shard", grown_name:
     return drawn.withColumns({n: choice(t).cast("int") for n, t in trees}).drop(*map(named, paths))
 
 
-def number(df: DataFrame, group: str, order: list[str], draw_col: str, name: str = "slot") -> DataFrame:
+def number(df: DataFrame, group: str, order: list[str], draw_col: str, name: str = "slot", groups: int = 24) -> DataFrame:
     """Gapless numbers from 0 within each group, in the order of ``draw_col`` (in (0, 1)) and then ``order``.
 
     A group is cut into as many slices of the draw as there are shuffle partitions; the slices' counts
-    (groups x slices, a few numbers each) give their offsets, so no task sees a whole group.
+    (at most ``OFFSETS`` rows of a few numbers, so that they may be broadcast) give their offsets, so no task sees a whole group.
     """
-    slices = partitions(df.sparkSession)
+    slices = max(1, min(partitions(df.sparkSession), OFFSETS // max(1, groups)))
     cut = df.withColumn("__slice", F.floor(F.col(draw_col) * slices).cast("int"))
     counts = cut.groupBy(group, "__slice").agg(F.count(F.lit(1)).alias("__n"))
     before = W.partitionBy(group).orderBy("__slice").rowsBetween(W.unboundedPreceding, -1)
@@ -117,9 +121,8 @@ def assign(docs: DataFrame, shards: int = 24, tree: Tree | None = None) -> DataF
         "doc_id",
         (F.coalesce(F.octet_length("text"), F.lit(0)) + 8).cast("long").alias("size"),
         F.coalesce(F.crc32("text"), F.lit(0)).cast("long").alias("text_crc32"),
-        draw(tree.seed, "slot", F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))).alias("__u"),
-    )
-    placed = number(place(sized, "doc_id", tree, "shard", "grown_shard"), "shard", ["doc_id", "text_crc32", "size"], "__u")
+    ).withColumn("__u", draw(tree.seed, "slot", F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.col("text_crc32").cast("string")))
+    placed = number(place(sized, "doc_id", tree, "shard", "grown_shard"), "shard", ["doc_id", "text_crc32", "size"], "__u", groups=len(tree.weights))
     return placed.select("doc_id", "size", "text_crc32", F.lit("key").alias("law"), "shard", "slot", "grown_shard")
 
 
@@ -133,8 +136,8 @@ def oracle(shards: int = 24, view: str = "documents") -> str:
     tree = Tree.even(shards)
     seed, grown = tree.seed, tree.grown()
 
-    def uniform(path: str) -> str:
-        return f"((CAST(('0x' || substr(md5('{seed}|{path}|' || coalesce(CAST(doc_id AS VARCHAR), 'null')), 1, 12)) AS BIGINT) + 0.5) / 281474976710656.0)"
+    def uniform(path: str, more: str = "") -> str:
+        return f"((CAST(('0x' || substr(md5('{seed}|{path}|' || coalesce(CAST(doc_id AS VARCHAR), 'null'){more}), 1, 12)) AS BIGINT) + 0.5) / 281474976710656.0)"
 
     def u(path: str) -> str:
         return f"-ln({uniform(path)})"
@@ -169,6 +172,6 @@ def oracle(shards: int = 24, view: str = "documents") -> str:
     WITH k AS (SELECT list(list_reduce(range(0, 8), lambda x, y: CASE WHEN x & 1 = 1 THEN xor(x >> 1, 3988292384) ELSE x >> 1 END, n) ORDER BY n) AS crc FROM range(0, 256) t(n)),
     bytes AS (SELECT *, list_filter(list_transform(string_split(regexp_replace(hex(coalesce(text, '')), '(..)', '\\1,', 'g'), ','), lambda h: try_cast('0x' || h AS BIGINT)), lambda z: z IS NOT NULL) AS bs FROM {view}),
     d AS (SELECT doc_id, len(bs) AS n, xor(list_reduce(bs, lambda x, z: xor(x >> 8, crc[xor(x & 255, z) + 1]), 4294967295), 4294967295) AS crc32, {", ".join(f"{u(p)} AS {n}" for p, n in paths.items())} FROM bytes, k),
-    s AS (SELECT doc_id, CAST(n + 8 AS BIGINT) AS size, CAST(crc32 AS BIGINT) AS text_crc32, CAST({a} AS INTEGER) AS shard, CAST({b} AS INTEGER) AS grown_shard, {uniform("slot")} AS u FROM d)
+    s AS (SELECT doc_id, CAST(n + 8 AS BIGINT) AS size, CAST(crc32 AS BIGINT) AS text_crc32, CAST({a} AS INTEGER) AS shard, CAST({b} AS INTEGER) AS grown_shard, {uniform("slot", " || '|' || CAST(crc32 AS VARCHAR)")} AS u FROM d)
     SELECT doc_id, size, text_crc32, 'key' AS law, shard, CAST(row_number() OVER (PARTITION BY shard ORDER BY u, doc_id, text_crc32, size) - 1 AS BIGINT) AS slot, grown_shard FROM s
     """

@@ -10,9 +10,10 @@ Targets: the weights 5, 2, 1 repeat over the sources by code point, null last, a
 a source above ``limit`` times its size stays there and the excess is shared again by weight.
 
 Only per-source sums (one row a source) and the block plan (at most ``max_blocks`` + sources rows)
-meet on the driver. Running positions come from slices of the seeded order, so a source with a third
+meet on the driver; more than ``SOURCES`` sources are refused. Running positions come from slices of the seeded order, so a source with a third
 of all rows is spread over as many tasks as there are slices. Edge cases: a null or blank text has
-size 0 and is never taken; an empty table gives an empty result; equal rows are placed side by side.
+size 0 and is never taken; very long texts are counted whole; an empty table gives an empty result; equal rows are placed side by side;
+a row without a doc_id is a document by its source and text; other columns, whatever their names, are not read by :func:`mix` and kept by :func:`mixed`.
 """
 
 from __future__ import annotations
@@ -28,10 +29,21 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import WORD, draw, partitions
+from .common import WORD, checkpointed, draw, partitions
 
 CYCLE = (5, 2, 1)
 LIMIT = 3
+#: Sources that the driver apportions at most; rows of the plan that are broadcast at most (about 20 MB).
+SOURCES = 500_000
+STEPS = 100_000
+#: Documents of a slice, about, within which whole documents settle what others leave over.
+ROWS = 2000
+
+
+def named():
+    """The key of a document: its doc_id, or else its source and text."""
+    own = F.concat_ws("|", F.lit("null"), F.coalesce("source", F.lit("")), F.xxhash64("text").cast("string"))
+    return F.coalesce(F.col("doc_id").cast("string"), own)
 
 
 def targets(sizes: dict[str | None, int], cycle: tuple[int, ...] = CYCLE, limit: int = LIMIT) -> dict[str | None, float]:
@@ -105,25 +117,27 @@ def plan(sizes: dict[str | None, int], *, seed: str = "mix-1", max_blocks: int =
 
 
 def mix(docs: DataFrame, *, seed: str = "mix-1", max_blocks: int = 16384, shards: int = 8) -> DataFrame:
-    """doc_id, size, source, source_size, target, taken, and the words each output shard takes of the document (``by_shard``)."""
+    """doc_id, size, source, source_size, target, taken, the words each output shard takes of the document (``by_shard``), and its key and draw."""
     spark = docs.sparkSession
     sized = docs.select(
         "doc_id", "source",
         F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long").alias("size"),
         F.crc32("text").alias("__crc"),
-        draw(seed, F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))).alias("__u"),
-    )
+        named().alias("__key"),
+    ).withColumn("__u", draw(seed, F.col("__key")))
     slices = partitions(spark)
     cut = sized.withColumn("__slice", F.floor(F.col("__u") * slices).cast("int"))
     sums = cut.groupBy("source", "__slice").agg(F.sum("size").alias("__n"))
     before = W.partitionBy("source").orderBy("__slice").rowsBetween(W.unboundedPreceding, -1)
     offsets = sums.select(F.col("source").alias("__source"), F.col("__slice").alias("__part"), F.coalesce(F.sum("__n").over(before), F.lit(0)).alias("__before"))
-    sizes = {r["source"]: int(r["n"]) for r in sums.groupBy("source").agg(F.sum("__n").alias("n")).collect()}
+    sizes = {r["source"]: int(r["n"]) for r in sums.groupBy("source").agg(F.sum("__n").alias("n")).limit(SOURCES + 1).collect()}
+    if len(sizes) > SOURCES:
+        raise ValueError(f"more than {SOURCES} sources")
     block, wanted, rows = plan(sizes, seed=seed, max_blocks=max_blocks, shards=shards)
 
     inside = W.partitionBy("source", "__slice").orderBy("__u", "doc_id", "__crc", "size").rowsBetween(W.unboundedPreceding, -1)
     placed = cut.join(offsets, cut["source"].eqNullSafe(offsets["__source"]) & (cut["__slice"] == offsets["__part"])).select(
-        "doc_id", "source", "size", (F.col("__before") + F.coalesce(F.sum("size").over(inside), F.lit(0))).alias("__start")
+        "doc_id", "__key", "__u", "source", "size", (F.col("__before") + F.coalesce(F.sum("size").over(inside), F.lit(0))).alias("__start")
     )
     # What is taken of a document is the difference of the taken tokens before its end and before its start.
     cumulative, at = [], {}
@@ -133,18 +147,20 @@ def mix(docs: DataFrame, *, seed: str = "mix-1", max_blocks: int = 16384, shards
         at[s] = (total + times * block, [x + y * block for x, y in zip(each, by_shard)])
     steps = spark.createDataFrame(cumulative, "b_source string, b_block long, b_times long, b_total long, b_shards array<long>, b_totals array<long>")
 
+    bounded = F.broadcast if len(cumulative) <= STEPS else lambda df: df
+
     def before_position(df: DataFrame, position: str, name: str) -> DataFrame:
         block_of = F.floor(F.col(position) / block)
         into = F.col(position) - block_of * block
-        hit = df.join(F.broadcast(steps), df["source"].eqNullSafe(steps["b_source"]) & (block_of == steps["b_block"]))
+        hit = df.join(bounded(steps), df["source"].eqNullSafe(steps["b_source"]) & (block_of == steps["b_block"]))
         return hit.withColumn(name, F.col("b_total") + into * F.col("b_times")).withColumn(
             name + "_by", F.array(*[F.col("b_totals")[k] + into * F.col("b_shards")[k] for k in range(shards)])
         ).drop("b_source", "b_block", "b_times", "b_total", "b_shards", "b_totals")
 
     ranged = before_position(before_position(placed.withColumn("__end", F.col("__start") + F.col("size")), "__start", "__from"), "__end", "__to")
     facts = spark.createDataFrame([(s, sizes[s], float(wanted[s])) for s in sizes], "t_source string, source_size long, target double")
-    return ranged.join(F.broadcast(facts), ranged["source"].eqNullSafe(facts["t_source"])).select(
-        "doc_id", "size", "source", "source_size", "target",
+    return ranged.join(bounded(facts), ranged["source"].eqNullSafe(facts["t_source"])).select(
+        "doc_id", "size", "source", "source_size", "target", "__key", "__u",
         (F.col("__to") - F.col("__from")).cast("long").alias("taken"),
         F.array(*[F.col("__to_by")[k] - F.col("__from_by")[k] for k in range(shards)]).alias("by_shard"),
     )
@@ -162,7 +178,7 @@ def _whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             n = min(LIMIT, max(0, (2 * owed + size) // (2 * size))) if size else 0
             owed -= n * size
             times.append(n)
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(times, pa.int32())], names=["doc_id", "__times"])
+        yield pa.RecordBatch.from_arrays([batch.column("__key"), pa.array(times, pa.int32())], names=["__id", "__times"])
 
 
 def mixed(docs: DataFrame, *, seed: str = "mix-1", **options) -> DataFrame:
@@ -172,12 +188,13 @@ def mixed(docs: DataFrame, *, seed: str = "mix-1", **options) -> DataFrame:
     and what earlier ones left over say, so that the small ones settle the rest. Rows that repeat a doc_id are one document.
     """
     slices = partitions(docs.sparkSession)
-    u = draw(seed, F.coalesce(F.col("doc_id").cast("string"), F.lit("null")))
-    one = mix(docs, seed=seed, **options).groupBy("doc_id").agg(F.sum("taken").alias("taken"), F.sum("size").alias("size"), F.min("source").alias("source"))
-    line = one.withColumn("__u", u).withColumn("__slice", F.floor(F.col("__u") * slices).cast("int")).repartition(slices, "source", "__slice")
-    order = ["source", "__slice", F.desc("size"), "__u", "doc_id"]
-    kind = dict(docs.dtypes)["doc_id"]
-    times = line.sortWithinPartitions(*order).select("doc_id", "source", "__slice", "size", "taken").mapInArrow(_whole, f"doc_id {kind}, __times int")
-    few = times.where("__times > 0").withColumnRenamed("doc_id", "__id")
-    kept = docs.join(few, docs["doc_id"].eqNullSafe(few["__id"]))
+    one = mix(docs, seed=seed, **options).groupBy("__key", "__u").agg(F.sum("taken").alias("taken"), F.sum("size").alias("size"), F.min("source").alias("source"))
+    # A small source is one slice, so that what one document leaves over meets another of them; one row a source is bounded by ``SOURCES``.
+    one = checkpointed(one)
+    cut = one.groupBy(F.col("source").alias("__source")).agg(F.least(F.lit(slices), F.ceil(F.count(F.lit(1)) / ROWS)).alias("__slices"))
+    sliced = one.join(F.broadcast(cut), one["source"].eqNullSafe(cut["__source"])).withColumn("__slice", F.floor(F.col("__u") * F.col("__slices")).cast("int"))
+    line = sliced.repartition(slices, "source", "__slice")
+    order = ["source", "__slice", F.desc("size"), "__u", "__key"]
+    times = line.sortWithinPartitions(*order).select("__key", "source", "__slice", "size", "taken").mapInArrow(_whole, "__id string, __times int")
+    kept = docs.withColumn("__id", named()).join(times.where("__times > 0"), "__id")
     return kept.withColumn("__turn", F.explode(F.sequence(F.lit(1), F.col("__times")))).select(*docs.columns)

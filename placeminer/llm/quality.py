@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import checkpointed
-from .words import MEMO, MULTIPLIERS, slices, tidy
+from .words import MEMO, MULTIPLIERS, SHORT, slices, tidy
 
 WIDTH = 32
 ENTRIES = 4
@@ -66,7 +66,7 @@ class Slots(dict):
 
     def __missing__(self, word: bytes) -> int:
         n = xxhash.xxh64_intdigest(word) % WORD_SLOTS * SHAPE_SLOTS + xxhash.xxh64_intdigest(self.shape(word)) % SHAPE_SLOTS
-        if len(self) < MEMO:
+        if len(self) < MEMO and len(word) <= SHORT:
             self[word] = n
         return n
 

@@ -6,7 +6,7 @@ a rule from a policy would bring back (``ablation``) is read from counts per bit
 second look at any text.
 
 Edge cases: a null or empty text has no words and fails ``few_words`` alone; very long texts are
-measured whole; only doc_id and text are read, so other columns cannot clash; an empty table
+measured whole; repeated rows and a null doc_id have rows of their own; only doc_id and text are read, so other columns cannot clash; an empty table
 gives an empty ledger.
 """
 
@@ -99,6 +99,12 @@ def verdicts(docs: DataFrame, policy: str = "clean-1") -> DataFrame:
     return ledger(docs).withColumn("base_failed", fails("base-1")).withColumn("kept", ~(fails("base-1") | fails(policy)))
 
 
+def stored(docs: DataFrame, path: str) -> DataFrame:
+    """The ledger written to a shared folder and read again: policies and ablations to come look at it and at no text."""
+    ledger(docs).write.mode("overwrite").parquet(path)
+    return docs.sparkSession.read.parquet(path)
+
+
 def ablation(book: DataFrame) -> DataFrame:
     """policy, rule, n_failed, n_only (failed by this rule alone), n_kept_without: one row a policy and rule.
 
@@ -116,8 +122,28 @@ def ablation(book: DataFrame) -> DataFrame:
 
 def oracle(view: str = "documents", policy: str = "clean-1") -> str:
     """The thin query's rows in DuckDB SQL."""
-    word = r"[^\x20\x09-\x0D]+"
     tests = " OR ".join(f"({test})" for name, test in RULES if name in POLICIES[policy])
+    return f"""{_measured(view)}
+    SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
+           (n_words < 10 OR 100 * n_repeat_words > 20 * n_words) AS base_failed,
+           NOT (n_words < 10 OR 100 * n_repeat_words > 20 * n_words OR {tests}) AS kept FROM m
+    """
+
+
+def ablation_oracle(view: str = "documents") -> str:
+    """The ablation of every policy in DuckDB SQL, rule by rule from the measurements."""
+    test = dict(RULES)
+    rows = []
+    for p, rules in POLICIES.items():
+        for r in rules:
+            others = " OR ".join(f"({test[x]})" for x in rules if x != r) or "FALSE"
+            rows.append(f"SELECT '{p}' AS policy, '{r}' AS rule, count(*) FILTER ({test[r]}) AS n_failed, count(*) FILTER (({test[r]}) AND NOT ({others})) AS n_only, count(*) FILTER (NOT ({others})) AS n_kept_without FROM m")
+    return f"{_measured(view)} " + " UNION ALL ".join(rows)
+
+
+def _measured(view: str) -> str:
+    """The measurements m of every document."""
+    word = r"[^\x20\x09-\x0D]+"
     return f"""
     WITH d AS (SELECT row_number() OVER () AS rid, doc_id, coalesce(text, '') AS text FROM {view}),
     w AS (SELECT rid, doc_id, text, regexp_extract_all(text, '{word}') AS ws FROM d),
@@ -128,9 +154,7 @@ def oracle(view: str = "documents", policy: str = "clean-1") -> str:
     ln AS (SELECT rid, count(*) AS n_lines, count(*) - count(DISTINCT l) AS n_dup FROM (SELECT rid, unnest(string_split(text, chr(10))) AS l FROM d) WHERE regexp_matches(l, '{word}') GROUP BY rid),
     m AS (SELECT w.doc_id, CAST(len(ws) AS BIGINT) AS n_words, CAST(length(array_to_string(ws, '')) AS BIGINT) AS word_chars,
                  CAST(length(text) - length(regexp_replace(text, '[#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols,
-                 CAST(coalesce(n_dup, 0) AS BIGINT) AS n_dup_lines, CAST(coalesce(rep.n, 0) AS BIGINT) AS n_repeat_words, coalesce(n_lines, 0) AS n_lines
+                 CAST(coalesce(n_dup, 0) AS BIGINT) AS n_dup_lines, CAST(coalesce(rep.n, 0) AS BIGINT) AS n_repeat_words, coalesce(n_lines, 0) AS n_lines,
+                 len(list_filter(ws, lambda x: regexp_matches(x, '[A-Z]') AND NOT regexp_matches(x, '[a-z]'))) AS n_shouted
           FROM w LEFT JOIN rep ON w.rid = rep.rid LEFT JOIN ln ON w.rid = ln.rid)
-    SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
-           (n_words < 10 OR 100 * n_repeat_words > 20 * n_words) AS base_failed,
-           NOT (n_words < 10 OR 100 * n_repeat_words > 20 * n_words OR {tests}) AS kept FROM m
     """

@@ -16,8 +16,9 @@ import xxhash
 
 #: Odd multipliers of the five positions of a shingle, made by a rule.
 MULTIPLIERS = [np.uint64(xxhash.xxh64_intdigest(f"position {i}") | 1) for i in range(5)]
-#: Memoised words per task.
+#: Memoised words per task, and the length up to which words are.
 MEMO = 1 << 16
+SHORT = 64
 
 
 class WordHashes(dict):
@@ -30,7 +31,7 @@ class WordHashes(dict):
     def __missing__(self, word: bytes) -> int:
         h = xxhash.xxh64_intdigest(word)
         h = h - (1 << 64) if h >> 63 else h
-        if len(self) < self.memo:
+        if len(self) < self.memo and len(word) <= SHORT:
             self[word] = h
         return h
 
