@@ -40,8 +40,6 @@ LITERAL = 2000
 ATTEMPTS = 64
 #: Phone numbers of at most so many digits after the country code are permuted.
 SHORT = 6
-#: What mentions are marked with inside a task; texts that hold it are split without.
-MARK = "\ue000"
 
 #: Titles by the gender that they tell.
 MALE = ("Mr", "Herr", "Monsieur", "Señor", "Sr", "Sir", "Господин", "Κύριος")
@@ -323,24 +321,17 @@ def replaced(docs: DataFrame, key: str = KEY, text: str = "text", exceptions: Da
     elif few:
         found = found.withColumn("__tries", F.from_json(F.lit(json.dumps({r["k"]: r["v"] for r in few})), "map<string,string>"))
 
-    # One column a step, so that nothing is written out twice inside the next. Entities are marked in one pass over the text.
-    marked = F.when(F.col(text).rlike(GATE) & ~F.col(text).contains(MARK), F.split(F.regexp_replace(F.col(text), PATTERN, f"{MARK}$0{MARK}"), MARK, -1))
-    cut = found.withColumn("__cut", marked)
-    odd, even = (lambda x, i: i % 2 == 1), (lambda x, i: i % 2 == 0)
-    apart = lambda c, keep: F.filter(F.col(c), keep)
-    holds = F.col(text).rlike(GATE) & F.col(text).contains(MARK)
-    first = cut.withColumn("__found", F.when(holds, F.regexp_extract_all(F.col(text), F.lit(PATTERN), F.lit(0))).otherwise(apart("__cut", odd)))
+    # One column a step, so that nothing is written out twice inside the next. Only texts with an entity are cut.
+    first = found.withColumn("__found", mentions(F.col(text)))
     # In a text with titled persons the parts of their names are looked for as well.
     person = lambda e: claimed(F.lit("person"), canonical(F.lit("person"), e), e)
     told = first.withColumn("__told", F.array_distinct(F.flatten(F.transform(F.filter("__found", is_person), person))))
     parts = F.array_distinct(F.transform("__told", lambda c: c["mention"]))
     wide = F.concat(F.lit(PATTERN + r"|(?<!\p{L})(?=\p{Lu})(?:"), F.array_join(parts, "|"), F.lit(r")(?![\p{L}'-])"))
     named = told.withColumn("__wide", F.when(F.size("__told") > 0, wide))
-    again = F.when(F.col("__wide").isNotNull() & ~holds, F.split(F.regexp_replace(F.col(text), F.col("__wide"), F.lit(f"{MARK}$0{MARK}")), MARK, -1)).otherwise(F.col("__cut"))
-    both = named.withColumn("__cut", again)
-    pattern = F.coalesce("__wide", F.lit(PATTERN))
-    both = both.withColumn("__found", F.when(holds, F.regexp_extract_all(F.col(text), pattern, F.lit(0))).otherwise(apart("__cut", odd)))
-    both = both.withColumn("__cut", F.when(holds, F.split(F.col(text), pattern, -1)).otherwise(apart("__cut", even)))
+    both = named.withColumn("__found", F.when(F.col("__wide").isNotNull(), F.regexp_extract_all(F.col(text), F.col("__wide"), F.lit(0))).otherwise(F.col("__found")))
+    pieces = F.when(F.col("__wide").isNotNull(), F.split(F.col(text), F.col("__wide"), -1)).otherwise(F.split(F.col(text), PATTERN, -1))
+    both = both.withColumn("__cut", F.when(F.size("__found") > 0, pieces))
 
     named_part = lambda e: F.exists("__told", lambda c: c["mention"] == e)
     kinds = both.withColumn("__found", F.transform("__found", lambda e: F.struct(e.alias("e"), F.when(F.size("__told") > 0, F.when(named_part(e), "part").otherwise(kind_of(e))).otherwise(kind_of(e)).alias("kind"))))
