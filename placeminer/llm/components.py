@@ -19,7 +19,7 @@ from .common import checkpointed
 EDGES_PER_FILE = 100_000
 HELD = 1_000_000
 #: A key is hot with more than ``HOT`` rows and more than one of ``SHARE`` of all rows: there are fewer than ``SHARE`` hot keys.
-HOT = 200
+HOT = 100_000
 SHARE = 10_000
 
 
@@ -68,23 +68,27 @@ def connected(edges: DataFrame, limit: int = 60) -> DataFrame:
     """(node, root) for every node of the edges (u, v); the root is the least node of the component.
 
     Each round hangs every larger neighbour of a node under the least of its neighbours, then every
-    smaller one (two small-key aggregations and joins), until nothing changes.
+    smaller one (two small-key aggregations and joins), until nothing changes. Where a node has more than ``HOT`` edges, such nodes are joined apart.
     """
     edges = edges.where("u IS NOT NULL AND v IS NOT NULL AND u <> v").select("u", "v")
     now = checkpointed(edges.mapInArrow(_forest, "u long, v long").distinct())
     state = None
     for _ in range(limit):
-        fresh = now.agg(F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("u", "v") % (1 << 40)).alias("h")).first()
-        if fresh["n"] == 0 or fresh == state:
+        both = now.union(now.select("v", "u"))
+        least = both.groupBy("u").agg(F.min(F.least("u", "v")).alias("m"), F.count(F.lit(1)).alias("times"))
+        fresh = least.agg(F.sum("times").alias("n"), F.max("times").alias("most"), F.sum(F.xxhash64("u", "m", "times") % (1 << 40)).alias("h")).first()
+        if not fresh["n"] or fresh == state:
             return now.select(F.col("u").alias("node"), F.col("v").alias("root")).union(now.select("v", "v").distinct())
         state = fresh
-        both = now.union(now.select("v", "u"))
-        least = checkpointed(both.groupBy("u").agg(F.min(F.least("u", "v")).alias("m"), F.count(F.lit(1)).alias("times")).coalesce(files(2 * fresh["n"])))
-        large = spread_join(both.where("v > u"), least, "u", "times").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        down = checkpointed(large.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("times")).coalesce(files(fresh["n"])))
-        small = spread_join(large, down, "u", "times").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(down.select("u", "m"))
+        # No node has more rows after the first join than edges before it: without a hot one there is none in this round.
+        hot = fresh["most"] > HOT
+        join = spread_join if hot else (lambda big, few, key, _: big.join(few.drop("times"), key))
+        held = (lambda df: checkpointed(df.coalesce(files(fresh["n"])))) if hot else (lambda df: df)
+        large = join(both.where("v > u"), held(least), "u", "times").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        down = held(large.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("times")))
+        small = join(large, down, "u", "times").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(down.select("u", "m"))
         # A round has no more edges than the last; few edges are written as few files.
-        now = checkpointed(small.distinct().coalesce(files(fresh["n"])))
+        now = checkpointed(small.distinct().coalesce(files(fresh["n"] // 2)))
     raise RuntimeError("components did not settle")
 
 

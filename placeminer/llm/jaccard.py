@@ -39,7 +39,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import checkpointed, partitions
+from .common import checkpointed, partitions, written
 from .components import connected, spread_join
 from .words import MULTIPLIERS, WordHashes, mixed, shingles, slices, tidy
 
@@ -412,12 +412,12 @@ def groups(docs: DataFrame) -> DataFrame:
     answer, _ = _answered(buckets)
     gather, gather_schema = _gathered()
     dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidy(deal), deal_schema)
-    counted = checkpointed(dealt.repartitionById(buckets, "bucket").mapInArrow(tidy(count), count_schema))
+    counted = written(dealt.repartitionById(buckets, "bucket").mapInArrow(tidy(count), count_schema))
     rows = counted.where(f"kind = {ROWS}").select("doc_id", "n", "sig")
     blobs = ["kind", "n", "bucket", "s", "a", "b"]
     answered = counted.where(f"kind IN ({COUNTS}, {WAITING})").select(blobs).repartitionById(buckets, "bucket").mapInArrow(tidy(answer), count_schema)
     shared = counted.where(f"kind IN ({SIZES}, {SHARED})").select(blobs).union(answered.select(blobs))
-    nodes = checkpointed(shared.repartitionById(buckets, "bucket").mapInArrow(tidy(gather), gather_schema))
+    nodes = written(shared.repartitionById(buckets, "bucket").mapInArrow(tidy(gather), gather_schema))
 
     # From here on a node is named by the least doc_id of its copies, so that the root of a component is its answer.
     least = checkpointed(rows.where("n > 0").groupBy("sig").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("copies")))

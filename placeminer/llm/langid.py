@@ -25,11 +25,15 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .words import slices, tidy
+
 #: n-gram lengths; cells of the counting table; rows and probes of the Bloom filter.
 LENGTHS = (2, 3, 4)
 CELLS = 1 << 20
 ROWS = 1 << 21
 PROBES = 2
+#: n-grams that are looked up at once.
+STRIDE = 1 << 18
 #: Languages that one word of a mask holds; more languages take more words.
 WORD = 64
 
@@ -48,25 +52,32 @@ def spread(x: np.ndarray, salt: int) -> np.ndarray:
     return (x ^ (x >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
 
 
-def grams(text: str, letters: np.ndarray) -> np.ndarray:
-    """Hashes of all n-grams of the letters of a text, every other run of characters being one blank; empty without letters."""
+def pieces(text: str, letters: np.ndarray) -> Iterator[np.ndarray]:
+    """Hashes of all n-grams of the letters of a text, every other run of characters being one blank; none without letters.
+
+    They come at most ``STRIDE`` at a time, so that the memory of a very long text is a few times its own.
+    """
     c = codes(text)
     is_letter = letters[c]
     if not is_letter.any():
-        return np.empty(0, np.uint64)
-    c = np.where(is_letter, c, 32)
+        return
+    c = np.where(is_letter, c, np.uint32(32))
     keep = np.ones(len(c), bool)
     keep[1:] = (c[1:] != 32) | (c[:-1] != 32)
-    c = np.concatenate(([32], c[keep], [32])).astype(np.uint64)
-    out = []
+    blank = np.full(1, 32, np.uint32)
+    c = np.concatenate((blank, c[keep], blank))
     for n in LENGTHS:
-        if len(c) < n:
-            continue
-        h = c[: len(c) - n + 1].copy()
-        for i in range(1, n):
-            h = (h << np.uint64(16)) ^ (h >> np.uint64(48)) ^ c[i : len(c) - n + 1 + i]
-        out.append(h)
-    return spread(np.concatenate(out), 0)
+        for at in range(0, len(c) - n + 1, STRIDE):
+            part = c[at : at + STRIDE + n - 1].astype(np.uint64)
+            h = part[: len(part) - n + 1].copy()
+            for i in range(1, n):
+                h = (h << np.uint64(16)) ^ (h >> np.uint64(48)) ^ part[i : len(part) - n + 1 + i]
+            yield spread(h, 0)
+
+
+def grams(text: str, letters: np.ndarray) -> np.ndarray:
+    """All of them at once."""
+    return np.concatenate([np.empty(0, np.uint64), *pieces(text, letters)])
 
 
 @dataclass
@@ -81,8 +92,12 @@ class Model:
     def masks(self, g: np.ndarray) -> list[np.ndarray]:
         """Languages of each n-gram, by word."""
         c = cell(g)
-        at = [probe(c, p) for p in range(1, PROBES + 1)]
-        return [np.bitwise_and.reduce([word[a] for a in at]) for word in self.table]
+        out = [word[probe(c, 1)] for word in self.table]
+        for p in range(2, PROBES + 1):
+            at = probe(c, p)
+            for m, word in zip(out, self.table):
+                m &= word[at]
+        return out
 
     def hits(self, g: np.ndarray) -> np.ndarray:
         """Popcount of each language's column over the n-grams."""
@@ -93,10 +108,13 @@ class Model:
         return np.array(out, float)
 
     def predict(self, text: str | None, letters: np.ndarray) -> tuple[str, float]:
-        g = grams(text, letters) if text else ()
-        if not len(g) or not self.languages:
+        hits, n = np.zeros(len(self.languages)), 0
+        for g in pieces(text, letters) if text else ():
+            hits += self.hits(g)
+            n += len(g)
+        if not n or not self.languages:
             return "und", 0.0
-        true = np.clip((self.hits(g) - len(g) * self.false) / (1 - self.false), 0, None)
+        true = np.clip((hits - n * self.false) / (1 - self.false), 0, None)
         if true.max() <= 0:
             return self.default, 0.0
         best = int(true.argmax())
@@ -151,19 +169,19 @@ def fit(labelled: DataFrame, max_rows: int = 40000, share: float = 0.34) -> Mode
         letters = letter_table()
         sums: dict[str, np.ndarray] = {}
         seen: dict[str, int] = {}
-        for batch in batches:
+        for batch in (part for whole in batches for part in slices(whole)):
             for text, lang in zip(batch.column("text").to_pylist(), batch.column("lang").to_pylist()):
-                g = cell(grams(text, letters)) if text else np.empty(0, np.uint64)
-                at, c = np.unique(g.astype(np.int64), return_counts=True)
                 if lang not in sums:
                     sums[lang] = np.zeros(CELLS, np.int64)
-                sums[lang][at] += c
+                for g in pieces(text, letters) if text else ():
+                    at, c = np.unique(cell(g).astype(np.int64), return_counts=True)
+                    sums[lang][at] += c
                 seen[lang] = seen.get(lang, 0) + 1
         for lang, s in sums.items():
             at = np.flatnonzero(s)
             yield pa.RecordBatch.from_pydict({"lang": [lang] * (len(at) + 1), "cell": [*at.tolist(), -1], "n": [*s[at].tolist(), seen[lang]]})
 
-    summed = rows.select("text", "lang").mapInArrow(run, "lang string, cell long, n long").groupBy("lang", "cell").agg(F.sum("n").alias("n"))
+    summed = rows.select("text", "lang").mapInArrow(tidy(run), "lang string, cell long, n long").groupBy("lang", "cell").agg(F.sum("n").alias("n"))
     found = summed.toArrow()
     at, n = found.column("cell").to_numpy(), found.column("n").to_numpy()
     coded = found.column("lang").combine_chunks().dictionary_encode() if len(at) else pa.array([], pa.string()).dictionary_encode()
@@ -182,13 +200,13 @@ def predict(docs: DataFrame, model: Model) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own, letters = Model(*shared.value), letter_table()
-        for batch in batches:
+        for batch in (part for whole in batches for part in slices(whole)):
             found = [own.predict(t, letters) for t in batch.column("text").to_pylist()]
             yield pa.RecordBatch.from_arrays(
                 [batch.column("doc_id").cast(pa.int64()), pa.array([x for x, _ in found], pa.string()), pa.array([s for _, s in found], pa.float64())], names=["doc_id", "lang_pred", "score"]
             )
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, lang_pred string, score double")
+    return docs.select("doc_id", "text").mapInArrow(tidy(run), "doc_id long, lang_pred string, score double")
 
 
 def held_out(mod: int, rest: int, doc_id: str = "doc_id") -> Column:
