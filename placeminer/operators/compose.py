@@ -77,9 +77,9 @@ def explain(tree, node, n_under: int, n_over: int, total: int, tau: float, mode:
 
 def cut_columns(total: int, tau: float, last_post: Column, mode: str = "paper", n_under: str = "n_under", n_over: str = "n_over") -> tuple[Column, Column]:
     """:func:`cuts` over a frontier with counts; ``last_post``: no postset extension is left."""
-    t = MICRO - round(tau * MICRO)
-    under = (F.col("depth") >= 2) & (F.col(n_under) * MICRO > F.lit(t) * total)
-    over = last_post & (F.col(n_over) * MICRO > F.lit(t) * total)
+    most = F.lit((MICRO - round(tau * MICRO)) * total).cast("long")
+    under = (F.col("depth") >= 2) & (F.col(n_under) * F.lit(MICRO).cast("long") > most)
+    over = last_post & (F.col(n_over) * F.lit(MICRO).cast("long") > most)
     no = F.lit(False)
     return {"none": (no, no), "under": (under, no), "over": (no, over), "both": (under, over)}.get(mode, (under, over & ~under))
 

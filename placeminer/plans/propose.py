@@ -133,7 +133,7 @@ def discover(
         sup.count("evaluate", "cut_pre", facts["b"])
         keep = done.select("pre_rank", "post_rank", "pre", "post", "depth", "path", "n_fit", "n_under", "n_over", "n_unbalanced", "cut_post", "cut_pre") if keep_evaluated else None
         kept = keep if kept is None else kept.union(keep) if keep_evaluated else kept
-        passing = done.where(F.col("n_fit") * 1_000_000 >= round(tau * 1_000_000) * total).orderBy("path")
+        passing = done.where(F.col("n_fit") * F.lit(1_000_000).cast("long") >= F.lit(round(tau * 1_000_000) * total).cast("long")).orderBy("path")
         before, passed, extra = set(composer.accepted), 0, []
         with sup.timed("compose"):
             # Only places that reach the threshold come here, a level at a time.

@@ -392,7 +392,7 @@ def alignment_fitness_conv(spark: SparkSession, d: str) -> DataFrame:
 
 def replay_fitness_conv(spark: SparkSession, d: str) -> DataFrame:
     p = ready(spark, d, "conv")
-    return conformance.replay_fitness(p.log, _ids(p, CONV_SET))
+    return conformance.replay_fitness(p.log, _ids(p, CONV_SET)).withColumn("fitness", F.round("fitness", 6))
 
 
 def relative_fitness_events(spark: SparkSession, d: str) -> DataFrame:
