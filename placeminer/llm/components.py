@@ -23,13 +23,13 @@ HOT = 100_000
 SHARE = 10_000
 
 
-def spread_join(big: DataFrame, small: DataFrame, key: str, times: str) -> DataFrame:
+def spread_join(big: DataFrame, small: DataFrame, key: str, times: str, least: int | None = None) -> DataFrame:
     """``big`` joined to ``small``, which has each key once with the number ``times`` of its rows in ``big``.
 
-    The few hot keys (fewer than ``SHARE``, whatever the input) are broadcast, so that their rows stay where they are; all others are shuffled.
+    The few hot keys (more than ``least`` rows, ``HOT`` by default; fewer than ``SHARE``, whatever the input) are broadcast, so that their rows stay where they are; all others are shuffled.
     """
     total = small.agg(F.sum(times)).first()[0] or 0
-    hot = small.where(F.col(times) > max(HOT, total // SHARE))
+    hot = small.where(F.col(times) > max(HOT if least is None else least, total // SHARE))
     few = hot.limit(1).count()
     if not few:
         return big.join(small, key)

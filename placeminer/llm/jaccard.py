@@ -47,6 +47,8 @@ from .words import MULTIPLIERS, WordHashes, mixed, shingles, slices, tidy
 CHUNK = 300_000
 MOST = 1 << 24
 SEEN = 100_000
+#: Copies from which a set's documents are joined to its component where they are.
+COPIES = 1000
 #: Bytes of input a bucket, and the most buckets; tokens that a chunk deals to a bucket, about.
 BUCKET_BYTES = 4 << 20
 BUCKETS = 1 << 18
@@ -448,7 +450,7 @@ def groups(docs: DataFrame) -> DataFrame:
     moved = comp.join(second, F.col("comp") == F.col("node")).select("sig", F.col("root").alias("top"))
     answer = comp.join(moved, "sig", "left").select("sig", F.coalesce("top", "comp").alias("component_id"))
     of_sig = least.join(answer, "sig", "left").select("sig", F.coalesce("component_id", "least").alias("component_id"), "copies")
-    full = spread_join(rows.where("n > 0"), of_sig, "sig", "copies").select("doc_id", F.col("n").alias("n_shingles"), "component_id")
+    full = spread_join(rows.where("n > 0"), of_sig, "sig", "copies", COPIES).select("doc_id", F.col("n").alias("n_shingles"), "component_id")
     nameless = docs.where(F.col("doc_id").isNull()).select("text").mapInArrow(_sized, "doc_id long, n_shingles long, component_id long")
     return full.union(rows.where("n = 0").select("doc_id", "n", "doc_id")).union(nameless)
 
