@@ -24,17 +24,17 @@ SHARE = 10_000
 
 
 def spread_join(big: DataFrame, small: DataFrame, key: str, times: str, least: int | None = None) -> DataFrame:
-    """``big`` joined to ``small``, which has each key once with the number ``times`` of its rows in ``big``.
+    """``big`` joined to ``small``, a held table that has each key once with the number ``times`` of its rows in ``big``.
 
     The few hot keys (more than ``least`` rows, ``HOT`` by default; fewer than ``SHARE``, whatever the input) are broadcast, so that their rows stay where they are; all others are shuffled.
     """
-    total = small.agg(F.sum(times)).first()[0] or 0
-    hot = small.where(F.col(times) > max(HOT if least is None else least, total // SHARE))
-    few = hot.limit(1).count()
-    if not few:
+    facts = small.agg(F.sum(times).alias("rows"), F.max(times).alias("most")).first()
+    limit = max(HOT if least is None else least, (facts["rows"] or 0) // SHARE)
+    if (facts["most"] or 0) <= limit:
         return big.join(small, key)
-    names = F.broadcast(hot.select(key))
-    return big.join(F.broadcast(hot), key).unionByName(big.join(names, key, "left_anti").join(small.join(names, key, "left_anti"), key))
+    hot = small.sparkSession.createDataFrame(small.where(F.col(times) > limit).collect(), small.schema)
+    rest = big.join(F.broadcast(hot.select(key)), key, "left_anti").join(small, key)
+    return big.join(F.broadcast(hot), key).unionByName(rest)
 
 
 def _forest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -74,21 +74,21 @@ def connected(edges: DataFrame, limit: int = 60) -> DataFrame:
     now = checkpointed(edges.mapInArrow(_forest, "u long, v long").distinct())
     state = None
     for _ in range(limit):
-        both = now.union(now.select("v", "u"))
-        least = both.groupBy("u").agg(F.min(F.least("u", "v")).alias("m"), F.count(F.lit(1)).alias("times"))
-        fresh = least.agg(F.sum("times").alias("n"), F.max("times").alias("most"), F.sum(F.xxhash64("u", "m", "times") % (1 << 40)).alias("h")).first()
+        fresh = now.agg(F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("u", "v") % (1 << 40)).alias("h")).first()
         if not fresh["n"] or fresh == state:
             return now.select(F.col("u").alias("node"), F.col("v").alias("root")).union(now.select("v", "v").distinct())
         state = fresh
-        # No node has more rows after the first join than edges before it: without a hot one there is none in this round.
-        hot = fresh["most"] > HOT
+        both = now.union(now.select("v", "u"))
+        least = both.groupBy("u").agg(F.min(F.least("u", "v")).alias("m"), F.count(F.lit(1)).alias("times"))
+        # No node has more edges than there are, nor more rows after the first join than edges before it.
+        hot = fresh["n"] > HOT and least.agg(F.max("times")).first()[0] > HOT
         join = spread_join if hot else (lambda big, few, key, _: big.join(few.drop("times"), key))
-        held = (lambda df: checkpointed(df.coalesce(files(fresh["n"])))) if hot else (lambda df: df)
+        held = (lambda df: checkpointed(df.coalesce(files(2 * fresh["n"])))) if hot else (lambda df: df)
         large = join(both.where("v > u"), held(least), "u", "times").select(F.col("v").alias("u"), F.col("m").alias("v"))
         down = held(large.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("times")))
         small = join(large, down, "u", "times").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(down.select("u", "m"))
         # A round has no more edges than the last; few edges are written as few files.
-        now = checkpointed(small.distinct().coalesce(files(fresh["n"] // 2)))
+        now = checkpointed(small.distinct().coalesce(files(fresh["n"])))
     raise RuntimeError("components did not settle")
 
 

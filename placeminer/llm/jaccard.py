@@ -449,7 +449,7 @@ def groups(docs: DataFrame) -> DataFrame:
     # The second graph joins components of the first; its roots are the answers of the nodes in it.
     moved = comp.join(second, F.col("comp") == F.col("node")).select("sig", F.col("root").alias("top"))
     answer = comp.join(moved, "sig", "left").select("sig", F.coalesce("top", "comp").alias("component_id"))
-    of_sig = least.join(answer, "sig", "left").select("sig", F.coalesce("component_id", "least").alias("component_id"), "copies")
+    of_sig = checkpointed(least.join(answer, "sig", "left").select("sig", F.coalesce("component_id", "least").alias("component_id"), "copies"))
     full = spread_join(rows.where("n > 0"), of_sig, "sig", "copies", COPIES).select("doc_id", F.col("n").alias("n_shingles"), "component_id")
     nameless = docs.where(F.col("doc_id").isNull()).select("text").mapInArrow(_sized, "doc_id long, n_shingles long, component_id long")
     return full.union(rows.where("n = 0").select("doc_id", "n", "doc_id")).union(nameless)
