@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import heapq
-import time
 from collections.abc import Iterator
 
 import numpy as np
@@ -14,8 +13,8 @@ from pyspark.sql import functions as F
 from .evaluate import SparkLog
 from .kernel import Place
 
-#: Cap of states and seconds of one alignment; beyond them the cost is null.
-STATES, SECONDS = 200_000, 20.0
+#: Cap of states of one alignment; beyond it the cost is null, on every machine alike.
+STATES = 200_000
 
 
 def chained(state: int, a: int) -> int:
@@ -46,16 +45,19 @@ class Machine:
             m[j] += 1
         return tuple(m)
 
-    def align(self, seq: list[int], states: int = STATES, seconds: float = SECONDS) -> tuple[int, list[int]] | None:
-        """(cost, model trace) of a cheapest alignment, or None if a cap was reached.
+    def align(self, seq: list[int], states: int = STATES) -> tuple[int, list[int]] | None:
+        """(cost, model trace) of a cheapest alignment, or None if there is none or the cap was reached.
 
         Moves on both sides are free, on one side cost one. The model runs from the start to the end marker and ends without tokens.
+        The search is guided by what is still to come: each token of the fullest place takes a move of its own, and only
+        as many of those are free as events are left.
         """
-        began, done = time.time(), {}
-        heap = [(0, 0, self.zero, 0, None, None)]  # cost, -position, marking, phase, parent, act
+        done = {}
+        still = lambda pos, m: max(0, max(m, default=0) - (len(seq) - pos))
+        heap = [(0, 0, self.zero, 0, None, None, 0)]  # cost with what must come, -position, marking, phase, parent, act, cost
         # phase 0: before the start marker, 1: running, 2: ended
         while heap:
-            cost, back, marking, phase, parent, act = heapq.heappop(heap)
+            _, back, marking, phase, parent, act, cost = heapq.heappop(heap)
             pos = -back
             key = (pos, marking, phase)
             if key in done:
@@ -65,25 +67,24 @@ class Machine:
                 trace, k = [], key
                 while k is not None:
                     up, a = done[k]
-                    if a is not None:
+                    if a is not None and a >= 0:
                         trace.append(a)
                     k = up
                 return cost, trace[::-1]
-            if len(done) > states or time.time() - began > seconds:
+            if len(done) > states:
                 return None
             allowed = (self.start,) if phase == 0 else () if phase == 2 else tuple(a for a in range(self.n) if a != self.start)
             here = seq[pos] if pos < len(seq) else None
             if here is not None:
-                heapq.heappush(heap, (cost + 1, back - 1, marking, phase, key, None))
+                heapq.heappush(heap, (cost + 1 + still(pos + 1, marking), back - 1, marking, phase, key, -1, cost + 1))
             for a in allowed:
                 m = self.fire(marking, a)
                 if m is None:
                     continue
                 p = 1 if a == self.start else 2 if a == self.end else 1
                 if a == here:
-                    heapq.heappush(heap, (cost, back - 1, m, p, key, a))
-                if max(m, default=0) <= len(seq) + 1:
-                    heapq.heappush(heap, (cost + 1, back, m, p, key, a))
+                    heapq.heappush(heap, (cost + still(pos + 1, m), back - 1, m, p, key, a, cost))
+                heapq.heappush(heap, (cost + 1 + still(pos, m), back, m, p, key, a, cost + 1))
         return None
 
     def shortest(self) -> int | None:
@@ -92,7 +93,7 @@ class Machine:
         return None if found is None else found[0]
 
 
-def alignment(log: SparkLog, places: list[Place], start: int, end: int, states: int = STATES, seconds: float = SECONDS) -> DataFrame:
+def alignment(log: SparkLog, places: list[Place], start: int, end: int, states: int = STATES) -> DataFrame:
     """variant_id, freq, cost, trace_len, model_len, fitness = 1 - cost / (trace + shortest model trace); null where a cap was reached (A3)."""
     n = len(log.labels)
     shared = log.variants.sparkSession.sparkContext.broadcast(places)
@@ -102,7 +103,7 @@ def alignment(log: SparkLog, places: list[Place], start: int, end: int, states:
         machine = Machine(shared.value, n, start, end)
         for batch in batches:
             seqs = batch.column("seq").to_pylist()
-            found = [machine.align(s, states, seconds) for s in seqs]
+            found = [machine.align(s, states) for s in seqs]
             cost = [None if f is None else f[0] for f in found]
             fit = [None if c is None or model_len is None else 1 - c / (len(s) + model_len) for c, s in zip(cost, seqs)]
             yield pa.RecordBatch.from_arrays([batch.column("variant_id"), batch.column("freq"), pa.array(cost, pa.int64()), pa.array(list(map(len, seqs)), pa.int64()), pa.array([model_len] * len(seqs), pa.int64()), pa.array(fit, pa.float64())], names=["variant_id", "freq", "cost", "trace_len", "model_len", "fitness"])
@@ -196,21 +197,28 @@ def replay_fitness(log: SparkLog, places: list[Place]) -> DataFrame:
 
 
 def dead_activities(log: SparkLog, places: list[Place], start: int, end: int, limit: int = 20_000) -> list[str]:
-    """Activities that no model trace within ``limit`` states can contain."""
+    """Activities that no model trace can contain, as far as that is certain."""
+    return [a for a, s in activity_status(log, places, start, end, limit).items() if s == "dead"]
+
+
+def activity_status(log: SparkLog, places: list[Place], start: int, end: int, limit: int = 20_000) -> dict[str, str]:
+    """``live`` (some model trace goes as far as it), ``dead`` (none does), or ``unknown`` where ``limit`` markings did not tell."""
     machine = Machine(places, len(log.labels), start, end)
     first = machine.fire(machine.zero, start)
     if first is None:
-        return [a for i, a in enumerate(log.labels) if i not in (start, end)]
-    seen, queue, fired = {first}, [first], set()
+        return {a: "dead" for i, a in enumerate(log.labels) if i not in (start, end)}
+    # Fewer tokens first: a net whose tokens can grow without end then still shows most of what it can do.
+    seen, queue, fired = {first}, [(sum(first), first)], set()
     while queue and len(seen) < limit:
-        m = queue.pop(0)
+        m = heapq.heappop(queue)[1]
         for a in range(machine.n):
             if a in (start, end):
                 continue
             nxt = machine.fire(m, a)
             if nxt is not None:
                 fired.add(a)
-                if nxt not in seen and max(nxt, default=0) <= 3:
+                if nxt not in seen:
                     seen.add(nxt)
-                    queue.append(nxt)
-    return [a for i, a in enumerate(log.labels) if i not in (start, end) and i not in fired]
+                    heapq.heappush(queue, (sum(nxt), nxt))
+    rest = "unknown" if queue else "dead"
+    return {a: "live" if i in fired else rest for i, a in enumerate(log.labels) if i not in (start, end)}

@@ -149,8 +149,14 @@ def fire(net: Net, marking: dict[str, int], t: str) -> dict[str, int]:
     return {p: n for p, n in out.items() if n}
 
 
-def deadlocks(net: Net, limit: int = 10_000, bound: int = 3) -> list[dict[str, int]]:
-    """Reachable markings, within ``limit`` states and ``bound`` tokens a place, from which nothing can fire although the end is not reached."""
+def deadlocks(net: Net, limit: int = 10_000, bound: int | None = None) -> list[dict[str, int]]:
+    """Reachable markings from which nothing can fire although the end is not reached (V14), among the first ``limit``."""
+    return explored(net, limit, bound)[0]
+
+
+def explored(net: Net, limit: int = 10_000, bound: int | None = None) -> tuple[list[dict[str, int]], bool]:
+    """The deadlocks found, and whether every reachable marking was seen; ``bound`` leaves out markings with more tokens on a place."""
+    whole = True
     start = {"source": 1}
     seen, queue, dead = {tuple(sorted(start.items()))}, deque([start]), []
     while queue and len(seen) < limit:
@@ -163,7 +169,9 @@ def deadlocks(net: Net, limit: int = 10_000, bound: int = 3) -> list[dict[str, i
         for t in can:
             n = fire(net, m, t)
             key = tuple(sorted(n.items()))
-            if key not in seen and max(n.values(), default=0) <= bound:
+            if bound is not None and max(n.values(), default=0) > bound:
+                whole = False
+            elif key not in seen:
                 seen.add(key)
                 queue.append(n)
-    return dead
+    return dead, whole and not queue

@@ -151,6 +151,6 @@ def run(config: Config, p: Prepared, quality: bool = True, **options) -> Outcome
     return out
 
 
-def measure(p: Prepared, places: list, states: int = 50_000, seconds: float = 5.0) -> tuple[float | None, float | None]:
-    fit = conformance.alignment_fitness(p.log, places, p.start, p.end, states=states, seconds=seconds)
+def measure(p: Prepared, places: list, states: int = 50_000) -> tuple[float | None, float | None]:
+    fit = conformance.alignment_fitness(p.log, places, p.start, p.end, states=states)
     return fit, conformance.etc_precision(p.log, places, p.start, p.end).first()["precision"]

@@ -19,11 +19,11 @@ from .operators.compose import Budget, Candidate, Collect, Delta, Implicit, Post
 from .operators.evaluate import counts_projected, fitness, relative_fitness
 from .operators.implicit import agreement, dominance_fold, log_language_kept
 from .operators.lp import lp_implicit
-from .operators.model import arcs_table, deadlocks, to_net
+from .operators.model import arcs_table, explored, to_net
 from .operators.suite import EvaluatorSuite, adds_something, at_most_arcs, reaches_threshold
 from .operators.tree import Tree
 from .plans.config import PRESETS, Config
-from .plans.experiment import grid
+from .plans.experiment import DEPTHS, TAUS, grid
 from .plans.propose import _with_ids, discover, walk
 from .plans.run import RUNS, Prepared, prepare, run, tree
 from .plans.supervise import Supervisor
@@ -415,15 +415,15 @@ def best_model(name: str, tau: float, depth: int) -> Query:
 def dead_activities_lifecycle(spark: SparkSession, d: str) -> DataFrame:
     p = ready(spark, d, "lifecycle")
     out = run(Config(log="lifecycle", tau=0.7, max_depth=3, oracle="lp"), p, quality=False)
-    dead = set(conformance.dead_activities(p.log, out.places, p.start, p.end))
-    return spark.createDataFrame([(a, a in dead) for a in p.labels], "activity string, dead boolean")
+    found = conformance.activity_status(p.log, out.places, p.start, p.end)
+    return spark.createDataFrame(list(found.items()), "activity string, status string")
 
 
 def deadlocks_longterm(spark: SparkSession, d: str) -> DataFrame:
     p = ready(spark, d, "longterm")
     out = run(Config(log="longterm", tau=1.0, max_depth=6, oracle="lp"), p, quality=False)
-    found = deadlocks(to_net(out.names(), p.labels), 2000)
-    return spark.createDataFrame([(len(out.places), len(found))], "n_places long, n_deadlocks long")
+    found, whole = explored(to_net(out.names(), p.labels), 2000)
+    return spark.createDataFrame([(len(out.places), len(found), whole)], "n_places long, n_deadlocks long, complete boolean")
 
 
 def stagnation_curve(spark: SparkSession, d: str) -> DataFrame:
@@ -534,6 +534,20 @@ RUN_QUERIES: dict[str, Query] = {
 }
 
 
+def measured(what) -> Query:
+    """A statistic of the 60 measured runs of the full grid on the conversation log."""
+    return lambda spark, d: _round(what(grid_of("conv", TAUS, DEPTHS)(spark, d).where("oracle <> 'shared'")))
+
+
+MEASURED: dict[str, Query] = {
+    "measured_runtimes_conv": measured(stats.runtimes),
+    "measured_pareto_conv": measured(lambda r: stats.pareto(r, "fitness", "precision")),
+    "measured_fastest_conv": measured(lambda r: stats.fastest_top(r.where("f1 IS NOT NULL"), "f1")),
+    "measured_min_depth_conv": measured(lambda r: stats.min_depth(r, "precision")),
+    "measured_spearman_conv": measured(lambda r: stats.controlled_spearman(r, "tau", "precision", ["depth", "oracle"])),
+}
+
+
 def queries() -> dict[str, Query]:
     return {
         "place_fitness_pairs_events_day": place_fitness_pairs("events_day"),
@@ -584,7 +598,9 @@ def queries() -> dict[str, Query]:
         "dead_activities": dead_activities_lifecycle,
         "deadlocks_longterm": deadlocks_longterm,
         "stagnation_curve": stagnation_curve,
-        **{f"grid_{n}": grid_of(n) for n in ("conv", "tags_core", "events_day")},
+        "grid_conv": grid_of("conv", TAUS, DEPTHS),
+        **{f"grid_{n}": grid_of(n) for n in ("tags_core", "events_day")},
+        **MEASURED,
         "grid_lifecycle": grid_of("lifecycle", (1.0, 0.8), (2, 3)),
         "grid_correlations": grid_correlations,
         "grid_tables": grid_tables,

@@ -95,6 +95,11 @@ def test_alignment_and_precision_against_brute_force(spark):
     assert r["missing"] == r["remaining"] == 0 and r["fitness"] == 1.0
     assert conformance.f1(1.0, 0.0) == 0.0 and conformance.f1(None, 1.0) is None
     assert conformance.dead_activities(one, [((1,), (1,))], 0, 3) == ["a"]
+    # S a b E over four places: the only trace, with more tokens on the way than events at the start.
+    net = [((0, 1), (2, 3)), ((0,), (1,)), ((1,), (2,))]
+    assert conformance.Machine(net, 4, 0, 3).shortest() == 4 and conformance.Machine(net, 4, 0, 3).align([0, 1, 2, 3]) == (0, [0, 1, 2, 3])
+    grows = [((0, 1), (3,)), ((2,), (2,))]
+    assert conformance.activity_status(one, grows, 0, 3, 50) == {"a": "live", "b": "unknown"} and conformance.dead_activities(one, grows, 0, 3, 50) == []
     assert relative_fitness(one, [((0,), (1,))]).first()["n_fit_touching"] == 5
     assert conformance.size(chain)["arcs"] == 6
     places = spark.createDataFrame([("p", [0], [1])], "place_id string, pre array<int>, post array<int>")
