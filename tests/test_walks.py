@@ -70,5 +70,11 @@ def _prepared(spark, sf):
 
 
 def test_no_plan_stays_cached(spark, sf):
-    _prepared(spark, sf)
-    assert spark.sparkContext._jsc.getPersistentRDDs().size() == 0
+    from placeminer.workloads import queries
+
+    held = lambda: spark.sparkContext._jsc.getPersistentRDDs().size()
+    before = held()
+    ready(spark, sf, "conv")
+    for name in ("ordering_ablation", "passing_by_tau", "uniwired_compose_conv"):
+        queries()[name](spark, sf).collect()
+    assert held() == before
