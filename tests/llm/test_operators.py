@@ -166,7 +166,7 @@ def test_rules(spark, docs, odd, empty):
             m = measured(next(iter(text[r["doc_id"]])))
             assert (r["n_words"], r["word_chars"], r["n_symbols"], r["n_dup_lines"], r["n_repeat_words"]) == m
             assert r["base_failed"] == (m[0] < 10 or 100 * m[4] > 20 * m[0]) and not (r["base_failed"] and r["kept"])
-    book = rules.ledger(docs).cache()
+    book = rules.ledger(docs)
     rows = [r["bits"] for r in book.collect()]
     for r in rules.ablation(book).collect():
         m, b = rules.mask(r["policy"]), 1 << rules.BIT[r["rule"]]
