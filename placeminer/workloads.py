@@ -598,8 +598,8 @@ def queries() -> dict[str, Query]:
         "dead_activities": dead_activities_lifecycle,
         "deadlocks_longterm": deadlocks_longterm,
         "stagnation_curve": stagnation_curve,
-        "grid_conv": grid_of("conv", TAUS, DEPTHS),
-        **{f"grid_{n}": grid_of(n) for n in ("tags_core", "events_day")},
+        **{f"grid_{n}": grid_of(n, TAUS, DEPTHS) for n in ("conv", "events_day")},
+        "grid_tags_core": grid_of("tags_core"),
         **MEASURED,
         "grid_lifecycle": grid_of("lifecycle", (1.0, 0.8), (2, 3)),
         "grid_correlations": grid_correlations,
