@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import time
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import replace
 
+from pyspark import inheritable_thread_target
 from pyspark.sql import DataFrame
 
 from ..operators.compose import Candidate, Collect, Implicit, Threshold, reaches
@@ -16,6 +18,7 @@ from .supervise import Supervisor
 TAUS = (1.0, 0.9, 0.8, 0.7, 0.6, 0.5)
 DEPTHS = (2, 3, 4, 5, 6)
 ORACLES = ("token_dominance", "lp")
+MEASURED_AT_ONCE = 4
 
 
 def evaluated(p: Prepared, config: Config) -> list[dict]:
@@ -33,8 +36,10 @@ def evaluated(p: Prepared, config: Config) -> list[dict]:
 
 def grid(p: Prepared, base: Config, taus=TAUS, depths=DEPTHS, oracles=ORACLES, quality: bool = True, shared: bool = True) -> DataFrame:
     """One runs row per setting. ``shared`` evaluates candidates once, at the lowest threshold and largest depth, and rebuilds every
-    setting's walk from their counts; its search times then leave evaluation out, which is reported under the oracle ``shared``."""
-    rows, measures = [], {}
+    setting's walk from their counts; its search times then leave evaluation out, which is reported under the oracle ``shared``.
+    Candidates come by depth, so that one composer a threshold and oracle meets those of every depth in turn; the search time of a
+    setting is that of all candidates down to its depth. Composers share what they learn about pairs of places."""
+    rows, measures, outs = [], {}, []
 
     def score(places: list) -> tuple:
         key = tuple(sorted(places))
@@ -55,24 +60,35 @@ def grid(p: Prepared, base: Config, taus=TAUS, depths=DEPTHS, oracles=ORACLES, q
     top = replace(base, tau=min(taus), max_depth=max(depths))
     table = evaluated(p, top)
     spent = time.time() - began
-    t, total = tree(top, p), p.log.total
+    t, total, known = tree(top, p), p.log.total, {}
     for tau in taus:
+        part = sorted(regrid(table, t, total, tau, max(depths)), key=lambda r: r["order"])
+        passing = [Candidate(r["place"], r["counts"], total, r["order"]) for r in part if reaches(r["n_fit"], total, tau)]
+        searched = {}
+        for o in oracles:
+            inner = Implicit(Collect(), p.log, o, base.remove_existing, p.universal if base.with_universal else None, mode=base.lp_mode, known=known)
+            c, at, t_search = Threshold(inner, tau), 0, 0.0
+            for d in sorted(depths):
+                began = time.time()
+                while at < len(passing) and passing[at].depth <= d:
+                    c.consume(passing[at])
+                    at += 1
+                t_search += time.time() - began
+                searched[d, o] = Discovery(p.labels, list(c.accepted), sum(r["depth"] <= d for r in part), None, True, Supervisor(level="off"), t_search)
         for d in depths:
-            part = sorted(regrid(table, t, total, tau, d), key=lambda r: r["order"])
-            passing = [Candidate(r["place"], r["counts"], total, r["order"]) for r in part if reaches(r["n_fit"], total, tau)]
             for o in oracles:
-                config = replace(base, tau=tau, max_depth=d, oracle=o)
-                began = time.time()
-                inner = Implicit(Collect(), p.log, o, config.remove_existing, p.universal if config.with_universal else None, mode=config.lp_mode)
-                c = Threshold(inner, tau)
-                for x in passing:
-                    c.consume(x)
-                found = Discovery(p.labels, c.accepted, len(part), None, True, Supervisor(level="off"), time.time() - began)
-                t_search, began = time.time() - began, time.time()
+                config, found, began = replace(base, tau=tau, max_depth=d, oracle=o), searched[d, o], time.time()
                 post = pipeline(config, p)
-                out = Outcome(config, found, post.run(found.places), post.finished, t_search, time.time() - began)
-                if quality and out.finished:
-                    out.fitness, out.precision = score(out.places)
-                rows.append(out.row())
+                out = Outcome(config, found, post.run(found.places), post.finished, found.seconds, time.time() - began)
+                outs.append(out)
+    if quality:
+        # Few distinct sets of places, each some small jobs that would leave most cores idle one after another.
+        sets = dict.fromkeys(tuple(sorted(out.places)) for out in outs if out.finished)
+        with ThreadPoolExecutor(MEASURED_AT_ONCE) as pool:
+            measures |= zip(sets, pool.map(inheritable_thread_target(p.spark)(lambda key: measure(p, list(key))), sets))
+        for out in outs:
+            if out.finished:
+                out.fitness, out.precision = score(out.places)
+    rows += [out.row() for out in outs]
     rows.append({"log": base.log, "tau": min(taus), "depth": max(depths), "oracle": "shared", "proposed": len(table), "collected": 0, "after_post": 0, "fitness": None, "precision": None, "f1": None, "t_search": spent, "t_post": 0.0, "stopped_search": False, "dnf": False})
     return p.spark.createDataFrame([tuple(r.values()) for r in rows], RUNS)
