@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import heapq
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -15,6 +16,8 @@ from .kernel import Place
 
 #: Cap of states of one alignment; beyond it the cost is null, on every machine alike.
 STATES = 200_000
+#: Results that a task keeps at once.
+KNOWN = 100_000
 
 
 def chained(state: int, a: int) -> int:
@@ -94,27 +97,41 @@ class Machine:
 
 
 def alignment(log: SparkLog, places: list[Place], start: int, end: int, states: int = STATES) -> DataFrame:
-    """variant_id, freq, cost, trace_len, model_len, fitness = 1 - cost / (trace + shortest model trace); null where a cap was reached (A3)."""
+    """variant_id, freq, cost, trace_len, model_len, fitness = 1 - cost / (trace + shortest model trace); null where a cap was reached (A3).
+
+    Between the markers, an activity outside of all places costs nothing on both sides and changes no token, so that variants are aligned without
+    such events; those that then are equal meet in one task and are aligned once.
+    """
     n = len(log.labels)
     shared = log.variants.sparkSession.sparkContext.broadcast(places)
     model_len = Machine(places, n, start, end).shortest()
+    bound = F.array(*map(F.lit, sorted({start, end, *(a for p in places for side in p for a in side)})))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        machine = Machine(shared.value, n, start, end)
+        machine, known = Machine(shared.value, n, start, end), {}
         for batch in batches:
-            seqs = batch.column("seq").to_pylist()
-            found = [machine.align(s, states) for s in seqs]
-            cost = [None if f is None else f[0] for f in found]
-            fit = [None if c is None or model_len is None else 1 - c / (len(s) + model_len) for c, s in zip(cost, seqs)]
-            yield pa.RecordBatch.from_arrays([batch.column("variant_id"), batch.column("freq"), pa.array(cost, pa.int64()), pa.array(list(map(len, seqs)), pa.int64()), pa.array([model_len] * len(seqs), pa.int64()), pa.array(fit, pa.float64())], names=["variant_id", "freq", "cost", "trace_len", "model_len", "fitness"])
-
-    return log.variants.select("variant_id", "seq", "freq").mapInArrow(run, "variant_id long, freq long, cost long, trace_len long, model_len long, fitness double")
+            cost = []
+            for s in map(tuple, batch.column("seq").to_pylist()):
+                if s not in known:
+                    if len(known) >= KNOWN:
+                        known.clear()
+                    found = machine.align(s, states)
+                    known[s] = None if found is None else found[0]
+                cost.append(known[s])
+            length = batch.column("length").to_pylist()
+            fit = [None if c is None or model_len is None else 1 - c / (k + model_len) for c, k in zip(cost, length)]
+            yield pa.RecordBatch.from_arrays([batch.column("variant_id"), batch.column("freq"), pa.array(cost, pa.int64()), pa.array(length, pa.int64()), pa.array([model_len] * len(cost), pa.int64()), pa.array(fit, pa.float64())], names=["variant_id", "freq", "cost", "trace_len", "model_len", "fitness"])
+
+    short = F.filter("seq", lambda a: F.array_contains(bound, a))
+    rows = log.variants.select("variant_id", "freq", F.size("seq").alias("length"), short.alias("seq"))
+    return rows.repartition(rows.sparkSession.sparkContext.defaultParallelism, "seq").mapInArrow(run, "variant_id long, freq long, cost long, trace_len long, model_len long, fitness double")
 
 
 def alignment_fitness(log: SparkLog, places: list[Place], start: int, end: int, **caps) -> float | None:
     """Mean over traces; None if some alignment reached a cap."""
-    row = alignment(log, places, start, end, **caps).agg((F.sum(F.col("fitness") * F.col("freq")) / F.sum("freq")).alias("f"), F.count_if(F.col("fitness").isNull()).alias("n")).first()
-    return None if row["n"] else row["f"]
+    # Distinct values are few, as lengths and costs are; their exact sum does not depend on the order of tasks.
+    rows = alignment(log, places, start, end, **caps).groupBy("fitness").agg(F.sum("freq").alias("n")).collect()
+    return None if not rows or any(r["fitness"] is None for r in rows) else math.fsum(r["fitness"] * r["n"] for r in rows) / sum(r["n"] for r in rows)
 
 
 def etc_precision(log: SparkLog, places: list[Place], start: int, end: int, mode: str = "prefix") -> DataFrame:
@@ -127,9 +144,9 @@ def etc_precision(log: SparkLog, places: list[Place], start: int, end: int, mode
     shared = log.variants.sparkSession.sparkContext.broadcast(places)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        machine = Machine(shared.value, n, start, end)
+        machine, may = Machine(shared.value, n, start, end), {}
         for batch in batches:
-            rows: dict[str, list] = {"prefix": [], "next": [], "enabled": [], "freq": []}
+            steps: dict[tuple, int] = {}
             for seq, freq in zip(batch.column("seq").to_pylist(), batch.column("freq").to_pylist()):
                 if mode == "align":
                     found = machine.align(seq)
@@ -140,13 +157,18 @@ def etc_precision(log: SparkLog, places: list[Place], start: int, end: int, mode
                     if m is None:
                         break
                     state = chained(state, a)
-                    rows["prefix"].append(state)
-                    rows["next"].append(seq[k + 1])
-                    rows["enabled"].append([b for b in range(n) if b != start and machine.fire(m, b) is not None])
-                    rows["freq"].append(freq)
-            yield pa.RecordBatch.from_arrays([pa.array(rows["prefix"], pa.int64()), pa.array(rows["next"], pa.int32()), pa.array(rows["enabled"], pa.list_(pa.int32())), pa.array(rows["freq"], pa.int64())], names=list(rows))
-
-    states = log.variants.select("seq", "freq").mapInArrow(run, "prefix long, next int, enabled array<int>, freq long")
+                    if m not in may:
+                        if len(may) >= KNOWN:
+                            may.clear()
+                        may[m] = tuple(b for b in range(n) if b != start and machine.fire(m, b) is not None)
+                    step = (state, seq[k + 1], may[m])
+                    steps[step] = steps.get(step, 0) + freq
+            prefix, after, enabled = zip(*steps) if steps else ((), (), ())
+            yield pa.RecordBatch.from_arrays([pa.array(prefix, pa.int64()), pa.array(after, pa.int32()), pa.array(enabled, pa.list_(pa.int32())), pa.array(list(steps.values()), pa.int64())], names=["prefix", "next", "enabled", "freq"])
+
+    # Tasks by variant: those that made the variants may be fewer than there are cores.
+    rows = log.variants.select("seq", "freq").repartition(log.variants.sparkSession.sparkContext.defaultParallelism, "seq")
+    states = rows.mapInArrow(run, "prefix long, next int, enabled array<int>, freq long")
     # A prefix travels as one number; the enabled set is a function of the prefix, observed nexts are few a prefix.
     each = states.groupBy("prefix", "next", "enabled").agg(F.sum("freq").alias("freq")).groupBy("prefix", "enabled").agg(F.collect_set("next").alias("seen"), F.sum("freq").alias("freq"))
     sums = each.select((F.size("enabled") * F.col("freq")).alias("e"), (F.size(F.array_except("enabled", "seen")) * F.col("freq")).alias("x")).agg(F.coalesce(F.sum("e"), F.lit(0)).alias("enabled"), F.coalesce(F.sum("x"), F.lit(0)).alias("escaping"))
