@@ -21,3 +21,11 @@ def test_candidate_tree_is_over_the_activities_of_the_log(spark, sf):
     assert len(rows) == 4 ** len(inner) and {"view", "purchase"} <= set(inner)
     assert [(r["pre"], r["post"]) for r in rows if r["depth"] == 2] == [(START, inner[0])]
     assert same_as_sql(rows, sf, "candidate_tree_example")
+
+
+def test_order_types_decide_invoice_types(spark, sf):
+    rows = queries()["longterm_dependency"](spark, sf).collect()
+    n = spark.read.parquet(f"{sf}/orders.parquet").count()
+    found = {(r["pre"], r["post"]) for r in rows}
+    assert {("o", "i"), ("vo", "vi"), (START, "o,vo")} <= found and ("o", "vi") not in found
+    assert all(r["n_fit"] == r["n_total"] == n for r in rows)
