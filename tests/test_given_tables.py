@@ -29,3 +29,12 @@ def test_order_types_decide_invoice_types(spark, sf):
     found = {(r["pre"], r["post"]) for r in rows}
     assert {("o", "i"), ("vo", "vi"), (START, "o,vo")} <= found and ("o", "vi") not in found
     assert all(r["n_fit"] == r["n_total"] == n for r in rows)
+
+
+def test_deadlocks_are_those_of_the_net_of_the_orders(spark, sf, tmp_path):
+    row = queries()["deadlocks_longterm"](spark, sf).first()
+    assert row["complete"] and row["n_deadlocks"] == 0
+    # Orders of one type alone have another net.
+    spark.read.parquet(f"{sf}/orders.parquet").withColumn("o_orderpriority", F.lit("1-URGENT")).write.parquet(f"{tmp_path}/orders.parquet")
+    spark.read.parquet(f"{sf}/lineitem.parquet").write.parquet(f"{tmp_path}/lineitem.parquet")
+    assert queries()["deadlocks_longterm"](spark, str(tmp_path)).first()["n_places"] < row["n_places"]
