@@ -38,3 +38,10 @@ def test_deadlocks_are_those_of_the_net_of_the_orders(spark, sf, tmp_path):
     spark.read.parquet(f"{sf}/orders.parquet").withColumn("o_orderpriority", F.lit("1-URGENT")).write.parquet(f"{tmp_path}/orders.parquet")
     spark.read.parquet(f"{sf}/lineitem.parquet").write.parquet(f"{tmp_path}/lineitem.parquet")
     assert queries()["deadlocks_longterm"](spark, str(tmp_path)).first()["n_places"] < row["n_places"]
+
+
+def test_examples_are_counted_on_given_logs(spark, sf):
+    rows = queries()["micro_examples"](spark, sf).collect()
+    totals = {r["log"]: r["n_total"] for r in rows}
+    assert totals == {"order_types": spark.read.parquet(f"{sf}/orders.parquet").count(), "events_day": ready(spark, sf, "events_day").log.total}
+    assert same_as_sql(rows, sf, "micro_examples")
