@@ -45,3 +45,10 @@ def test_examples_are_counted_on_given_logs(spark, sf):
     totals = {r["log"]: r["n_total"] for r in rows}
     assert totals == {"order_types": spark.read.parquet(f"{sf}/orders.parquet").count(), "events_day": ready(spark, sf, "events_day").log.total}
     assert same_as_sql(rows, sf, "micro_examples")
+
+
+@pytest.mark.parametrize("name", ["collected_places"])
+def test_statistics_of_the_runs_over_the_events(spark, sf, name):
+    rows = queries()[name](spark, sf).collect()
+    assert {r["log"] for r in rows} - {None} == {"events_day", "events_sess"}
+    assert same_as_sql(rows, sf, name)
