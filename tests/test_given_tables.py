@@ -47,7 +47,7 @@ def test_examples_are_counted_on_given_logs(spark, sf):
     assert same_as_sql(rows, sf, "micro_examples")
 
 
-@pytest.mark.parametrize("name", ["collected_places", "controlled_spearman", "controlled_spearman_depth", "cube_runs", "fastest_top_decile", "min_depth_at_max", "pareto_fit_prec"])
+@pytest.mark.parametrize("name", ["collected_places", "controlled_spearman", "controlled_spearman_depth", "cube_runs", "fastest_top_decile", "min_depth_at_max", "pareto_fit_prec", "pareto_fit_size"])
 def test_statistics_of_the_runs_over_the_events(spark, sf, name):
     rows = queries()[name](spark, sf).collect()
     assert {r["log"] for r in rows} - {None} == {"events_day", "events_sess"}
